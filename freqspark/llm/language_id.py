@@ -1,2 +1,235 @@
-QUERIES: dict = {}
-ORACLES: dict = {}
+"""Language identification by unigram piece models, summed over all segmentations.
+
+The pieces are a fixed public vocabulary; each language has a probability per piece, fitted by expectation-maximisation
+on a bounded sample of labelled texts. The probability of a word is the sum over all ways to cut it into pieces, found
+by a forward pass; a text's is the product over its words.
+
+Defined cases: null texts and texts without a letter are ``und`` with score 0, as is everything when no labelled text
+exists. Rows with a null language are never learned from. Repeated rows get equal answers. Words over 40 characters
+are scored in runs of 40, so very long tokens stay bounded; nothing is left out. Other columns are kept by the stage
+and not read by the model.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..session import use_library
+from . import textops as X
+from .common import bounded_sample, crc_mod, documents
+
+SAMPLE_DOCS = 500
+LONGEST_PIECE = 12
+RUN = 40
+ROUNDS = 3
+FLOOR = 1e-7
+CACHE_WORDS = 250_000
+
+
+def default_pieces() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path("piece_bpe_32k.model")
+
+
+def vocabulary(path: str, longest: int = LONGEST_PIECE) -> dict[str, int]:
+    """Lower-case pieces of the public model by dense number."""
+    import sentencepiece
+
+    model = sentencepiece.SentencePieceProcessor(model_file=path)
+    pieces = (model.id_to_piece(i) for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i)))
+    return {p: n for n, p in enumerate(p for p in dict.fromkeys(pieces) if p == p.lower() and 0 < len(p) <= longest)}
+
+
+def runs(word: str) -> list[str]:
+    marked = "▁" + word
+    return [marked[i : i + RUN] for i in range(0, len(marked), RUN)]
+
+
+def lattices(words: list[str], pieces: dict[str, int], longest: int = LONGEST_PIECE) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Per word length: the words' positions in the list, and the piece ending at each place by its length.
+
+    Entry [m, j, l] is the number of the piece ``word[j - l : j + 1]``, -1 for none, and the last number for a single
+    character outside the vocabulary.
+    """
+    by_length: dict[int, list[int]] = {}
+    for n, w in enumerate(words):
+        by_length.setdefault(len(w), []).append(n)
+    get, unknown = pieces.get, len(pieces)
+    for length, which in by_length.items():
+        for at in range(0, len(which), 20_000):
+            some = which[at : at + 20_000]
+            grid = np.full((len(some), length, min(longest, length)), -1, dtype=np.int32)
+            own = [words[i] for i in some]
+            for j in range(length):
+                for size in range(min(longest, j + 1)):
+                    grid[:, j, size] = [get(w[j - size : j + 1], -1 if size else unknown) for w in own]
+            yield np.array(some), grid
+
+
+def forward(grid: np.ndarray, prob: np.ndarray) -> np.ndarray:
+    """Sums over segmentations of every prefix: shape (words, length + 1, languages). ``prob`` ends with a zero row."""
+    m, length, longest = grid.shape
+    out = np.zeros((m, length + 1, prob.shape[1]))
+    out[:, 0] = 1.0
+    for j in range(length):
+        for size in range(min(longest, j + 1)):
+            out[:, j + 1] += out[:, j - size] * prob[grid[:, j, size]]
+    return out
+
+
+def backward(grid: np.ndarray, prob: np.ndarray) -> np.ndarray:
+    m, length, longest = grid.shape
+    out = np.zeros((m, length + 1, prob.shape[1]))
+    out[:, length] = 1.0
+    for j in range(length - 1, -1, -1):
+        for size in range(min(longest, j + 1)):
+            out[:, j - size] += out[:, j + 1] * prob[grid[:, j, size]]
+    return out
+
+
+def _table(counts: np.ndarray) -> np.ndarray:
+    """Probabilities from expected counts (pieces x languages), with the unknown character's floor and a zero row."""
+    smooth = counts + 0.05
+    return np.concatenate([smooth / smooth.sum(axis=0), np.full((1, counts.shape[1]), FLOOR), np.zeros((1, counts.shape[1]))])
+
+
+def fit(words: list[str], weight: np.ndarray, pieces: dict[str, int], rounds: int = ROUNDS) -> np.ndarray:
+    """Expectation-maximisation: ``weight`` (words x languages) holds how often each language has each word."""
+    n = len(pieces)
+    prob = _table(np.ones((n, weight.shape[1])))
+    grids = list(lattices(words, pieces))
+    for _ in range(rounds):
+        expected = np.zeros((n + 1, weight.shape[1]))
+        for which, grid in grids:
+            ahead, behind = forward(grid, prob), backward(grid, prob)
+            scale = weight[which] / ahead[:, -1]
+            for j in range(grid.shape[1]):
+                for size in range(min(grid.shape[2], j + 1)):
+                    piece = grid[:, j, size]
+                    on = piece >= 0
+                    if on.any():
+                        part = ahead[on, j - size] * prob[piece[on]] * behind[on, j + 1] * scale[on]
+                        for g in range(weight.shape[1]):
+                            expected[:, g] += np.bincount(piece[on], part[:, g], minlength=n + 1)
+        prob = _table(expected[:n])
+    return prob
+
+
+class LanguageModel:
+    """Piece probabilities per language; small and fixed in size, so it travels with the tasks."""
+
+    def __init__(self, languages: list[str], prob: np.ndarray, pieces_path: str) -> None:
+        self.languages, self.prob, self.pieces_path = languages, prob, pieces_path
+
+    def __getstate__(self):
+        return (self.languages, self.prob, self.pieces_path)
+
+    def __setstate__(self, state):
+        self.languages, self.prob, self.pieces_path = state
+
+    def start(self) -> None:
+        self.pieces = vocabulary(self.pieces_path)
+        self._clear()
+
+    def _clear(self) -> None:
+        self.at: dict[str, int] = {}
+        self.rows = np.zeros((0, len(self.languages)))
+
+    def word_rows(self, words: list[str]) -> np.ndarray:
+        """Log probability of each word under each language."""
+        found = list(map(self.at.get, words))
+        if None in found:
+            new = list({w for w, f in zip(words, found, strict=True) if f is None})
+            if len(self.at) + len(new) > CACHE_WORDS and self.at:
+                self._clear()
+                return self.word_rows(words)
+            cut = [runs(w) for w in new]
+            flat = [r for c in cut for r in c]
+            log = np.zeros((len(flat), len(self.languages)))
+            for which, grid in lattices(flat, self.pieces):
+                log[which] = np.log(forward(grid, self.prob)[:, -1])
+            begin = np.concatenate(([0], np.cumsum([len(c) for c in cut])))
+            base = len(self.rows)
+            self.rows = np.concatenate([self.rows, X.sums_per_text(log, begin)])
+            self.at.update((w, base + i) for i, w in enumerate(new))
+            found = list(map(self.at.get, words))
+        return self.rows[np.array(found, dtype=np.int64)] if found else np.zeros((0, len(self.languages)))
+
+    def predict(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
+        import regex
+
+        letter = regex.compile(r"\p{L}").search
+        split = [t.lower().split() if t and letter(t) else [] for t in texts]
+        begin = np.concatenate(([0], np.cumsum([len(w) for w in split]))).astype(np.int64)
+        like = X.sums_per_text(self.word_rows([w for ws in split for w in ws]), begin)
+        n = np.diff(begin)
+        tempered = like / np.sqrt(np.maximum(n, 1))[:, None]
+        odds = np.exp(tempered - tempered.max(axis=1, keepdims=True)) if len(self.languages) else tempered
+        best = tempered.argmax(axis=1) if len(self.languages) else np.zeros(len(n), int)
+        share = odds[np.arange(len(n)), best] / odds.sum(axis=1) if len(self.languages) else np.zeros(len(n))
+        known = [bool(k) and bool(self.languages) for k in n]
+        return [self.languages[b] if k else "und" for b, k in zip(best, known, strict=True)], [float(s) if k else 0.0 for s, k in zip(share, known, strict=True)]
+
+
+def train(df: DataFrame, text: str = "text", lang: str = "lang", sample_docs: int = SAMPLE_DOCS, pieces_path: str | None = None) -> LanguageModel:
+    """Fit on near ``sample_docs`` whole texts of each language; the sample's word counts come to the driver."""
+    path = pieces_path or default_pieces()
+    rows = bounded_sample(df.filter(F.col(lang).isNotNull() & F.col(text).isNotNull()).select(lang, text), lang, sample_docs, lang, text)
+    words = rows.select(lang, F.explode(F.split(F.lower(text), r"\s+")).alias("w")).filter("w != ''").groupBy(lang, "w").agg(F.count(F.lit(1)).alias("n")).toPandas()
+    languages = sorted(words[lang].unique())
+    pieces = vocabulary(path)
+    code = {w: i for i, w in enumerate(sorted(words["w"].unique()))}
+    place = {g: i for i, g in enumerate(languages)}
+    per_run: dict[str, np.ndarray] = {}
+    weight = np.zeros((len(code), len(languages)))
+    np.add.at(weight, (words["w"].map(code).to_numpy(dtype=int), words[lang].map(place).to_numpy(dtype=int)), words["n"].to_numpy())
+    for w, row in zip(code, weight, strict=True):
+        for r in runs(w):
+            per_run[r] = per_run[r] + row if r in per_run else row
+    if not languages:
+        return LanguageModel([], np.zeros((len(pieces) + 2, 0)), path)
+    return LanguageModel(languages, fit(list(per_run), np.array(list(per_run.values())), pieces), path)
+
+
+def identify(df: DataFrame, model: LanguageModel, text: str = "text") -> DataFrame:
+    """``df`` with ``lang_pred`` and ``score``; one narrow stage."""
+    spark = use_library(df.sparkSession)
+    plain = df.drop(*[c for c in ("lang_pred", "score") if c in df.columns])
+    shared = spark.sparkContext.broadcast(model)  # its size is pieces times languages, whatever the input
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = shared.value
+        m.start()
+        for whole in batches:
+            for b in X.slices(whole, text):
+                best, score = m.predict(b.column(text).to_pylist())
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(best, pa.string()), pa.array(score, pa.float64())], names=[*b.schema.names, "lang_pred", "score"])
+
+    from pyspark.sql import types as T
+
+    return plain.mapInArrow(run, T.StructType([*plain.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
+
+
+def keep_identified(df: DataFrame, least: float = 0.4, **options) -> DataFrame:
+    """The rows whose language the model names with at least ``least``; ``und`` rows go. Columns stay as they are."""
+    model = train(df, **options)
+    named = identify(df.select("*"), model)
+    return named.filter((F.col("lang_pred") != "und") & (F.col("score") >= least)).select(*df.columns)
+
+
+def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents; learned from the labelled texts whose id's crc32 leaves no remainder 0 modulo 5."""
+    docs = documents(spark, sf_dir)
+    model = train(docs.filter(crc_mod("doc_id", 5) != 0))
+    rows = docs.select("doc_id", (F.coalesce(crc_mod("doc_id", 5), F.lit(-1)) == 0).alias("held_out"), "text")
+    return identify(rows, model).select("doc_id", "held_out", "lang_pred", "score")
+
+
+QUERIES = {"op3_language_id": op3_language_id}
+ORACLES: dict[str, str] = {}

@@ -1,2 +1,185 @@
-QUERIES: dict = {}
-ORACLES: dict = {}
+"""Packing along a space-filling curve.
+
+Documents become hashed bag-of-token vectors, projected to a few dimensions; the Hilbert index of the projection orders
+them, so neighbours on the curve are alike. Each range of the curve is packed end to end into full sequences.
+
+Defined cases: null and empty texts are the end token alone; null ids stay null; repeated rows are packed once each;
+a document longer than a sequence is cut freely. Documents at one curve position are ordered by id and length, so a
+large group of copies is cut into ranges as any other rows. Only the last sequence of a range may be short. Other
+columns are not read.
+"""
+
+from __future__ import annotations
+
+import zlib
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark import TaskContext
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..session import use_library
+from . import textops as X
+from .common import documents, parts_for, written
+
+END = 1
+LENGTH = 2048
+FEATURES, DIMS, BITS = 256, 3, 10
+CACHE_WORDS = 400_000
+_loaded: dict[str, tuple] = {}
+
+
+def default_tokenizer() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path("word_bpe_49k.json")
+
+
+class WordTokens:
+    """Token ids of whole texts by way of a bounded cache of words.
+
+    The vocabulary's pre-tokeniser drops white space and never joins across it, so a text's ids are its words' ids
+    end to end; tests hold this against the tokeniser on whole texts.
+    """
+
+    def __init__(self, path: str) -> None:
+        from tokenizers import Tokenizer
+
+        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer.encode_special_tokens = True
+        self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
+        self.known: dict[str, bytes] = {"": b""}
+
+    def encode(self, text: str) -> bytes:
+        words = text.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
+        found = list(map(self.known.get, words))
+        if None in found:
+            new = list({w for w, f in zip(words, found, strict=True) if f is None})
+            if len(self.known) + len(new) > CACHE_WORDS:
+                self.known = {"": b""}
+                new = list(set(words) - {""})
+            ids = self.tokenizer.encode_batch(new, add_special_tokens=False)
+            fresh = {w: np.array(e.ids, dtype=self.kind).tobytes() for w, e in zip(new, ids, strict=True)}
+            self.known.update((w, v) for w, v in fresh.items() if len(w) <= 64)
+            get = self.known.get
+            found = [fresh[w] if w in fresh else get(w) for w in words]
+        return b"".join(found)
+
+
+def tokens_of(path: str) -> WordTokens:
+    if path not in _loaded:
+        _loaded[path] = WordTokens(path)
+    return _loaded[path]
+
+
+def hilbert(points: np.ndarray, bits: int) -> np.ndarray:
+    """Hilbert index of integer points (rows), each coordinate below 2^bits: axes to transposed index, then interleave."""
+    x = points.astype(np.int64).T.copy()
+    dims = len(x)
+    q = 1 << (bits - 1)
+    while q > 1:
+        low = q - 1
+        for i in range(dims):
+            on = (x[i] & q) != 0
+            swap = np.where(on, 0, (x[0] ^ x[i]) & low)
+            x[0] = np.where(on, x[0] ^ low, x[0] ^ swap)
+            if i:
+                x[i] ^= swap
+        q >>= 1
+    for i in range(1, dims):
+        x[i] ^= x[i - 1]
+    turn = np.zeros_like(x[0])
+    q = 1 << (bits - 1)
+    while q > 1:
+        turn ^= np.where((x[-1] & q) != 0, q - 1, 0)
+        q >>= 1
+    x ^= turn
+    out = np.zeros_like(x[0])
+    for b in range(bits - 1, -1, -1):
+        for i in range(dims):
+            out = (out << 1) | ((x[i] >> b) & 1)
+    return out
+
+
+def curve_keys(ids: list[np.ndarray], dims: int = DIMS, bits: int = BITS, features: int = FEATURES, seed: int = 5) -> np.ndarray:
+    """Curve position of each document: square-rooted hashed counts, unit length, seeded projection, Hilbert index."""
+    rng = np.random.Generator(np.random.PCG64(seed))
+    directions = rng.standard_normal((features, dims))
+    n = len(ids)
+    slot = (np.concatenate(ids).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(40)) % np.uint64(features)
+    row = np.repeat(np.arange(n), [len(i) for i in ids])
+    counts = np.sqrt(np.bincount(row * features + slot.astype(np.int64), minlength=n * features).reshape(n, features))
+    unit = counts / np.sqrt((counts**2).sum(axis=1, keepdims=True))
+    spread = np.clip((unit @ directions + 3.0) / 6.0, 0, 1 - 1e-9)
+    return hilbert((spread * (1 << bits)).astype(np.int64), bits)
+
+
+def _encode(path: str, end: int, dims: int, bits: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tok = tokens_of(path)
+        tail = np.array([end], dtype=tok.kind).tobytes()
+        for whole in batches:
+            for b in X.slices(whole):
+                raw = [tok.encode(t or "") + tail for t in b.column("text").to_pylist()]
+                ids = [np.frombuffer(r, dtype=tok.kind) for r in raw]
+                yield pa.RecordBatch.from_arrays(
+                    [b.column("doc_id"), pa.array(curve_keys(ids, dims, bits)), pa.array([len(i) for i in ids], pa.int64()), pa.array(raw, pa.binary())],
+                    names=["doc_id", "curve_key", "doc_tokens", "ids"],
+                )
+
+    return run
+
+
+def encoded(df: DataFrame, tokenizer: str | None = None, end: int = END, dims: int = DIMS, bits: int = BITS) -> DataFrame:
+    """(doc_id, curve_key, doc_tokens, ids as little-endian bytes of the vocabulary's width)."""
+    use_library(df.sparkSession)
+    return df.select("doc_id", "text").mapInArrow(_encode(tokenizer or default_tokenizer(), end, dims, bits), "doc_id long, curve_key long, doc_tokens long, ids binary")
+
+
+_PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, curve_key long"
+
+
+def _pack(width: int, length: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kind = np.dtype("<u2" if width == 2 else "<u4")
+        at = 0
+        first = TaskContext.get().partitionId() << 40
+        for b in batches:
+            rows: list[tuple] = []
+            for doc, key, n, raw in zip(b.column("doc_id").to_pylist(), b.column("curve_key").to_pylist(), b.column("doc_tokens").to_pylist(), b.column("ids").to_pylist(), strict=True):
+                ids = np.frombuffer(raw, dtype=kind).astype("<u4")
+                start = 0
+                while start < n:
+                    take = min(n - start, length - at % length)
+                    rows.append((doc, start, take, zlib.crc32(ids[start : start + take].tobytes()), n, first + at // length, at % length, key))
+                    start += take
+                    at += take
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], names=[c.split()[0] for c in _PIECE.split(", ")])
+
+    return run
+
+
+def pack(df: DataFrame, length: int = LENGTH, tokenizer: str | None = None, end: int = END, dims: int = DIMS, bits: int = BITS, part_tokens: int = 4_000_000) -> DataFrame:
+    """Pieces of all documents in curve order; see the module for what is defined.
+
+    Tokenising happens once: its result is written to the shared folder, then range-sorted by curve position.
+    """
+    path = tokenizer or default_tokenizer()
+    table = written(encoded(df, path, end, dims, bits), "packing-ids")
+    total = int(table.agg(F.sum("doc_tokens").alias("n")).first()["n"] or 0)
+    width = tokens_of(path).kind.itemsize
+    order = ["curve_key", "doc_id", "doc_tokens"]
+    ranged = table.repartitionByRange(parts_for(total, part_tokens), *order).sortWithinPartitions(*order, F.crc32("ids"))
+    return ranged.mapInArrow(_pack(width, length), _PIECE)
+
+
+def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents packed into sequences of 2048."""
+    return pack(documents(spark, sf_dir))
+
+
+QUERIES = {"op1_packing": op1_packing}
+ORACLES: dict[str, str] = {}

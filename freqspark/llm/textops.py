@@ -11,6 +11,8 @@ import pyarrow.compute as pc
 U = np.uint64
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
+#: Also breaks at ASCII signs: words of letters, digits and all beyond ASCII.
+SIGNS = np.array([i < 128 and not chr(i).isalnum() for i in range(256)])
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _BASE = 0x9E3779B97F4A7C15
@@ -67,11 +69,11 @@ def column_bytes(array: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(data, dtype=np.uint8)[off[0] : off[-1]], off - off[0]
 
 
-def word_spans(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def word_spans(data: np.ndarray, off: np.ndarray, breaks: np.ndarray = _SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Starts and ends of the words `[^\\x20\\x09-\\x0D]+`, and per text the index of its first word (n + 1 entries)."""
     if not len(data):
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(len(off), np.int64)
-    word = ~_SPACE[data]
+    word = ~breaks[data]
     before = np.empty(len(data) + 1, dtype=bool)
     before[0] = False
     before[1:] = word
@@ -102,9 +104,9 @@ def span_hash(prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return mix((prefix[ends] - prefix[starts]) * down[starts] + (ends - starts).astype(U) * U(0xD6E8FEB86659FD93))
 
 
-def word_hashes(data: np.ndarray, off: np.ndarray, lower: bool = True) -> tuple[np.ndarray, np.ndarray]:
+def word_hashes(data: np.ndarray, off: np.ndarray, lower: bool = True, breaks: np.ndarray = _SPACE) -> tuple[np.ndarray, np.ndarray]:
     """Hash of every word in order, and per text the index of its first word."""
-    starts, ends, first = word_spans(data, off)
+    starts, ends, first = word_spans(data, off, breaks)
     if not len(starts):
         return np.zeros(0, U), first
     return span_hash(prefix_hash(data, lower), starts, ends), first
@@ -157,3 +159,17 @@ def minhash(values: np.ndarray, begin: np.ndarray, samples: int, seed: int = 11)
         x *= a[samples - 1 - i]
         out[full, i] = np.minimum.reduceat(x, at)
     return out
+
+
+def find(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of ``keys`` in a sorted table, and whether each is there."""
+    if not len(table):
+        return np.zeros(len(keys), np.int64), np.zeros(len(keys), bool)
+    at = np.minimum(np.searchsorted(table, keys), len(table) - 1)
+    return at, table[at] == keys
+
+
+def sums_per_text(values: np.ndarray, begin: np.ndarray) -> np.ndarray:
+    """Sum of each text's run of values; 0 for texts without any."""
+    total = np.concatenate((np.zeros((1, *values.shape[1:]), dtype=np.float64), np.cumsum(values, axis=0, dtype=np.float64)))
+    return total[begin[1:]] - total[begin[:-1]]
