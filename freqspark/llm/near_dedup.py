@@ -1,2 +1,246 @@
-QUERIES: dict = {}
-ORACLES: dict = {}
+"""Near-duplicate documents: banded MinHash, odd sketches, exact confirmation, components.
+
+Documents with equal shingle sets form a class and go on as one representative. Representatives that share a band of
+MinHash samples are candidates; the odd sketch (parities of the hashed samples) tells by the population count of an XOR
+how far two sets differ, and only pairs that may reach the threshold are confirmed on their full sets. In each band
+bucket every member is held against the bucket's smallest id first; the links found that way merge nearly all
+buckets into one component each. What is left over in a bucket is compared across components only, in blocks, so no
+pair of different texts goes unseen and no group is expanded into all its pairs.
+
+The bands miss a pair at the threshold with probability (1 - t^rows)^bands, 1.4e-7 as set; the sketch's cut lies 5.3
+standard deviations beyond the threshold.
+
+Defined cases: null, empty and blank texts have no shingles and are linked with nothing. A text with fewer words than a
+shingle is one shingle. Rows that repeat an id and text share class and verdict. A row without
+an id takes its class's component, or none, and is kept in the latter case. Other columns are not read.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..session import use_library
+from . import textops as X
+from .common import documents, drop_written, free_shuffles, written
+from .components import components
+
+BANDS, ROWS, SKETCH_BITS = 52, 6, 1024
+BLOCK = 1024
+
+
+def odd_sketches(samples: np.ndarray, bits: int = SKETCH_BITS) -> np.ndarray:
+    """Parity bitmap of each row of MinHash samples, as 64-bit words."""
+    n, k = samples.shape
+    bit = X.mix(samples ^ X.mix(np.arange(1, k + 1, dtype=np.uint64))) % np.uint64(bits)
+    flat = np.bincount((np.arange(n)[:, None] * bits + bit.astype(np.int64)).ravel(), minlength=n * bits) & 1
+    return np.packbits(flat.reshape(n, bits).astype(np.uint8), axis=1).view(np.uint64)
+
+
+def sketch_similarity(distance: float, samples: int, bits: int = SKETCH_BITS) -> float:
+    """Jaccard estimate from the population count of two sketches' XOR."""
+    return 1 + bits / (4 * samples) * np.log(max(1e-9, 1 - 2 * distance / bits))
+
+
+def sketch_cut(threshold: float, samples: int, bits: int = SKETCH_BITS, sigmas: float = 5.3) -> int:
+    """Largest XOR count that a pair at the threshold may show."""
+    gone = samples * (1 - threshold)
+    share = np.exp(-4 * gone / bits)
+    mean = bits / 2 * (1 - share)
+    spread = samples * threshold * (1 - threshold) * (2 * share) ** 2 + bits / 4 * (1 - share**2)
+    return int(np.ceil(mean + sigmas * np.sqrt(spread)))
+
+
+def _longs(a: np.ndarray) -> pa.Array:
+    n, k = a.shape
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, n * k + 1, k), pa.int32()), pa.array(a.reshape(-1).view(np.int64)))
+
+
+def _sets(b: pa.RecordBatch, words: int) -> tuple[np.ndarray, np.ndarray]:
+    data, off = X.column_bytes(b.column("text"))
+    w, first = X.word_hashes(data, off)
+    return X.distinct_per_text(*X.shingles(w, first, words))
+
+
+def _sign(words: int, bands: int, rows: int, bits: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in X.slices(whole):
+                values, begin = _sets(b, words)
+                n = np.diff(begin)
+                samples = X.minhash(values, begin, bands * rows)
+                keys = np.zeros((len(n), 2), dtype=np.uint64)
+                full = np.flatnonzero(n > 0)
+                if len(full):
+                    for j in range(2):
+                        keys[full, j] = np.add.reduceat(X.mix(values + np.uint64(j * 0x5851F42D4C957F2D + 1)), begin[:-1][full])
+                band = np.zeros((len(n), bands), dtype=np.uint64)
+                for j in range(rows):
+                    band = X.mix(band * np.uint64(0x9FB21C651E98DF25) + samples[:, j::rows])
+                band = X.mix(band + np.arange(bands, dtype=np.uint64))
+                yield pa.RecordBatch.from_arrays(
+                    [b.column("doc_id"), pa.array(n), pa.array(keys[:, 0].view(np.int64)), pa.array(keys[:, 1].view(np.int64)), _longs(band), _longs(odd_sketches(samples, bits))],
+                    names=["doc_id", "n_shingles", "k1", "k2", "bands", "odd"],
+                )
+
+    return run
+
+
+_SET_ROWS = "hub long, salt int, role int, rep long, n long, items binary"
+
+
+def _emit_sets(words: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in X.slices(whole):
+                values, begin = _sets(b, words)
+                ids = b.column("rep").to_pylist()
+                out = []
+                for i, seats in enumerate(b.column("seats").to_pylist()):
+                    own = values[begin[i] : begin[i + 1]]
+                    out += [(s["hub"], s["salt"], s["role"], ids[i], len(own), own.tobytes()) for s in seats]
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["hub", "salt", "role", "rep", "n", "items"])
+
+    return run
+
+
+def _compare(percent: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, hubs = None, []
+        for b in batches:
+            found = []
+            for hub, salt, role, rep, n, raw in zip(*(b.column(c).to_pylist() for c in ("hub", "salt", "role", "rep", "n", "items")), strict=True):
+                if at != (hub, salt):
+                    at, hubs = (hub, salt), []
+                items = np.frombuffer(raw, dtype=np.uint64)
+                if role == 0:
+                    hubs.append(items)
+                    continue
+                for h in hubs:
+                    both = int(X.find(h, items)[1].sum())
+                    if 100 * both >= percent * (len(h) + n - both):
+                        found.append((hub, rep))
+                        break
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found, strict=True)], names=["a", "b"])
+
+    return run
+
+
+def confirmed(docs: DataFrame, pairs: DataFrame, words: int, percent: int) -> DataFrame:
+    """Those of the distinct ``pairs`` (a, b) whose full sets reach the threshold.
+
+    Each set travels once per partner group; a hub with many partners is spread over salted copies of its own set.
+    """
+    per_hub = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / 1000).cast("int").alias("salts"))
+    sized = pairs.join(per_hub, "a")
+    members = sized.select(F.col("b").alias("rep"), F.struct(F.col("a").alias("hub"), F.pmod(F.xxhash64("b"), F.col("salts")).cast("int").alias("salt"), F.lit(1).alias("role")).alias("seat"))
+    hubs = per_hub.select(F.col("a").alias("rep"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), "a").select("rep", F.struct(F.col("a").alias("hub"), "salt", F.lit(0).alias("role")).alias("seat"))
+    seats = members.unionByName(hubs).groupBy("rep").agg(F.collect_list("seat").alias("seats"))
+    texts = docs.select(F.col("doc_id").alias("rep"), "text").join(seats, "rep")
+    sets = texts.mapInArrow(_emit_sets(words), _SET_ROWS)
+    return sets.repartition("hub", "salt").sortWithinPartitions("hub", "salt", "role").mapInArrow(_compare(percent), "a long, b long").distinct()
+
+
+def _matrix(row: pa.StructScalar | pa.Array, field: str) -> np.ndarray:
+    return row.field(field).to_numpy(zero_copy_only=False)
+
+
+def _across(cut: int, percent: int):
+    """Pairs of one bucket's stray block and member block that lie in different components and pass size and sketch."""
+
+    def unpack(items: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        odd = items.field("odd")
+        return _matrix(items, "rep"), _matrix(items, "comp"), _matrix(items, "n"), odd.flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(len(items), -1)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            left, right = b.column("strays"), b.column("members")
+            for i in range(b.num_rows):
+                ra, ca, na, oa = unpack(left[i].values)
+                rb, cb, nb, ob = unpack(right[i].values)
+                for at in range(0, len(ra), 128):
+                    sl = slice(at, at + 128)
+                    small, large = np.minimum(na[sl, None], nb[None]), np.maximum(na[sl, None], nb[None])
+                    may = (ca[sl, None] != cb[None]) & (100 * small >= percent * large)
+                    x, y = np.nonzero(may)
+                    if len(x):
+                        near = np.bitwise_count(oa[sl][x] ^ ob[y]).sum(axis=1, dtype=np.int64) <= cut
+                        p, q = ra[sl][x[near]], rb[y[near]]
+                        if len(p):
+                            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(p, q)), pa.array(np.maximum(p, q))], names=["a", "b"])
+
+    return run
+
+
+def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, bits: int = SKETCH_BITS) -> DataFrame:
+    """Per row of ``df`` (doc_id, text): doc_id, n_shingles, component_id, kept."""
+    spark = use_library(df.sparkSession)
+    docs = df.select("doc_id", "text")
+    cut = sketch_cut(percent / 100, bands * rows, bits)
+    signed = written(docs.mapInArrow(_sign(words, bands, rows, bits), "doc_id long, n_shingles long, k1 long, k2 long, bands array<long>, odd array<long>"), "near-signatures")
+    full = signed.filter("n_shingles > 0 AND doc_id IS NOT NULL")
+    classes = written(full.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies")), "near-classes")
+    heads = full.join(classes, ["k1", "k2"]).filter("doc_id = rep").dropDuplicates(["k1", "k2"]).select("rep", F.col("n_shingles").alias("n"), "bands", "odd")
+    heads = written(heads, "near-heads")
+
+    banded = heads.select("rep", F.explode("bands").alias("bucket"))
+    shared = banded.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("rep").alias("hub")).filter("n > 1").select("bucket", "hub")
+    members = written(banded.join(shared, "bucket").filter("rep <> hub").select("bucket", "hub", "rep"), "near-members")
+
+    light = heads.select("rep", "n", "odd")
+    of = lambda s: light.select(F.col("rep").alias(s), F.col("n").alias(f"n_{s}"), F.col("odd").alias(f"odd_{s}"))
+    apart = "aggregate(zip_with(odd_a, odd_b, (x, y) -> bit_count(x ^ y)), 0, (s, x) -> s + x)"
+    stars = members.select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct()
+    stars = stars.join(of("b"), "b").join(of("a"), "a").filter(f"100 * least(n_a, n_b) >= {percent} * greatest(n_a, n_b)").filter(F.expr(apart) <= cut).select("a", "b")
+    stars = written(stars, "near-stars")
+    links = written(confirmed(docs, stars, words, percent), "near-links")
+    free_shuffles(spark)
+    comp = components(links, "near-components")
+
+    # buckets that still hold several components, without their hubs, which have been held against every member
+    labelled = members.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", F.coalesce("component", "rep").alias("comp"))
+    mixed = labelled.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("size")).filter("lo <> hi").select("bucket", "size")
+    open_ = written(labelled.join(mixed, "bucket"), "near-open")
+    main = open_.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("c")).groupBy("bucket").agg(F.max_by("comp", "c").alias("main"))
+    seat = F.struct("rep", "comp", "n", "odd").alias("seat")
+    placed = open_.join(light, "rep").withColumn("salt", F.pmod(F.xxhash64("rep"), F.ceil(F.col("size") / BLOCK)))
+    blocks = placed.groupBy("bucket", "salt").agg(F.collect_list(seat).alias("members"))
+    strays = placed.join(main, "bucket").filter("comp <> main").groupBy("bucket", "salt").agg(F.collect_list(seat).alias("strays"))
+    crossed = strays.select("bucket", "strays").join(blocks.select("bucket", "members"), "bucket").select("strays", "members")
+    rest = written(crossed.mapInArrow(_across(cut, percent), "a long, b long").distinct().join(stars, ["a", "b"], "left_anti"), "near-rest")
+    if rest.take(1):
+        links = written(links.unionByName(confirmed(docs, rest, words, percent)), "near-all-links")
+        comp = components(links, "near-final")
+    drop_written(heads, members, stars, open_, rest)
+
+    label = classes.join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep")).filter("copies > 1 OR component <> rep")
+    out = signed.select("doc_id", "n_shingles", "k1", "k2").join(label.select("k1", "k2", "component"), ["k1", "k2"], "left")
+    named = out.withColumn("component_id", F.coalesce("component", "doc_id"))
+    return named.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.col("component_id").isNull()).alias("kept"))
+
+
+def deduplicated(df: DataFrame, **options) -> DataFrame:
+    """The rows of ``df`` that stay: one document of each group. Rows that repeat an id stay once."""
+    found = written(near_duplicates(df, **options), "near-verdicts")
+    gone = found.filter("NOT kept AND doc_id IS NOT NULL").select("doc_id").distinct()
+    kept = df.join(gone, "doc_id", "left_anti").select(*df.columns)
+    again = found.filter("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    if again.take(1):
+        named = kept.filter("doc_id IS NOT NULL")
+        kept = named.dropDuplicates(["doc_id"]).unionByName(kept.filter("doc_id IS NULL"))
+    return kept
+
+
+def op4_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents on two-word shingles at 0.8."""
+    return near_duplicates(documents(spark, sf_dir), words=2)
+
+
+QUERIES = {"op4_near_dedup": op4_near_dedup}
+ORACLES: dict[str, str] = {}

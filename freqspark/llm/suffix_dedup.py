@@ -1,2 +1,342 @@
-QUERIES: dict = {}
-ORACLES: dict = {}
+"""Removal of repeated byte strings by distributed two-stage suffix sorting.
+
+A byte goes if a string of ``length`` bytes that covers it also starts earlier in the corpus. Equal strings of that
+length share the same least inner q-gram (their anchor), so suffixes are dealt by anchor and each task sorts the suffixes of
+the anchors it holds; adjacent common prefixes of at least ``length`` bytes are the repeats. Before that, runs of
+windows with one anchor that are equal as a whole are recognised by a 128-bit hash of anchor and content: only their
+first occurrence needs sorting, every later one is a repeat throughout. Chunks do this before the shuffle, so a
+large group of copies or a very common passage sends one row per chunk.
+
+Anchors with very many different surroundings (a short line that everyone uses) are dealt by whole windows instead, so
+no task holds an unbounded group.
+
+Defined cases: null is empty; texts below ``length`` bytes lose nothing; equal rows (id and text) are one document and
+lose the same bytes; rows that share an id but not a text stand in the order of their texts' hash; null ids come first.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.window import Window
+
+from ..session import use_library
+from . import textops as X
+from .common import documents, free_shuffles, parts_for, text_bytes, written
+from .suffix_sort import common_prefixes, suffix_array
+
+LENGTH, GRAM = 100, 32
+BLOCK_BYTES = 1 << 20
+HOT_SEGMENTS = 50_000
+
+
+def least_grams(prefix: np.ndarray, n: int, length: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
+    """For every window start the position of its leftmost least q-gram, and the q-grams' hashes."""
+    _, down = X.powers(n)
+    m = n - gram + 1
+    h = (prefix[gram:] - prefix[:-gram]) * down[:m]
+    h ^= h >> np.uint64(29)
+    h *= np.uint64(0xBF58476D1CE4E5B9)
+    h ^= h >> np.uint64(32)
+    low, at, width, span = h, np.arange(m, dtype=np.int32), 1, length - gram + 1
+
+    def join(low, at, shift):
+        second = low[shift:] < low[:-shift]
+        return np.where(second, low[shift:], low[:-shift]), np.where(second, at[shift:], at[:-shift])
+
+    while width * 2 <= span:
+        low, at = join(low, at, width)
+        width *= 2
+    if width < span:
+        low, at = join(low, at, span - width)
+    return at, h
+
+
+def merged(doc: np.ndarray, begin: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Union of intervals per document; inputs in any order."""
+    if not len(doc):
+        return doc, begin, end
+    by = np.lexsort((begin, doc))
+    doc, begin, end = doc[by], begin[by], end[by]
+    shift = np.int64(1) << np.int64(33)
+    rank = np.concatenate(([0], np.cumsum(doc[1:] != doc[:-1]))).astype(np.int64) * shift
+    reach = np.maximum.accumulate(rank + end)
+    fresh = np.concatenate(([True], rank[1:] + begin[1:] > reach[:-1]))
+    first = np.flatnonzero(fresh)
+    last = np.concatenate((first[1:] - 1, [len(doc) - 1]))
+    return doc[first], begin[first], reach[last] - rank[last]
+
+
+_SEGMENT = ["anchor", "content", "doc", "s", "n", "rel"]
+_FOUND = ["doc", "s", "n", "anchor", "rel"]
+
+
+def _batch(columns: list[np.ndarray], names: list[str]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c.astype(np.int64)) for c in columns], names=names)
+
+
+def _segments(length: int, gram: int):
+    """Runs of windows with one anchor: one row per distinct run of a chunk, and merged intervals (rel -1) of the rest."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in X.slices(whole):
+                data, off = X.column_bytes(b.column("text"))
+                count = np.maximum(np.diff(off) - length + 1, 0)
+                if not count.sum():
+                    continue
+                ids = b.column("doc").to_numpy(zero_copy_only=False)
+                prefix = X.prefix_hash(data)
+                at, h = least_grams(prefix, len(data), length, gram)
+                begin = np.concatenate(([0], np.cumsum(count)))
+                row = np.repeat(np.arange(len(count)), count)
+                start = np.arange(begin[-1]) - np.repeat(begin[:-1], count) + np.repeat(off[:-1], count)
+                anchor = at[start]
+                new = np.concatenate(([True], (anchor[1:] != anchor[:-1]) | (row[1:] != row[:-1])))
+                first = np.flatnonzero(new)
+                n = np.diff(np.append(first, len(start)))
+                s, row, anchor = start[first], row[first], anchor[first].astype(np.int64)
+                key = X.mix(h[anchor])
+                rel = anchor - s
+                content = X.mix(X.span_hash(prefix, s, s + n - 1 + length) + rel.astype(np.uint64))
+                doc, inner = ids[row], s - off[row]
+                by = np.lexsort((inner, doc, content, key))
+                one = np.concatenate(([True], (key[by][1:] != key[by][:-1]) | (content[by][1:] != content[by][:-1])))
+                keep, again = by[one], by[~one]
+                d, lo, hi = merged(doc[again], inner[again], inner[again] + n[again] - 1 + length)
+                yield _batch([key[keep].view(np.int64), content[keep].view(np.int64), doc[keep], inner[keep], n[keep], rel[keep]], _SEGMENT)
+                if len(d):
+                    yield _batch([X.mix(d.view(np.uint64)).view(np.int64), np.zeros(len(d)), d, lo, hi - lo, np.full(len(d), -1)], _SEGMENT)
+
+    return run
+
+
+def _resolve(length: int):
+    """Rows sorted by anchor, then place. Later equal runs become intervals; anchors with several contents are asked for."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        current: int | None = None
+        seen: set[int] = set()
+        lone: tuple | None = None  # the only content of the current anchor so far
+        for b in batches:
+            anchor, content, doc, s, n, rel = (b.column(c).to_numpy(zero_copy_only=False) for c in _SEGMENT)
+            out: list[list[np.ndarray]] = []
+            ready = rel < 0
+            if ready.any():
+                out.append([doc[ready], s[ready], n[ready], anchor[ready], rel[ready]])
+                anchor, content, doc, s, n, rel = (x[~ready] for x in (anchor, content, doc, s, n, rel))
+            if not len(anchor):
+                if out:
+                    yield _batch([np.concatenate(c) for c in zip(*out, strict=True)], _FOUND)
+                continue
+            front = int(np.argmax(anchor != current)) if (anchor != current).any() else len(anchor)
+            back = len(anchor) if front == len(anchor) else int(len(anchor) - np.argmax(anchor[::-1] != anchor[-1])) if (anchor != anchor[-1]).any() else 0
+            back = max(back, front)
+            rows: list[tuple] = []
+
+            def step(i: int) -> None:
+                nonlocal current, seen, lone
+                if anchor[i] != current:
+                    current, seen, lone = anchor[i], set(), None
+                if content[i] in seen:
+                    rows.append((doc[i], s[i], n[i] - 1 + length, anchor[i], -1))
+                    return
+                mine = (doc[i], s[i], n[i], anchor[i], rel[i])
+                if not seen:
+                    lone = mine
+                else:
+                    if lone is not None:
+                        rows.append(lone)
+                        lone = None
+                    rows.append(mine)
+                seen.add(content[i])
+
+            for i in range(front):
+                step(i)
+            if back > front:
+                a, c = anchor[front:back], content[front:back]
+                group = np.concatenate(([0], np.cumsum(a[1:] != a[:-1])))
+                by = np.lexsort((np.arange(len(a)), c, group))
+                one = np.concatenate(([True], (group[by][1:] != group[by][:-1]) | (c[by][1:] != c[by][:-1])))
+                several = np.bincount(group[by[one]], minlength=group[-1] + 1) > 1
+                ask = by[one][several[group[by[one]]]] + front
+                again = by[~one] + front
+                out.append([doc[ask], s[ask], n[ask], anchor[ask], rel[ask]])
+                out.append([doc[again], s[again], n[again] - 1 + length, anchor[again], np.full(len(again), -1)])
+            for i in range(back, len(anchor)):
+                step(i)
+            if rows:
+                out.append([np.array(c, dtype=np.int64) for c in zip(*rows, strict=True)])
+            if out:
+                yield _batch([np.concatenate(c) for c in zip(*out, strict=True)], _FOUND)
+
+    return run
+
+
+def _cut_out(length: int):
+    """The bytes of the asked runs; a hot anchor's windows go one by one, dealt by their own content."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in X.slices(whole):
+                rows = []
+                for doc, text, asks in zip(b.column("doc").to_pylist(), b.column("text").cast(pa.binary()).to_pylist(), b.column("asks").to_pylist(), strict=True):
+                    for a in asks:
+                        raw = text[a["s"] : a["s"] + a["n"] - 1 + length]
+                        if not a["hot"]:
+                            rows.append((a["anchor"], doc, a["s"], a["n"], raw))
+                            continue
+                        d = np.frombuffer(raw, dtype=np.uint8)
+                        p = X.prefix_hash(d)
+                        i = np.arange(a["n"])
+                        for t, h in enumerate(X.span_hash(p, i, i + length).view(np.int64).tolist()):
+                            rows.append((h, doc, a["s"] + t, 1, raw[t : t + length]))
+                if rows:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["anchor", "doc", "s", "n", "raw"])
+
+    return run
+
+
+def repeats_in_block(raws: list[bytes], doc: np.ndarray, s: np.ndarray, n: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Intervals of windows that stand earlier in another segment of the block: suffix sort, adjacent prefixes."""
+    data = np.frombuffer(b"".join(raws), dtype=np.uint8)
+    size = np.array([len(r) for r in raws])
+    begin = np.concatenate(([0], np.cumsum(size)))[:-1]
+    segment = np.repeat(np.arange(len(n)), n)
+    inner = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+    window = np.full(len(data), -1, dtype=np.int64)
+    window[begin[segment] + inner] = np.arange(len(segment))
+    order = suffix_array(data, length + 4)
+    order = order[window[order] >= 0]
+    group = np.cumsum(common_prefixes(data, order, length) < length)
+    w = window[order]
+    d, p = doc[segment[w]], s[segment[w]] + inner[w]
+    by = np.lexsort((p, d, group))
+    again = by[np.concatenate(([False], group[by][1:] == group[by][:-1]))]
+    return merged(d[again], p[again], p[again] + length)
+
+
+def _sort_blocks(length: int, block_bytes: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        raws: list[bytes] = []
+        doc: list[int] = []
+        s: list[int] = []
+        n: list[int] = []
+        held, last = 0, None
+
+        def flush():
+            nonlocal held
+            found = repeats_in_block(raws, np.array(doc), np.array(s), np.array(n), length)
+            raws.clear(), doc.clear(), s.clear(), n.clear()
+            held = 0
+            return found
+
+        for b in batches:
+            for a, d, at, k, raw in zip(*(b.column(c).to_pylist() for c in ("anchor", "doc", "s", "n", "raw")), strict=True):
+                if held >= block_bytes and a != last:
+                    d_, lo, hi = flush()
+                    if len(d_):
+                        yield _batch([d_, lo, hi - lo], ["doc", "s", "n"])
+                raws.append(raw), doc.append(d), s.append(at), n.append(k)
+                held += len(raw)
+                last = a
+        if raws:
+            d_, lo, hi = flush()
+            if len(d_):
+                yield _batch([d_, lo, hi - lo], ["doc", "s", "n"])
+
+    return run
+
+
+def _apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for whole in batches:
+        for b in X.slices(whole):
+            kept, removed, spans, size = [], [], [], []
+            for text, gone in zip(b.column("text").cast(pa.binary()).to_pylist(), b.column("gone").to_pylist(), strict=True):
+                text = text or b""
+                if gone:
+                    g = np.array([(x["s"], x["s"] + x["n"]) for x in gone], dtype=np.int64)
+                    _, lo, hi = merged(np.zeros(len(g), np.int64), g[:, 0], g[:, 1])
+                    edges = np.concatenate(([0], np.stack([lo, hi], axis=1).ravel(), [len(text)])).tolist()
+                    kept.append(b"".join(text[i:j] for i, j in zip(edges[::2], edges[1::2], strict=True)))
+                    removed.append(int((hi - lo).sum()))
+                    spans.append([{"s": i, "e": j} for i, j in zip(lo.tolist(), hi.tolist(), strict=True)])
+                else:
+                    kept.append(text)
+                    removed.append(0)
+                    spans.append([])
+                size.append(len(text))
+            names = [c for c in b.schema.names if c not in ("text", "gone")]
+            kind = pa.list_(pa.struct([("s", pa.int64()), ("e", pa.int64())]))
+            yield pa.RecordBatch.from_arrays(
+                [*[b.column(c) for c in names], pa.array(size, pa.int64()), pa.array(removed, pa.int64()), pa.array(spans, kind), pa.array(kept, pa.binary())],
+                names=[*names, "n_bytes", "n_removed", "spans", "kept"],
+            )
+
+
+def _numbered(df: DataFrame) -> DataFrame:
+    """``df`` with ``doc``: the id where ids are unique and none is null, else a number in the defined order."""
+    odd = df.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).filter("n > 1 OR doc_id IS NULL").take(1)
+    if not odd:
+        return df.withColumn("doc", F.col("doc_id"))
+    tag = F.xxhash64(F.coalesce("text", F.lit("")))
+    keys = df.select(F.col("doc_id").alias("_i"), tag.alias("_t")).distinct()
+    order = Window.orderBy(F.col("_i").asc_nulls_first(), "_t")  # ids and hashes only, and only for such tables
+    numbered = written(keys.withColumn("doc", F.row_number().over(order).cast("long")), "suffix-numbers")
+    return df.withColumn("_tag", tag).join(numbered, F.col("doc_id").eqNullSafe(F.col("_i")) & (F.col("_tag") == F.col("_t"))).drop("_i", "_t", "_tag")
+
+
+def remove_repeats(df: DataFrame, length: int = LENGTH, gram: int = GRAM, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """``df`` without its text, with n_bytes, n_removed, spans (removed byte ranges) and kept (remaining bytes)."""
+    spark = use_library(df.sparkSession)
+    plain = df.drop(*[c for c in df.columns if c in ("doc", "gone", "n_bytes", "n_removed", "spans", "kept", "_tag")])
+    docs = _numbered(plain)
+    texts = docs.select("doc", F.coalesce("text", F.lit("")).alias("text"))
+    parts = parts_for(text_bytes(df), 24 << 20, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    segments = texts.mapInArrow(_segments(length, gram), ", ".join(f"{c} long" for c in _SEGMENT))
+    dealt = segments.repartition(parts, "anchor").sortWithinPartitions("anchor", "doc", "s")
+    found = written(dealt.mapInArrow(_resolve(length), ", ".join(f"{c} long" for c in _FOUND)), "suffix-found")
+    free_shuffles(spark)
+
+    asked = found.filter("rel >= 0")
+    hot = asked.groupBy("anchor").agg(F.count(F.lit(1)).alias("c")).filter(F.col("c") > HOT_SEGMENTS).select("anchor", F.lit(True).alias("hot"))
+    marked = asked.join(hot, "anchor", "left").select("doc", F.struct("anchor", "s", "n", F.coalesce("hot", F.lit(False)).alias("hot")).alias("ask"))
+    per_doc = marked.groupBy("doc").agg(F.collect_list("ask").alias("asks"))
+    cut = texts.join(per_doc, "doc").mapInArrow(_cut_out(length), "anchor long, doc long, s long, n long, raw binary")
+    blocks = cut.repartition(parts, "anchor").sortWithinPartitions("anchor", "doc", "s")
+    sorted_out = written(blocks.mapInArrow(_sort_blocks(length, block_bytes), "doc long, s long, n long"), "suffix-sorted")
+    free_shuffles(spark)
+
+    gone = found.filter("rel < 0").select("doc", "s", "n").unionByName(sorted_out).groupBy("doc").agg(F.collect_list(F.struct("s", "n")).alias("gone"))
+    kind = T.ArrayType(T.StructType([T.StructField("s", T.LongType()), T.StructField("e", T.LongType())]))
+    rest = [f for f in plain.schema.fields if f.name != "text"]
+    schema = T.StructType([*rest, T.StructField("n_bytes", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("spans", kind), T.StructField("kept", T.BinaryType())])
+    return docs.join(gone, "doc", "left").select(*[f.name for f in rest], "text", "gone").mapInArrow(_apply, schema)
+
+
+def without_repeats(df: DataFrame, **options) -> DataFrame:
+    """The rows of ``df`` with repeated strings cut from the text; rows of which no word is left go.
+
+    A character that a cut splits is dropped as a whole. ``n_chars`` follows the new text if the table has it.
+    """
+    cut = remove_repeats(df, **options)
+    valid, mended = F.expr("try_validate_utf8(CAST(kept AS STRING))"), F.expr("make_valid_utf8(CAST(kept AS STRING))")
+    cut = cut.withColumn("text", F.coalesce(valid, F.regexp_replace(mended, "\ufffd", "")))
+    if "n_chars" in df.columns:
+        cut = cut.withColumn("n_chars", F.length("text").cast(df.schema["n_chars"].dataType))
+    return cut.filter((F.col("n_removed") == 0) | (F.expr("btrim(text, ' \t\n\x0b\x0c\r')") != "")).select(*df.columns)
+
+
+def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents at 100 bytes."""
+    out = remove_repeats(documents(spark, sf_dir).select("doc_id", "text"))
+    return out.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+
+
+QUERIES = {"op6_suffix_dedup": op6_suffix_dedup}
+ORACLES: dict[str, str] = {}
