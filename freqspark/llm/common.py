@@ -32,11 +32,12 @@ def shared_dir(spark: SparkSession) -> str:
     return _local_base[0]
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
+def written(df: DataFrame, name: str, by: str | None = None) -> DataFrame:
     """``df`` written as a table in the shared folder and read again: lineage ends here and survives executors."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/freqspark-{spark.sparkContext.applicationId}/{name}-{uuid.uuid4().hex[:12]}"
-    df.write.option("compression", "zstd").parquet(path)
+    out = df.write.option("compression", "zstd")
+    (out.partitionBy(by) if by else out).parquet(path)
     _written[path] = spark
     out = spark.read.schema(df.schema).parquet(path)
     out._written_path = path

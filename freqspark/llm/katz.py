@@ -1,2 +1,412 @@
-QUERIES: dict = {}
-ORACLES: dict = {}
+"""Katz backoff over word pairs: Good-Turing discounts, exactly normalised backoff weights, partitioned count tables.
+
+Words and pairs are counted in two exchanges between blocks of documents and buckets of keys. A block sends each bucket
+its distinct keys once, packed; the bucket adds the counts of all blocks and answers every block in the order asked. So
+a word or pair that all documents share costs one entry per block, never a row per occurrence, and no table of the
+vocabulary is ever broadcast. Pairs are dealt by their context, those of the most frequent contexts by pair.
+
+The model: for a context v with count c(v), P(w | v) = d(c) c(v, w) / c(v) for seen pairs and a(v) P(w) otherwise, where
+a(v) shares what the discounts leave over the unigrams not seen after v. P(w) discounts in the same way; its remainder
+is the probability of any unknown word. The end token is the first word's context. Where discounts leave a context
+nothing (all its pairs are frequent) every count of it is scaled by c(v) / (c(v) + 1), so sums stay exactly one.
+
+Defined cases: null and empty texts are one end token. A row without an id is training text, since its remainder is
+unknown. With no training text every token is unknown and has probability 1. Equal rows count as often as they stand.
+"""
+
+from __future__ import annotations
+
+import pickle
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import zstandard
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..session import use_library
+from . import textops as X
+from .common import crc_mod, documents, free_shuffles, parts_for, text_bytes, written
+
+END_HASH = np.uint64(0x9D5F3B21C7A46E0D)
+KEPT = 5  # counts above this are not discounted
+BLOCK_BYTES, BUCKET_BYTES = 8 << 20, 12 << 20
+_MESSAGE = "kind int, bucket int, block long, load binary"
+
+
+def squeeze(a: np.ndarray) -> tuple:
+    """A non-negative integer array as compressed byte planes of its least width."""
+    top = int(a.max()) if len(a) else 0
+    kind = np.uint8 if top < 1 << 8 else np.uint16 if top < 1 << 16 else np.uint32 if top < 1 << 32 else np.uint64
+    narrow = a.astype(kind)
+    planes = narrow.view(np.uint8).reshape(-1, narrow.itemsize).T.tobytes() if len(a) else b""
+    return np.dtype(kind).char, len(a), zstandard.ZstdCompressor(level=1).compress(planes)
+
+
+def stretch(packed: tuple) -> np.ndarray:
+    kind, n, planes = packed
+    width = np.dtype(kind).itemsize
+    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(planes, max_output_size=max(n * width, 1)), dtype=np.uint8)
+    return np.ascontiguousarray(raw.reshape(width, n).T).reshape(-1).view(kind).astype(np.uint64) if n else np.zeros(0, np.uint64)
+
+
+def _gaps(a: np.ndarray) -> np.ndarray:
+    return np.diff(a, prepend=np.uint64(0))
+
+
+def _dump(*parts) -> bytes:
+    return pickle.dumps(parts, protocol=5)
+
+
+def _rows(rows: list[tuple]) -> pa.RecordBatch:
+    kinds = (pa.int32(), pa.int32(), pa.int64(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["kind", "bucket", "block", "load"])
+
+
+def discounts(n: np.ndarray, kept: int = KEPT) -> np.ndarray:
+    """Good-Turing ratios for counts 0..kept+1 from how many keys have each count (``n[r]``, r up to kept + 1).
+
+    Katz's form, which leaves counts above ``kept`` whole. Where the data give no ratio in (0, 1) for a count, it is
+    r / (r + 1), so counts keep their order.
+    """
+    out = np.ones(kept + 2)
+    common = (kept + 1) * n[kept + 1] / n[1] if n[1] else 1.0
+    for r in range(1, kept + 1):
+        turing = (r + 1) * n[r + 1] / (r * n[r]) if n[r] else 0.0
+        ratio = (turing - common) / (1 - common) if common < 1 else 0.0
+        out[r] = ratio if 0 < ratio < 1 else r / (r + 1)
+    return out
+
+
+class Unigrams:
+    """Discounted unigram probabilities from totals alone: c(w) is all that is needed of a word."""
+
+    def __init__(self, total: int, words: int, n: np.ndarray) -> None:
+        self.total, self.words = total, words
+        self.d = discounts(n)
+        mass = sum((1 - self.d[r]) * r * n[r] for r in range(1, KEPT + 1)) / total if total else 1.0
+        self.scale = 1.0
+        if total and mass <= 0:
+            self.scale, mass = total / (total + 1), 1 / (total + 1)
+        self.unknown = mass if total else 1.0
+
+    def p(self, c: np.ndarray) -> np.ndarray:
+        c = c.astype(np.float64)
+        seen = self.scale * self.d[np.minimum(c, KEPT + 1).astype(int)] * c / max(self.total, 1)
+        return np.where(c > 0, seen, self.unknown)
+
+
+def backoff(d: np.ndarray, c: np.ndarray, rare: np.ndarray, known: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Per context: factor on its seen pairs and backoff weight. ``rare[:, r - 1]`` pairs have count r; ``known`` is
+    the unigram mass of all seen words."""
+    left = (rare * ((1 - d[1 : KEPT + 1]) * np.arange(1, KEPT + 1))).sum(axis=1) / np.maximum(c, 1)
+    none = left <= 0
+    factor = np.where(none, c / (c + 1), 1.0)
+    left = np.where(none, 1 / (c + 1), left)
+    return factor, left / np.maximum(1 - known, 1e-12)
+
+
+def _bucket(h: np.ndarray, buckets: int) -> np.ndarray:
+    return ((h >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)
+
+
+def _blocks(buckets: int, block_bytes: int):
+    """kind 0: a block's documents and local tokens; kind 1: its distinct words and their training counts, by bucket."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        base = TaskContext.get().partitionId() << 32
+        number, held = 0, 0
+        parts: list[tuple] = []
+
+        def flush() -> pa.RecordBatch:
+            nonlocal number, held, parts
+            ids = [i for p in parts for i in p[0]]
+            out = np.array([o for p in parts for o in p[1]], dtype=bool)
+            size = np.concatenate([p[2] for p in parts])
+            words, local = np.unique(np.concatenate([p[3] for p in parts]), return_inverse=True)
+            train = np.repeat(~out, size)
+            count = np.bincount(local[train], minlength=len(words))
+            block = base + number
+            rows = [(0, 0, block, _dump(ids, out, squeeze(size), squeeze(local)))]
+            cut = np.searchsorted(_bucket(words, buckets), np.arange(buckets + 1))
+            for k in range(buckets):
+                a, b = cut[k], cut[k + 1]
+                if b > a:
+                    rows.append((1, k, block, _dump(squeeze(_gaps(words[a:b])), squeeze(count[a:b]))))
+            number, held, parts = number + 1, 0, []
+            return _rows(rows)
+
+        for whole in batches:
+            for b in X.slices(whole):
+                data, off = X.column_bytes(b.column("text"))
+                h, first = X.word_hashes(data, off)
+                n = np.diff(first)
+                tokens = np.insert(h, first[1:], END_HASH)  # an end after each text's words
+                parts.append((b.column("doc_id").to_pylist(), b.column("held_out").to_pylist(), n + 1, tokens))
+                held += len(data) + 64 * len(n)
+                if held >= block_bytes:
+                    yield flush()
+        if parts:
+            yield flush()
+
+    return run
+
+
+def _per_bucket(batches: Iterator[pa.RecordBatch], answer):
+    """Rows arrive sorted by bucket; ``answer(bucket, blocks, loads)`` gives the rows to send back."""
+    at, blocks, loads = None, [], []
+    for b in batches:
+        for bucket, block, load in zip(b.column("bucket").to_pylist(), b.column("block").to_pylist(), b.column("load").to_pylist(), strict=True):
+            if bucket != at:
+                if loads:
+                    yield _rows(answer(at, blocks, loads))
+                at, blocks, loads = bucket, [], []
+            blocks.append(block)
+            loads.append(pickle.loads(load))
+    if loads:
+        yield _rows(answer(at, blocks, loads))
+
+
+def _count_words(buckets: int):
+    """kind 2: numbers (0 for words without training count, else unique) and counts in the order asked; kind 3: totals."""
+
+    def answer(bucket: int, blocks: list[int], loads: list[tuple]) -> list[tuple]:
+        hashes = [np.cumsum(stretch(x[0]), dtype=np.uint64) for x in loads]
+        counts = [stretch(x[1]).astype(np.int64) for x in loads]
+        words, where = np.unique(np.concatenate(hashes), return_inverse=True)
+        c = np.bincount(where, np.concatenate(counts), minlength=len(words)).astype(np.int64)
+        number = np.where(c > 0, np.cumsum(c > 0) * buckets + bucket, 0)
+        rows, at = [], 0
+        for block, h in zip(blocks, hashes, strict=True):
+            mine = where[at : at + len(h)]
+            rows.append((2, bucket, block, _dump(squeeze(number[mine]), squeeze(c[mine]))))
+            at += len(h)
+        top = np.argsort(-c, kind="stable")[:64]
+        rows.append((3, bucket, 0, _dump(int(c.sum()), int((c > 0).sum()), np.bincount(c[(c > 0) & (c <= KEPT + 1)], minlength=KEPT + 2), number[top], c[top])))
+        return rows
+
+    def run(batches):
+        yield from _per_bucket(batches, answer)
+
+    return run
+
+
+def _block_words(answers: list[dict]) -> tuple[np.ndarray, np.ndarray]:
+    """A block's word numbers and counts, its buckets' answers end to end (words are in hash order, so by bucket)."""
+    loads = [pickle.loads(a["load"]) for a in sorted(answers, key=lambda a: a["bucket"])]
+    return np.concatenate([stretch(x[0]) for x in loads]).astype(np.int64), np.concatenate([stretch(x[1]) for x in loads]).astype(np.int64)
+
+
+class _Pairs:
+    """A block's distinct pairs of known words in one fixed order: by bucket, context number, word number."""
+
+    def __init__(self, load: bytes, answers: list[dict], buckets: int, hot: np.ndarray) -> None:
+        self.ids, self.out, size, local = pickle.loads(load)
+        self.size, self.local = stretch(size).astype(np.int64), stretch(local).astype(np.int64)
+        self.number, self.count = _block_words(answers)
+        first = np.concatenate(([0], np.cumsum(self.size)))[:-1]
+        before = np.empty_like(self.local)
+        before[1:] = self.local[:-1]
+        before[first] = self.local[-1]  # every text's last token is the end
+        self.before = before
+        n = len(self.number)
+        both = (self.count[before] > 0) & (self.count[self.local] > 0)
+        self.both = np.flatnonzero(both)
+        key, self.pair = np.unique(before[self.both] * n + self.local[self.both], return_inverse=True)
+        v, w = key // max(n, 1), key % max(n, 1)
+        train = np.repeat(~self.out, self.size)[self.both]
+        times = np.bincount(self.pair[train], minlength=len(key))
+        vn, wn = self.number[v], self.number[w]
+        h = X.mix(vn.astype(np.uint64))
+        split = np.isin(vn, hot)
+        h = np.where(split, X.mix(h * np.uint64(3) + wn.astype(np.uint64)), h)
+        bucket = _bucket(h, buckets)
+        by = np.lexsort((wn, vn, bucket))
+        self.v, self.w, self.vn, self.wn, self.times, self.bucket = v[by], w[by], vn[by], wn[by], times[by], bucket[by]
+        # contexts before unknown words, whose weights are needed though no pair is asked
+        lone = np.unique(before[(self.count[before] > 0) & (self.count[self.local] == 0)])
+        lone = np.unique(self.number[lone])
+        self.lone = lone[~np.isin(lone, hot)]
+        self.lone_bucket = _bucket(X.mix(self.lone.astype(np.uint64)), buckets)
+        place = np.empty(len(by), dtype=np.int64)
+        place[by] = np.arange(len(by))
+        self.pair = place[self.pair]
+
+
+def _pairs_out(buckets: int, hot: np.ndarray):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for block, load, answers in zip(b.column("block").to_pylist(), b.column("load").to_pylist(), b.column("answers").to_pylist(), strict=True):
+                p = _Pairs(load, answers, buckets, hot)
+                cut = np.searchsorted(p.bucket, np.arange(buckets + 1))
+                rows = []
+                for k in range(buckets):
+                    a, z = cut[k], cut[k + 1]
+                    lone = p.lone[p.lone_bucket == k]
+                    if z > a or len(lone):
+                        vn, wn = p.vn[a:z].astype(np.uint64), p.wn[a:z]
+                        heads = np.flatnonzero(np.concatenate(([z > a], vn[1:] != vn[:-1])))
+                        runs = np.diff(np.append(heads, z - a))
+                        rows.append((4, k, block, _dump(squeeze(_gaps(vn[heads])), squeeze(runs), squeeze(wn), squeeze(p.times[a:z]), squeeze(p.count[p.w[a:z]]), squeeze(_gaps(lone.astype(np.uint64))))))
+                if rows:
+                    yield _rows(rows)
+
+    return run
+
+
+def _count_pairs(unigrams: Unigrams, hot: np.ndarray):
+    """kind 5: pair counts in the order asked, then rare counts and known mass of the contexts whose weight or scale the
+    block needs.
+    kind 6: counts of counts. kind 7: the same per hot context, whose pairs lie in many buckets."""
+
+    def answer(bucket: int, blocks: list[int], loads: list[tuple]) -> list[tuple]:
+        asked, times, words = [], [], []
+        lone = []
+        for heads, runs, wn, t, c, alone in loads:
+            lone.append(np.cumsum(stretch(alone), dtype=np.uint64).astype(np.int64))
+            v = np.repeat(np.cumsum(stretch(heads), dtype=np.uint64), stretch(runs).astype(np.int64))
+            asked.append(np.stack([v, stretch(wn)], axis=1).astype(np.int64))
+            times.append(stretch(t).astype(np.int64))
+            words.append(stretch(c).astype(np.int64))
+        everything = np.concatenate(asked)
+        by = np.lexsort((everything[:, 1], everything[:, 0]))
+        s = everything[by]
+        new = np.concatenate(([True], (s[1:] != s[:-1]).any(axis=1)))
+        where = np.empty(len(by), dtype=np.int64)
+        where[by] = np.cumsum(new) - 1
+        c = np.bincount(where, np.concatenate(times)).astype(np.int64)
+        v = s[new, 0]
+        p = unigrams.p(np.concatenate(words)[by][new])
+        contexts, row = np.unique(v, return_inverse=True)
+        seen = c > 0
+        known = np.bincount(row[seen], p[seen], minlength=len(contexts))
+        rare = np.zeros((len(contexts), KEPT), dtype=np.int64)
+        few = seen & (c <= KEPT)
+        np.add.at(rare, (row[few], c[few] - 1), 1)
+        bare = rare.sum(axis=1) == 0  # nothing to discount: their seen pairs are scaled
+        rows, at = [], 0
+        for block, pairs, alone in zip(blocks, asked, lone, strict=True):
+            mine = where[at : at + len(pairs)]
+            at += len(pairs)
+            open_ = np.union1d(row[mine[(c[mine] == 0) | bare[row[mine]]]], np.searchsorted(contexts, alone))
+            open_ = open_[~np.isin(contexts[open_], hot)]
+            rows.append((5, bucket, block, _dump(squeeze(c[mine]), squeeze(_gaps(contexts[open_].astype(np.uint64))), rare[open_].astype(np.uint32), known[open_])))
+        rows.append((6, bucket, 0, _dump(np.bincount(c[seen & (c <= KEPT + 1)], minlength=KEPT + 2))))
+        own = np.flatnonzero(np.isin(contexts, hot))
+        if len(own):
+            rows.append((7, bucket, 0, _dump(contexts[own], rare[own], known[own])))
+        return rows
+
+    def run(batches):
+        yield from _per_bucket(batches, answer)
+
+    return run
+
+
+_SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+
+
+def _evaluate(unigrams: Unigrams, d: np.ndarray, buckets: int, hot: np.ndarray, hot_rare: np.ndarray, hot_known: np.ndarray):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for load, answers, counts in zip(b.column("load").to_pylist(), b.column("answers").to_pylist(), b.column("counts").to_pylist(), strict=True):
+                p = _Pairs(load, answers, buckets, hot)
+                got = [pickle.loads(a["load"]) for a in sorted(counts or [], key=lambda a: a["bucket"])]
+                c = np.concatenate([stretch(x[0]) for x in got]).astype(np.int64) if got else np.zeros(0, np.int64)
+                contexts = np.concatenate([np.cumsum(stretch(x[1]), dtype=np.uint64).astype(np.int64) for x in got] + [hot])
+                rare = np.concatenate([x[2].reshape(-1, KEPT).astype(np.int64) for x in got] + [hot_rare])
+                known = np.concatenate([x[3] for x in got] + [hot_known])
+                one = unigrams.p(p.count)
+                log = np.log10(one[p.local])  # contexts without training count back off with weight one
+                # a known context before an unknown word, or a known word unseen there, backs off with its weight
+                cv = p.count[p.v].astype(np.float64)
+                by = np.argsort(contexts)
+                at, there = X.find(contexts[by], p.number)
+                factor, weight = np.ones(len(p.number)), np.ones(len(p.number))
+                if there.any():
+                    k = by[at[there]]
+                    factor[there], weight[there] = backoff(d, p.count[there].astype(np.float64), rare[k], known[k])
+                seen = d[np.minimum(c, KEPT + 1)] * c / np.maximum(cv, 1)
+                pair = np.where(c > 0, seen * factor[p.v], weight[p.v] * one[p.w])
+                log[p.both] = np.log10(pair)[p.pair]
+                strange = np.flatnonzero((p.count[p.local] == 0) & (p.count[p.before] > 0))
+                log[strange] = np.log10(weight[p.before[strange]] * unigrams.unknown)
+                begin = np.concatenate(([0], np.cumsum(p.size)))
+                base = np.log10((p.count[p.local] + 1) / (unigrams.total + 1 * (unigrams.words + 1)))
+                n = len(p.size)
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        pa.array(p.ids, pa.int64()),
+                        pa.array(p.out),
+                        pa.array(p.size),
+                        pa.array(X.sums_per_text((p.count[p.local] > 0).astype(np.float64), begin).astype(np.int64)),
+                        pa.array(np.full(n, unigrams.total, dtype=np.int64)),
+                        pa.array(np.add.reduceat(base, begin[:-1])),
+                        pa.array(np.add.reduceat(log, begin[:-1])),
+                    ],
+                    names=[c.split()[0] for c in _SCORES.split(", ")],
+                )
+
+    return run
+
+
+class KatzModel:
+    """Fitted totals, and the written tables of word and pair counts that the scores are read from."""
+
+    def __init__(self, blocks, words, pairs, unigrams: Unigrams, d: np.ndarray, buckets: int, hot, hot_rare, hot_known) -> None:
+        self.blocks, self.words, self.pairs = blocks, words, pairs
+        self.unigrams, self.d, self.buckets = unigrams, d, buckets
+        self.hot, self.hot_rare, self.hot_known = hot, hot_rare, hot_known
+
+    def _with_words(self) -> DataFrame:
+        told = self.words.filter("kind = 2").groupBy("block").agg(F.collect_list(F.struct("bucket", "load")).alias("answers"))
+        return self.blocks.filter("kind = 0").select("block", "load").join(told, "block")
+
+    def scores(self) -> DataFrame:
+        counts = self.pairs.filter("kind = 5").groupBy("block").agg(F.collect_list(F.struct("bucket", "load")).alias("counts"))
+        rows = self._with_words().join(counts, "block", "left").select("load", "answers", "counts")
+        return rows.mapInArrow(_evaluate(self.unigrams, self.d, self.buckets, self.hot, self.hot_rare, self.hot_known), _SCORES)
+
+
+def _totals(table: DataFrame, kind: int) -> list[tuple]:
+    """The packed totals of one kind: a few numbers per bucket."""
+    return [pickle.loads(bytes(r["load"])) for r in table.filter(F.col("kind") == kind).select("load").toLocalIterator()]
+
+
+def fit(df: DataFrame, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = BUCKET_BYTES) -> KatzModel:
+    """Count and fit on the rows of ``df`` (doc_id, held_out, text) that are not held out; all rows can be scored."""
+    spark = use_library(df.sparkSession)
+    buckets = parts_for(text_bytes(df), bucket_bytes)
+    blocks = written(df.select("doc_id", "held_out", "text").mapInArrow(_blocks(buckets, block_bytes), _MESSAGE), "katz-blocks", by="kind")
+    deal = lambda t: t.repartition(buckets, "bucket").sortWithinPartitions("bucket", "block").select("kind", "bucket", "block", "load")
+    words = written(deal(blocks.filter("kind = 1")).mapInArrow(_count_words(buckets), _MESSAGE), "katz-words", by="kind")
+    totals = _totals(words, 3)
+    total, distinct = sum(t[0] for t in totals), sum(t[1] for t in totals)
+    unigrams = Unigrams(total, distinct, sum((t[2] for t in totals), np.zeros(KEPT + 2, dtype=np.int64)))
+    # contexts with more than a quarter of a bucket's share: at most four per bucket
+    hot = np.sort(np.array([n for t in totals for n, c in zip(t[3], t[4], strict=True) if c * 4 * buckets > total and n > 0], dtype=np.int64))
+    model = KatzModel(blocks, words, None, unigrams, np.ones(KEPT + 2), buckets, hot, None, None)
+    asked = model._with_words().mapInArrow(_pairs_out(buckets, hot), _MESSAGE)
+    model.pairs = written(deal(asked).mapInArrow(_count_pairs(unigrams, hot), _MESSAGE), "katz-pairs", by="kind")
+    free_shuffles(spark)
+    model.d = discounts(sum((t[0] for t in _totals(model.pairs, 6)), np.zeros(KEPT + 2, dtype=np.int64)))
+    rare, known = np.zeros((len(hot), KEPT), dtype=np.int64), np.zeros(len(hot))
+    for own, r, k in _totals(model.pairs, 7):
+        at = np.searchsorted(hot, own)
+        np.add.at(rare, at, r)
+        np.add.at(known, at, k)
+    model.hot_rare, model.hot_known = rare, known
+    return model
+
+
+def op2_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents, learned from those whose id's crc32 does not leave 2 modulo 7."""
+    docs = documents(spark, sf_dir)
+    return fit(docs.select("doc_id", (F.coalesce(crc_mod("doc_id", 7), F.lit(-1)) == 2).alias("held_out"), "text")).scores()
+
+
+QUERIES = {"op2_katz": op2_katz}
+ORACLES: dict[str, str] = {}
