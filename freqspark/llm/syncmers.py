@@ -100,7 +100,7 @@ def _pairs(k: int, s: int, slots: int):
         held = None  # the last row seen, which waits for its successor
         bucket = None
         for whole in batches:
-            for b in X.slices(whole):
+            for b in X.slices(whole, limit=1 << 20):
                 ids, marks = b.column("doc_id").to_pylist(), b.column("ahead").to_pylist()
                 buckets, texts = b.column("bucket").to_pylist(), [t or "" for t in b.column("text").to_pylist()]
                 sketch = sketches(pa.array(texts, pa.large_string()), k, s, slots)
