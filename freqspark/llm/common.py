@@ -100,13 +100,14 @@ def parts_for(total: float, each: float, least: int = 1) -> int:
     return max(least, int(total // each) + 1)
 
 
-def bounded_sample(df: DataFrame, by: str, limit: int, *key: str) -> DataFrame:
-    """Near ``limit`` rows of each value of ``by``, chosen by a hash of ``key``: for fitting, at any input size.
+def bounded_sample(df: DataFrame, by: str, limit: int | dict, *key: str) -> DataFrame:
+    """Near ``limit`` rows (or its entry) of each value of ``by``, chosen by a hash of ``key``: for fitting, at any input size.
 
     Classes of at most ``limit`` rows stay whole. One count per class is all the driver holds.
     """
     counts = {r[by]: r["n"] for r in df.groupBy(by).agg(F.count(F.lit(1)).alias("n")).collect()}
-    big = {v: limit / n for v, n in counts.items() if n > limit}
+    most = {v: limit.get(v, n) if isinstance(limit, dict) else limit for v, n in counts.items()}
+    big = {v: most[v] / n for v, n in counts.items() if n > most[v]}
     draw = F.pmod(F.xxhash64(*key), F.lit(1 << 30)) / F.lit(float(1 << 30))
     keep = F.lit(True)
     for value, share in sorted(big.items(), key=str):

@@ -143,12 +143,11 @@ def mix(df: DataFrame, key: str = "doc_id", source: str = "source", weights: tup
 def mixed_documents(df: DataFrame, **options) -> DataFrame:
     """The rows of ``df``, each as often as the mix takes it. Rows equal in id and text are interchangeable."""
     plan = mix(df, **options).filter("copies > 0")
-    seed = options.get("seed", 7)
-    drawn = df.withColumn("_draw", F.xxhash64(F.lit(seed), F.col("doc_id"), F.xxhash64("text")))
-    # equal rows share a draw: their copies are summed and dealt once
-    per = plan.groupBy(F.col("doc_id").alias("_id"), F.col("draw").alias("_of")).agg(F.sum("copies").alias("_copies"))
-    once = drawn.dropDuplicates(["doc_id", "_draw"])
-    joined = once.join(per, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_draw") == F.col("_of")))
+    drawn = df.withColumn("_draw", F.xxhash64(F.lit(options.get("seed", 7)), F.col("doc_id"), F.xxhash64("text")))
+    per = written(plan.groupBy(F.col("doc_id").alias("_id"), F.col("draw").alias("_of")).agg(F.sum("copies").alias("_copies"), F.count(F.lit(1)).alias("_rows")), "mixing-copies")
+    if per.filter("_rows > 1").take(1):  # equal rows share a draw: their copies are summed and dealt to one of them
+        drawn = drawn.dropDuplicates(["doc_id", "_draw"])
+    joined = drawn.join(per, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_draw") == F.col("_of")))
     return joined.withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*df.columns)
 
 
