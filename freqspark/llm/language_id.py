@@ -12,6 +12,7 @@ and not read by the model.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,11 +25,14 @@ from . import textops as X
 from .common import bounded_sample, crc_mod, documents
 
 SAMPLE_DOCS = 500
-LONGEST_PIECE = 12
+LONGEST_PIECE = 8
 RUN = 40
 ROUNDS = 3
 FLOOR = 1e-7
-CACHE_WORDS = 250_000
+CACHE_WORDS = 400_000
+
+# runs of letters: signs and digits say nothing of a language
+_LETTERS = re.compile(r"[^\W\d_]+").findall
 
 
 def default_pieces() -> str:
@@ -165,7 +169,7 @@ class LanguageModel:
         import regex
 
         letter = regex.compile(r"\p{L}").search
-        split = [t.lower().split() if t and letter(t) else [] for t in texts]
+        split = [_LETTERS(t.lower()) or t.lower().split() if t and letter(t) else [] for t in texts]
         begin = np.concatenate(([0], np.cumsum([len(w) for w in split]))).astype(np.int64)
         like = X.sums_per_text(self.word_rows([w for ws in split for w in ws]), begin)
         n = np.diff(begin)
@@ -181,7 +185,7 @@ def train(df: DataFrame, text: str = "text", lang: str = "lang", sample_docs: in
     """Fit on near ``sample_docs`` whole texts of each language; the sample's word counts come to the driver."""
     path = pieces_path or default_pieces()
     rows = bounded_sample(df.filter(F.col(lang).isNotNull() & F.col(text).isNotNull()).select(lang, text), lang, sample_docs, lang, text)
-    words = rows.select(lang, F.explode(F.split(F.lower(text), r"\s+")).alias("w")).filter("w != ''").groupBy(lang, "w").agg(F.count(F.lit(1)).alias("n")).toPandas()
+    words = rows.select(lang, F.explode(F.split(F.lower(text), r"[^\p{L}]+")).alias("w")).filter("w != ''").groupBy(lang, "w").agg(F.count(F.lit(1)).alias("n")).toPandas()
     languages = sorted(words[lang].unique())
     pieces = vocabulary(path)
     code = {w: i for i, w in enumerate(sorted(words["w"].unique()))}
