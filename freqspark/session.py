@@ -36,3 +36,16 @@ def use_library(spark: SparkSession) -> SparkSession:
     if ROOT not in paths.split(os.pathsep):
         spark.sparkContext.environment["PYTHONPATH"] = os.pathsep.join(p for p in (ROOT, paths) if p)
     return spark
+
+
+def scratch(spark: SparkSession, name: str) -> str:
+    """A fresh folder for a stream's state: in the cluster's shared folder, or a temporary one under a local master."""
+    import tempfile
+    import uuid
+
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = tempfile.mkdtemp(prefix="freqspark-")
+    return f"{base.rstrip('/')}/freqspark-{name}-{uuid.uuid4().hex[:12]}"
