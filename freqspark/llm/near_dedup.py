@@ -1,11 +1,14 @@
 """Near-duplicate documents: banded MinHash, odd sketches, exact confirmation, components.
 
 Documents with equal shingle sets form a class and go on as one representative. Representatives that share a band of
-MinHash samples are candidates; the odd sketch (parities of the hashed samples) tells by the population count of an XOR
-how far two sets differ, and only pairs that may reach the threshold are confirmed on their full sets. In each band
-bucket every member is held against the bucket's smallest id first; the links found that way merge nearly all
-buckets into one component each. What is left over in a bucket is compared across components only, in blocks, so no
-pair of different texts goes unseen and no group is expanded into all its pairs.
+MinHash samples are candidates. In each band bucket every member is held against a leader, the smallest id at first, by
+their odd sketches (parities of the hashed samples), whose XOR population count tells how far two sets differ; members far
+from all leaders so far lead on. Pairs whose sketches allow the threshold join into clusters, linear in the members.
+
+Inside a cluster the links that matter are confirmed on full sets: pairs in order of their sketches' distance, skipping
+those already joined. A cluster of up to SMALL documents is one group of one task and each set travels once. A larger
+one is first confirmed against its leaders, which joins most of it; the members outside its largest component then meet
+all others in blocks. No pair leaves a task unless it is a link, and no group is expanded into all its pairs.
 
 The bands miss a pair at the threshold with probability (1 - t^rows)^bands, 1.4e-7 as set; the sketch's cut lies 5.3
 standard deviations beyond the threshold.
@@ -30,7 +33,7 @@ from .common import documents, drop_written, free_shuffles, written
 from .components import components
 
 BANDS, ROWS, SKETCH_BITS = 52, 6, 1024
-BLOCK = 1024
+BLOCK, SMALL = 1024, 4096
 
 
 def odd_sketches(samples: np.ndarray, bits: int = SKETCH_BITS) -> np.ndarray:
@@ -147,37 +150,140 @@ def confirmed(docs: DataFrame, pairs: DataFrame, words: int, percent: int) -> Da
     return sets.repartition("hub", "salt").sortWithinPartitions("hub", "salt", "role").mapInArrow(_compare(percent), "a long, b long").distinct()
 
 
-def _matrix(row: pa.StructScalar | pa.Array, field: str) -> np.ndarray:
-    return row.field(field).to_numpy(zero_copy_only=False)
+def _distances(one: np.ndarray, many: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(one[None] ^ many).sum(axis=1, dtype=np.int64)
+
+
+def _lead(cut: int, percent: int):
+    """Rows sorted by bucket and id. Pairs (leader, member) that size and sketch allow; who is near no leader leads."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at = None
+        ids: list[int] = []
+        sizes = np.zeros(0, np.int64)
+        odds = np.zeros((0, 0), np.uint64)
+        for b in batches:
+            found = []
+            odd = b.column("odd").flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(b.num_rows, -1)
+            for i, (bucket, rep, n) in enumerate(zip(b.column("bucket").to_pylist(), b.column("rep").to_pylist(), b.column("n").to_pylist(), strict=True)):
+                if bucket != at:
+                    at, ids, sizes, odds = bucket, [], np.zeros(0, np.int64), np.zeros((0, odd.shape[1]), np.uint64)
+                near = (_distances(odd[i], odds) <= cut) & (100 * np.minimum(sizes, n) >= percent * np.maximum(sizes, n)) if ids else np.zeros(0, bool)
+                if near.any():
+                    found += [(ids[j], rep) for j in np.flatnonzero(near)]
+                else:
+                    ids, sizes, odds = [*ids, rep], np.append(sizes, n), np.concatenate([odds, odd[i : i + 1]])
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found, strict=True)], names=["a", "b"])
+
+    return run
+
+
+def links_of(reps: list[int], comps: list[int], sets: list[np.ndarray], odds: np.ndarray, cut: int, percent: int, only: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """Links that join the components ``comps`` further: nearest sketches first, pairs already joined are skipped.
+
+    With ``only`` (a mask) a pair needs one of these on its side.
+    """
+    parent: dict[int, int] = {c: c for c in comps}
+
+    def root(x: int) -> int:
+        while parent[x] != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    size = np.array([len(x) for x in sets])
+    near: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    label = np.unique(np.array(comps), return_inverse=True)[1]
+    for i in range(len(reps)) if only is None else np.flatnonzero(only):
+        ok = label != label[i]
+        ok[: i + 1] &= only is not None
+        if only is not None:
+            ok &= ~only | (np.arange(len(reps)) > i)
+        ok &= 100 * np.minimum(size, size[i]) >= percent * np.maximum(size, size[i])
+        j = np.flatnonzero(ok)
+        if len(j):
+            d = _distances(odds[i], odds[j])
+            keep = d <= cut
+            if keep.any():
+                near.append((d[keep], np.full(keep.sum(), i), j[keep]))
+    if not near:
+        return []
+    d, x, y = (np.concatenate(c) for c in zip(*near, strict=True))
+    out = []
+    for k in np.argsort(d, kind="stable"):
+        i, j = int(x[k]), int(y[k])
+        p, q = root(comps[i]), root(comps[j])
+        if p == q:
+            continue
+        both = int(X.find(sets[i], sets[j])[1].sum())
+        if 100 * both >= percent * (len(sets[i]) + len(sets[j]) - both):
+            parent[p] = q
+            out.append((min(reps[i], reps[j]), max(reps[i], reps[j])))
+    return out
+
+
+_MEMBER = "cluster long, x int, y int, side int, rep long, comp long, odd array<long>, items binary"
+
+
+def _emit_members(words: int):
+    """A document's set to every group of its cluster that it sits in."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in X.slices(whole):
+                values, begin = _sets(b, words)
+                row, seats = [], []
+                for i, own in enumerate(b.column("seats").to_pylist()):
+                    row += [i] * len(own)
+                    seats += own
+                if not row:
+                    continue
+                at = pa.array(row)
+                raw = [values[begin[i] : begin[i + 1]].tobytes() for i in range(b.num_rows)]
+                column = lambda c, t: pa.array([s[c] for s in seats], t)
+                yield pa.RecordBatch.from_arrays(
+                    [b.column("cluster").take(at), column("x", pa.int32()), column("y", pa.int32()), column("side", pa.int32()), b.column("rep").take(at), b.column("comp").take(at), b.column("odd").take(at), pa.array([raw[i] for i in row], pa.binary())],
+                    names=["cluster", "x", "y", "side", "rep", "comp", "odd", "items"],
+                )
 
+    return run
 
-def _across(cut: int, percent: int):
-    """Pairs of one bucket's stray block and member block that lie in different components and pass size and sketch."""
 
-    def unpack(items: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        odd = items.field("odd")
-        return _matrix(items, "rep"), _matrix(items, "comp"), _matrix(items, "n"), odd.flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(len(items), -1)
+def _link_groups(cut: int, percent: int):
+    """Rows sorted by (cluster, x, y): one group's links at a time. Side 1 are the strays of a split cluster."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, rows = None, []
+
+        def flush():
+            reps, comps, sides, odds, sets = (list(c) for c in zip(*rows, strict=True))
+            only = np.array(sides) == 1
+            found = links_of(reps, comps, sets, np.stack(odds), cut, percent, None if only.all() or not only.any() else only)
+            rows.clear()
+            return pa.RecordBatch.from_arrays([pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], names=["a", "b"])
+
         for b in batches:
-            left, right = b.column("strays"), b.column("members")
-            for i in range(b.num_rows):
-                ra, ca, na, oa = unpack(left[i].values)
-                rb, cb, nb, ob = unpack(right[i].values)
-                for at in range(0, len(ra), 128):
-                    sl = slice(at, at + 128)
-                    small, large = np.minimum(na[sl, None], nb[None]), np.maximum(na[sl, None], nb[None])
-                    may = (ca[sl, None] != cb[None]) & (100 * small >= percent * large)
-                    x, y = np.nonzero(may)
-                    if len(x):
-                        near = np.bitwise_count(oa[sl][x] ^ ob[y]).sum(axis=1, dtype=np.int64) <= cut
-                        p, q = ra[sl][x[near]], rb[y[near]]
-                        if len(p):
-                            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(p, q)), pa.array(np.maximum(p, q))], names=["a", "b"])
+            odd = b.column("odd").flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(b.num_rows, -1)
+            for i, (c, x, y, side, rep, comp, raw) in enumerate(zip(*(b.column(k).to_pylist() for k in ("cluster", "x", "y", "side", "rep", "comp", "items")), strict=True)):
+                if at != (c, x, y):
+                    if rows:
+                        yield flush()
+                    at = (c, x, y)
+                rows.append((rep, comp, side, odd[i].copy(), np.frombuffer(raw, dtype=np.uint64)))
+        if rows:
+            yield flush()
 
     return run
 
 
+def _grouped_links(docs: DataFrame, seated: DataFrame, words: int, cut: int, percent: int) -> DataFrame:
+    """Links inside the groups that ``seated`` (rep, cluster, comp, odd, seats) deals."""
+    texts = docs.select(F.col("doc_id").alias("rep"), "text").join(seated, "rep")
+    members = texts.select("rep", "cluster", "comp", "odd", "seats", "text").mapInArrow(_emit_members(words), _MEMBER)
+    return members.repartition("cluster", "x", "y").sortWithinPartitions("cluster", "x", "y", "rep").mapInArrow(_link_groups(cut, percent), "a long, b long")
+
+
 def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, bits: int = SKETCH_BITS) -> DataFrame:
     """Per row of ``df`` (doc_id, text): doc_id, n_shingles, component_id, kept."""
     spark = use_library(df.sparkSession)
@@ -196,28 +302,41 @@ def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int
     light = heads.select("rep", "n", "odd")
     of = lambda s: light.select(F.col("rep").alias(s), F.col("n").alias(f"n_{s}"), F.col("odd").alias(f"odd_{s}"))
     apart = "aggregate(zip_with(odd_a, odd_b, (x, y) -> bit_count(x ^ y)), 0, (s, x) -> s + x)"
-    stars = members.select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct()
-    stars = stars.join(of("b"), "b").join(of("a"), "a").filter(f"100 * least(n_a, n_b) >= {percent} * greatest(n_a, n_b)").filter(F.expr(apart) <= cut).select("a", "b")
-    stars = written(stars, "near-stars")
-    links = written(confirmed(docs, stars, words, percent), "near-links")
+    tested = members.select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct().join(of("b"), "b").join(of("a"), "a")
+    tested = written(tested.select("a", "b", (F.expr(f"100 * least(n_a, n_b) >= {percent} * greatest(n_a, n_b)") & (F.expr(apart) <= cut)).alias("near")), "near-tested")
+    # members far from their bucket's hub: where two of them meet, leaders among them take its place
+    far = members.join(tested.filter("NOT near").select(F.col("a").alias("hub"), F.col("b").alias("rep")), ["hub", "rep"]).select("bucket", "rep")
+    left = far.join(far.groupBy("bucket").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("bucket"), "bucket").join(light, "rep")
+    led = left.repartition("bucket").sortWithinPartitions("bucket", "rep").select("bucket", "rep", "n", "odd").mapInArrow(_lead(cut, percent), "a long, b long")
+    stars = written(tested.filter("near").select("a", "b").unionByName(led).distinct(), "near-stars")
+    drop_written(members, tested)
     free_shuffles(spark)
-    comp = components(links, "near-components")
 
-    # buckets that still hold several components, without their hubs, which have been held against every member
-    labelled = members.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", F.coalesce("component", "rep").alias("comp"))
-    mixed = labelled.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("size")).filter("lo <> hi").select("bucket", "size")
-    open_ = written(labelled.join(mixed, "bucket"), "near-open")
-    main = open_.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("c")).groupBy("bucket").agg(F.max_by("comp", "c").alias("main"))
-    seat = F.struct("rep", "comp", "n", "odd").alias("seat")
-    placed = open_.join(light, "rep").withColumn("salt", F.pmod(F.xxhash64("rep"), F.ceil(F.col("size") / BLOCK)))
-    blocks = placed.groupBy("bucket", "salt").agg(F.collect_list(seat).alias("members"))
-    strays = placed.join(main, "bucket").filter("comp <> main").groupBy("bucket", "salt").agg(F.collect_list(seat).alias("strays"))
-    crossed = strays.select("bucket", "strays").join(blocks.select("bucket", "members"), "bucket").select("strays", "members")
-    rest = written(crossed.mapInArrow(_across(cut, percent), "a long, b long").distinct().join(stars, ["a", "b"], "left_anti"), "near-rest")
-    if rest.take(1):
-        links = written(links.unionByName(confirmed(docs, rest, words, percent)), "near-all-links")
-        comp = components(links, "near-final")
-    drop_written(heads, members, stars, open_, rest)
+    cluster = components(stars, "near-clusters").withColumnRenamed("component", "cluster").withColumnRenamed("node", "rep")
+    sized = cluster.groupBy("cluster").agg(F.count(F.lit(1)).alias("size"))
+    placed = written(cluster.join(sized, "cluster").join(light, "rep"), "near-placed")
+    one_group = F.array(F.struct(F.lit(0).alias("x"), F.lit(0).alias("y"), F.lit(0).alias("side")))
+    small = placed.filter(F.col("size") <= SMALL).select("rep", "cluster", F.col("rep").alias("comp"), "odd", one_group.alias("seats"))
+    links = written(_grouped_links(docs, small, words, cut, percent), "near-links")
+    large = placed.filter(F.col("size") > SMALL)
+    if large.take(1):
+        inside = stars.join(large.select(F.col("rep").alias("a")), "a", "left_semi")
+        first = written(confirmed(docs, inside, words, percent), "near-large-links")
+        so_far = components(first, "near-large").withColumnRenamed("node", "rep")
+        at = written(large.join(so_far, "rep", "left").select("rep", "cluster", F.coalesce("component", "rep").alias("comp"), "odd"), "near-large-placed")
+        main = at.groupBy("cluster", "comp").agg(F.count(F.lit(1)).alias("c")).groupBy("cluster").agg(F.max_by("comp", "c").alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_rest")).filter("n_rest > 0")
+        deal = at.join(main, "cluster").withColumns({"bm": F.ceil(F.col("n_main") / BLOCK).cast("int"), "bs": F.ceil(F.col("n_rest") / BLOCK).cast("int"), "h": F.xxhash64("rep"), "stray": F.col("comp") != F.col("main")})
+        seat = lambda x, y, side: F.struct(x.cast("int").alias("x"), y.cast("int").alias("y"), F.lit(side).alias("side"))
+        me_s, me_m = F.pmod("h", "bs"), F.pmod("h", "bm")
+        of_stray = F.concat(
+            F.transform(F.sequence(F.lit(0), F.col("bm") - 1), lambda i: seat(i, me_s, 1)),
+            F.transform(F.sequence(F.lit(0), F.col("bs") - 1), lambda j: seat(-1 - F.least(j, me_s), F.greatest(j, me_s), 1)),
+        )
+        of_main = F.transform(F.sequence(F.lit(0), F.col("bs") - 1), lambda j: seat(me_m, j, 0))
+        seated = deal.select("rep", "cluster", "comp", "odd", F.when(F.col("stray"), of_stray).otherwise(of_main).alias("seats"))
+        links = written(links.unionByName(first).unionByName(_grouped_links(docs, seated, words, cut, percent)), "near-all-links")
+    comp = components(links, "near-components")
+    drop_written(heads, stars, placed)
 
     label = classes.join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep")).filter("copies > 1 OR component <> rep")
     out = signed.select("doc_id", "n_shingles", "k1", "k2").join(label.select("k1", "k2", "component"), ["k1", "k2"], "left")
