@@ -136,8 +136,13 @@ def exact_local(df: DataFrame, item: str, spec: FrequentSpec, block: str | None
     return with_heads(kept, counts.groupBy(*keys).agg(F.sum("est").alias("n")), keys)
 
 
-def cut(entries: DataFrame, keys: list[str], k: int, rule: str, floors) -> DataFrame:
-    """The k largest entries per group by (est, then item), with the floor that the rule gives; ties are total."""
+def cut(entries: DataFrame, keys: list[str], k: int, rule: str, floors, single: bool = False) -> DataFrame:
+    """The k largest entries per group by (est, then item), with the floor that the rule gives; ties are total.
+
+    ``single`` says that there is one group: every task then keeps its own k + 1 largest before they meet.
+    """
+    if single:
+        entries = entries.orderBy(F.col("est").desc(), "item").limit(k + 1)
     ranked = entries.withColumn("_rank", F.row_number().over(Window.partitionBy(*keys).orderBy(F.col("est").desc(), "item"))).filter(f"_rank <= {k + 1}")
     group = Window.partitionBy(*keys)
     least = F.min(F.when(F.col("_rank") <= k, F.col("est"))).over(group)

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .local import cut, with_heads
 
 
-def merge_groups(local: DataFrame, k: int, keys: list[str], floor_rule: str = "spare_zero") -> DataFrame:
+def merge_groups(local: DataFrame, k: int, keys: list[str], floor_rule: str = "spare_zero", single: bool = False) -> DataFrame:
     """All summaries of each group in one step.
 
     An item's estimate is the sum of all floors plus what it has above the floor where it is kept; so one sum per item,
@@ -18,13 +18,13 @@ def merge_groups(local: DataFrame, k: int, keys: list[str], floor_rule: str = "s
     heads = local.filter("kind = 'block'").groupBy(*keys).agg(F.sum("n").alias("n"), F.sum("floor").alias("floors"))
     above = local.filter("kind = 'item'").groupBy(*keys, "item").agg(F.sum(F.col("est") - F.col("floor")).alias("_est"), F.sum(F.col("err") - F.col("floor")).alias("_err"))
     entries = above.join(heads.select(*keys, "floors"), keys).select(*keys, "item", (F.col("floors") + F.col("_est")).alias("est"), (F.col("floors") + F.col("_err")).alias("err"), "floors")
-    kept = cut(entries, keys, k, floor_rule, F.col("floors")).drop("floors")
+    kept = cut(entries, keys, k, floor_rule, F.col("floors"), single).drop("floors")
     return with_heads(kept, heads.select(*keys, "n"), keys)
 
 
 def merge_flat(local: DataFrame, k: int, floor_rule: str = "spare_zero", by: tuple[str, ...] = ()) -> DataFrame:
     """One summary of all blocks (per group of ``by``): one shuffle of at most blocks times k rows."""
-    return merge_groups(local.withColumn("block", F.lit(0).cast("long")), k, [*by, "block"], floor_rule)
+    return merge_groups(local.withColumn("block", F.lit(0).cast("long")), k, [*by, "block"], floor_rule, single=not by)
 
 
 def merge_tree(local: DataFrame, k: int, blocks: int, fan_in: int = 2, floor_rule: str = "spare_zero", by: tuple[str, ...] = ()) -> DataFrame:

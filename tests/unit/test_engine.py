@@ -82,7 +82,7 @@ def test_plans(spark, sf_small):
     plan = local._jdf.queryExecution().executedPlan().toString()
     assert "ReadSchema: struct<l_suppkey:bigint>" in plan and "Exchange" not in plan
     flat = merge_flat(local.persist(), 10)._jdf.queryExecution().executedPlan().toString()
-    assert "WindowGroupLimit" in flat
+    assert "TakeOrderedAndProject" in flat
 
 
 def test_sources(spark, tmp_path):
