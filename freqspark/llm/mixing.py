@@ -6,7 +6,7 @@ documents stand for a length is decided by a seeded hash.
 
 Defined cases: null text has size 0; a null source is a source of its own, last in order; rows of size 0 are never
 taken; an empty table gives an empty mix; repeated rows count once each. If no subset meets the rest exactly the
-largest sum below it is taken, so a source's words differ from its target by less than its longest document.
+nearest sum is taken, so a source's words differ from its target by less than its longest document.
 """
 
 from __future__ import annotations
@@ -56,31 +56,36 @@ def targets(per_source: DataFrame, weights: tuple[int, ...] = (1, 2, 3), share:
 
 
 def choose_counts(lengths: list[int], counts: list[int], goal: int) -> list[int]:
-    """How many documents of each length to take so that the sum comes nearest to ``goal`` from below.
+    """How many documents of each length to take so that the sum comes nearest to ``goal``.
 
-    Every length first gives its even share; longest first, one more of each closes most of the gap; the rest is a
-    bounded knapsack over the copies still free, with reachable sums as the bits of one integer.
+    Small problems are one bounded knapsack over all copies, with reachable sums as the bits of one integer. In large ones
+    every length first gives its even share but one; rounds of one more of each, longest first, close most of the gap, and
+    the knapsack over the copies still free closes the rest.
     """
     total = sum(a * b for a, b in zip(lengths, counts, strict=True))
     if goal <= 0 or not total:
         return [0] * len(lengths)
     if goal >= total:
         return list(counts)
-    take = [c * goal // total for c in counts]
-    left = goal - sum(a * b for a, b in zip(lengths, take, strict=True))
-    order = sorted(range(len(lengths)), key=lambda i: -lengths[i])
+    order = sorted((i for i in range(len(lengths)) if lengths[i] > 0), key=lambda i: -lengths[i])
     longest = lengths[order[0]]
-    for i in order:
-        # keep a margin of two longest documents for the exact step
-        if counts[i] > take[i] and lengths[i] > 0 and left - lengths[i] >= 2 * longest:
-            more = min(counts[i] - take[i], (left - 2 * longest) // lengths[i])
-            take[i] += more
-            left -= more * lengths[i]
-    mask = (1 << (left + 1)) - 1
+    take, left = [0] * len(lengths), goal
+    if goal * len(order) > 20_000_000:
+        take = [max(0, c * goal // total - 1) for c in counts]
+        left = goal - sum(a * b for a, b in zip(lengths, take, strict=True))
+        moved = True
+        while moved:
+            moved = False
+            for i in order:  # a margin of two longest documents stays for the exact step
+                if counts[i] > take[i] and left - lengths[i] >= 2 * longest:
+                    take[i] += 1
+                    left -= lengths[i]
+                    moved = True
+    top = left + longest
+    mask = (1 << (top + 1)) - 1
     reach, steps = 1, []
     for i in order:
-        free = min(counts[i] - take[i], left // lengths[i] if lengths[i] else 0)
-        piece = 1
+        free, piece = min(counts[i] - take[i], top // lengths[i]), 1
         while free > 0:
             n = min(piece, free)
             steps.append((i, n, reach))
@@ -89,7 +94,12 @@ def choose_counts(lengths: list[int], counts: list[int], goal: int) -> list[int]
             piece *= 2
         if reach >> left & 1:
             break
-    at = reach.bit_length() - 1
+    below = (reach & ((1 << (left + 1)) - 1)).bit_length() - 1
+    above = reach >> (left + 1)
+    at = below
+    if above:
+        over = left + (above & -above).bit_length()
+        at = over if over - left < left - below else below
     for i, n, was in reversed(steps):
         if not was >> at & 1:
             take[i] += n
