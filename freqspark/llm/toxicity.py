@@ -157,13 +157,30 @@ def _feature_rows(shared):
     return run
 
 
-def train(labelled: DataFrame, sample_docs: int = SAMPLE_DOCS, discount: float = DISCOUNT) -> ToxicityModel:
-    """Fit on (text, toxic): two thirds of the sample for the counts, one third for the curve."""
+def train_on(docs: DataFrame, marks: DataFrame, sample_docs: int = SAMPLE_DOCS) -> ToxicityModel:
+    """Fit on the texts of ``docs`` that ``marks`` (doc_id, toxic) labels.
+
+    The sample is drawn from the marks, so at most three times ``sample_docs`` small rows are broadcast to the texts' scan
+    and no text is shuffled.
+    """
+    known = marks.filter("toxic IS NOT NULL AND doc_id IS NOT NULL").select("doc_id", F.col("toxic").cast("long").alias("toxic"))
+    totals = {r["toxic"]: r["n"] for r in known.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
+    few = bounded_sample(known, "toxic", {1: sample_docs, 0: 2 * sample_docs}, "doc_id")
+    return train(docs.select("doc_id", "text").join(F.broadcast(few), "doc_id"), sample_docs, totals=totals)
+
+
+def train(labelled: DataFrame, sample_docs: int = SAMPLE_DOCS, discount: float = DISCOUNT, totals: dict | None = None) -> ToxicityModel:
+    """Fit on (text, toxic): two thirds of the sample for the counts, one third for the curve.
+
+    ``totals`` (rows per class) says that ``labelled`` is a sample already.
+    """
     spark = use_library(labelled.sparkSession)
     rows = labelled.filter("toxic IS NOT NULL AND text IS NOT NULL").select(F.col("toxic").cast("long").alias("toxic"), "text", F.pmod(F.xxhash64(F.lit(3), "text"), F.lit(3)).alias("fold"))
-    totals = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
+    drawn_already = totals is not None
+    if not drawn_already:
+        totals = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     share = totals.get(1, 0) / max(sum(totals.values()), 1)
-    sample = written(bounded_sample(rows, "toxic", {1: sample_docs, 0: 2 * sample_docs}, "toxic", "text"), "toxicity-sample")
+    sample = written(rows if drawn_already else bounded_sample(rows, "toxic", {1: sample_docs, 0: 2 * sample_docs}, "toxic", "text"), "toxicity-sample")
     counted = sample.filter("fold <> 0").select("text", "toxic").mapInArrow(_count, _COUNTS).groupBy("v", "w").agg(F.sum("tox").alias("tox"), F.sum("ordinary").alias("ordinary")).orderBy("v", "w").toPandas()
     model = ToxicityModel(counted["v"].to_numpy(np.int64).view(np.uint64), counted["w"].to_numpy(np.int64).view(np.uint64), counted[["tox", "ordinary"]].to_numpy(np.int64), discount)
     model.share = share
@@ -199,7 +216,7 @@ def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All documents; labels are learned where the id's crc32 does not leave 1 modulo 3."""
     docs = documents(spark, sf_dir)
     marks = labels(spark, sf_dir).filter(crc_mod("doc_id", 3) != 1).select("doc_id", "toxic")
-    model = train(docs.select("doc_id", "text").join(marks, "doc_id"))
+    model = train_on(docs, marks)
     rows = docs.select("doc_id", (F.coalesce(crc_mod("doc_id", 3), F.lit(-1)) == 1).alias("held_out"), "text")
     return score_toxicity(rows, model).select("doc_id", "held_out", "score", "predicted")
 
