@@ -345,7 +345,8 @@ def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int
 
 
 def deduplicated(df: DataFrame, **options) -> DataFrame:
-    """The rows of ``df`` that stay: one document of each group. Rows that repeat an id stay once."""
+    """The rows of ``df`` that stay: one document of each group. Rows that repeat an id stay once; rows without an id
+    cannot be named by a verdict and stay."""
     found = written(near_duplicates(df, **options), "near-verdicts")
     gone = found.filter("NOT kept AND doc_id IS NOT NULL").select("doc_id").distinct()
     kept = df.join(gone, "doc_id", "left_anti").select(*df.columns)

@@ -86,7 +86,7 @@ def test_near_duplicate_cases(odd, empty):
     assert near_dedup.near_duplicates(empty).count() == 0
     kept = near_dedup.deduplicated(odd)
     assert kept.columns == odd.columns
-    assert Counter(r["doc_id"] for r in kept.collect()) == {1: 1, 2: 1, 3: 1, 4: 1, 5: 1, 6: 1}
+    assert Counter(r["doc_id"] for r in kept.collect()) == {1: 1, 2: 1, 3: 1, 4: 1, 5: 1, 6: 1, None: 1}
     assert near_dedup.deduplicated(empty).count() == 0
 
 
