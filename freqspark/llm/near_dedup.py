@@ -4,6 +4,9 @@ Documents with equal shingle sets form a class and go on as one representative.
 MinHash samples are candidates. In each band bucket every member is held against a leader, the smallest id at first, by
 their odd sketches (parities of the hashed samples), whose XOR population count tells how far two sets differ; members far
 from all leaders so far lead on. Pairs whose sketches allow the threshold join into clusters, linear in the members.
+In a bucket that still holds several clusters, the members outside its largest one then meet all others in blocks, and
+pairs that the sketches allow join clusters further: no pair that shares a band goes unseen, and a block hands on at most
+one pair per joining.
 
 Inside a cluster the links that matter are confirmed on full sets: pairs in order of their sketches' distance, skipping
 those already joined. A cluster of up to SMALL documents is one group of one task and each set travels once. A larger
@@ -223,6 +226,83 @@ def links_of(reps: list[int], comps: list[int], sets: list[np.ndarray], odds: np
     return out
 
 
+def bridges_of(comps: np.ndarray, size: np.ndarray, odds: np.ndarray, stray: np.ndarray, cut: int, percent: int) -> list[tuple[int, int]]:
+    """Pairs of different ``comps`` with members that size and sketch allow and a stray among them; one for each joining."""
+    parent: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while parent.setdefault(x, x) != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    out = []
+    rows = np.flatnonzero(stray)
+    for at in range(0, len(rows), 64):
+        some = rows[at : at + 64]
+        may = (comps[some, None] != comps[None]) & (100 * np.minimum(size[some, None], size[None]) >= percent * np.maximum(size[some, None], size[None]))
+        x, y = np.nonzero(may)
+        near = np.bitwise_count(odds[some[x]] ^ odds[y]).sum(axis=1, dtype=np.int64) <= cut
+        for a, b in set(zip(comps[some[x[near]]].tolist(), comps[y[near]].tolist(), strict=True)):
+            p, q = root(a), root(b)
+            if p != q:
+                parent[p] = q
+                out.append((min(a, b), max(a, b)))
+    return out
+
+
+def _bridge_groups(cut: int, percent: int):
+    """Rows sorted by (bucket, x, y): pairs of clusters that one group joins. Side 1 are the strays of a bucket."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        left: pa.RecordBatch | None = None
+
+        def groups(b: pa.RecordBatch, last: bool) -> tuple[list[tuple[int, int]], pa.RecordBatch | None]:
+            key = np.stack([b.column(c).to_numpy() for c in ("bucket", "x", "y")])
+            begin = np.flatnonzero(np.concatenate(([True], (key[:, 1:] != key[:, :-1]).any(axis=0))))
+            ends = [*begin[1:], b.num_rows]
+            comps, size, side = (b.column(c).to_numpy() for c in ("comp", "n", "side"))
+            odds = b.column("odd").flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(b.num_rows, -1)
+            found = []
+            for i, j in zip(begin, ends, strict=True) if last else zip(begin[:-1], ends[:-1], strict=True):
+                found += bridges_of(comps[i:j], size[i:j], odds[i:j], side[i:j] == 1, cut, percent)
+            return found, None if last else b.slice(begin[-1])
+
+        def pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found, strict=True)], names=["a", "b"])
+
+        for b in batches:
+            if not b.num_rows:
+                continue
+            if left is not None:
+                b = pa.concat_batches([left, b])
+            found, left = groups(b, False)
+            if found:
+                yield pairs(found)
+        if left is not None:
+            found, _ = groups(left, True)
+            if found:
+                yield pairs(found)
+
+    return run
+
+
+def _dealt(at: DataFrame, key: str) -> DataFrame:
+    """Rows of ``at`` (``key``, rep, comp, ...) with the seats where all that lie outside their group's largest component
+    (strays, side 1) meet all others of the group, in blocks; groups of one component go."""
+    main = at.groupBy(key, "comp").agg(F.count(F.lit(1)).alias("c")).groupBy(key).agg(F.max_by("comp", "c").alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_rest")).filter("n_rest > 0")
+    deal = at.join(main, key).withColumns({"bm": F.ceil(F.col("n_main") / BLOCK).cast("int"), "bs": F.ceil(F.col("n_rest") / BLOCK).cast("int"), "h": F.xxhash64("rep"), "stray": F.col("comp") != F.col("main")})
+    seat = lambda x, y, side: F.struct(x.cast("int").alias("x"), y.cast("int").alias("y"), F.lit(side).alias("side"))
+    me_s, me_m = F.pmod("h", "bs"), F.pmod("h", "bm")
+    # a sole block of strays meets itself beside the first block of the others
+    of_stray = F.concat(
+        F.transform(F.sequence(F.lit(0), F.col("bm") - 1), lambda i: seat(i, me_s, 1)),
+        F.when(F.col("bs") > 1, F.transform(F.sequence(F.lit(0), F.col("bs") - 1), lambda j: seat(-1 - F.least(j, me_s), F.greatest(j, me_s), 1))).otherwise(F.array().cast("array<struct<x:int,y:int,side:int>>")),
+    )
+    of_main = F.transform(F.sequence(F.lit(0), F.col("bs") - 1), lambda j: seat(me_m, j, 0))
+    return deal.select(*at.columns, F.when(F.col("stray"), of_stray).otherwise(of_main).alias("seats"))
+
+
 _MEMBER = "cluster long, x int, y int, side int, rep long, comp long, odd array<long>, items binary"
 
 
@@ -309,10 +389,21 @@ def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int
     left = far.join(far.groupBy("bucket").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("bucket"), "bucket").join(light, "rep")
     led = left.repartition("bucket").sortWithinPartitions("bucket", "rep").select("bucket", "rep", "n", "odd").mapInArrow(_lead(cut, percent), "a long, b long")
     stars = written(tested.filter("near").select("a", "b").unionByName(led).distinct(), "near-stars")
-    drop_written(members, tested)
+    drop_written(tested)
     free_shuffles(spark)
 
-    cluster = components(stars, "near-clusters").withColumnRenamed("component", "cluster").withColumnRenamed("node", "rep")
+    first_cluster = written(components(stars, "near-clusters").withColumnRenamed("component", "cluster").withColumnRenamed("node", "rep"), "near-first-clusters")
+    # buckets that still hold several clusters, without their hubs, which have been held against every member
+    labelled = members.join(first_cluster, "rep", "left").select("bucket", "rep", F.coalesce("cluster", "rep").alias("comp"))
+    mixed = labelled.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo <> hi").select("bucket")
+    open_ = written(labelled.join(mixed, "bucket"), "near-open")
+    seated = _dealt(open_, "bucket").join(light, "rep").select("bucket", F.inline("seats"), "comp", "n", "odd")
+    met = seated.repartition("bucket", "x", "y").sortWithinPartitions("bucket", "x", "y").mapInArrow(_bridge_groups(cut, percent), "a long, b long")
+    joined = components(written(met.distinct(), "near-bridges"), "near-joined")
+    cluster = first_cluster.join(joined, F.col("cluster") == F.col("node"), "full").select(F.coalesce("rep", "node").alias("rep"), F.coalesce("component", "cluster").alias("cluster"))
+    cluster = written(cluster, "near-clusters-joined")
+    drop_written(members, open_, first_cluster)
+    free_shuffles(spark)
     sized = cluster.groupBy("cluster").agg(F.count(F.lit(1)).alias("size"))
     placed = written(cluster.join(sized, "cluster").join(light, "rep"), "near-placed")
     one_group = F.array(F.struct(F.lit(0).alias("x"), F.lit(0).alias("y"), F.lit(0).alias("side")))
@@ -324,19 +415,9 @@ def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int
         first = written(confirmed(docs, inside, words, percent), "near-large-links")
         so_far = components(first, "near-large").withColumnRenamed("node", "rep")
         at = written(large.join(so_far, "rep", "left").select("rep", "cluster", F.coalesce("component", "rep").alias("comp"), "odd"), "near-large-placed")
-        main = at.groupBy("cluster", "comp").agg(F.count(F.lit(1)).alias("c")).groupBy("cluster").agg(F.max_by("comp", "c").alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_rest")).filter("n_rest > 0")
-        deal = at.join(main, "cluster").withColumns({"bm": F.ceil(F.col("n_main") / BLOCK).cast("int"), "bs": F.ceil(F.col("n_rest") / BLOCK).cast("int"), "h": F.xxhash64("rep"), "stray": F.col("comp") != F.col("main")})
-        seat = lambda x, y, side: F.struct(x.cast("int").alias("x"), y.cast("int").alias("y"), F.lit(side).alias("side"))
-        me_s, me_m = F.pmod("h", "bs"), F.pmod("h", "bm")
-        of_stray = F.concat(
-            F.transform(F.sequence(F.lit(0), F.col("bm") - 1), lambda i: seat(i, me_s, 1)),
-            F.transform(F.sequence(F.lit(0), F.col("bs") - 1), lambda j: seat(-1 - F.least(j, me_s), F.greatest(j, me_s), 1)),
-        )
-        of_main = F.transform(F.sequence(F.lit(0), F.col("bs") - 1), lambda j: seat(me_m, j, 0))
-        seated = deal.select("rep", "cluster", "comp", "odd", F.when(F.col("stray"), of_stray).otherwise(of_main).alias("seats"))
-        links = written(links.unionByName(first).unionByName(_grouped_links(docs, seated, words, cut, percent)), "near-all-links")
+        links = written(links.unionByName(first).unionByName(_grouped_links(docs, _dealt(at, "cluster"), words, cut, percent)), "near-all-links")
     comp = components(links, "near-components")
-    drop_written(heads, stars, placed)
+    drop_written(heads, stars, cluster, placed)
 
     label = classes.join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep")).filter("copies > 1 OR component <> rep")
     out = signed.select("doc_id", "n_shingles", "k1", "k2").join(label.select("k1", "k2", "component"), ["k1", "k2"], "left")

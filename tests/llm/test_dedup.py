@@ -67,6 +67,19 @@ def test_members_beyond_the_hub_are_found(spark):
     assert {(r["doc_id"], r["component_id"]) for r in near_dedup.near_duplicates(df, words=2).collect()} == set(comp.items())
 
 
+def test_members_far_from_every_hub_meet_the_near_ones(spark):
+    """Long variants with small ids lead every bucket; truncated copies are too short for them and near one text only."""
+    rng = np.random.default_rng(11)
+    core = [f"c{i}" for i in range(200)]
+    texts = [core + [f"x{i}y{j}" for j in range(int(rng.integers(36, 44)))] for i in range(1000)]
+    texts += [core] + [core[: 200 - cut] for cut in (30, 34, 36)] + [core[cut:] for cut in (30, 34, 36)]
+    docs = [(i, " ".join(t)) for i, t in enumerate(texts)]
+    _, comp = brute_components([d[0] for d in docs], [d[1] for d in docs], 2, 80)
+    assert set(comp.values()) == {0}
+    got = near_dedup.near_duplicates(spark.createDataFrame(docs, "doc_id long, text string"), words=2)
+    assert {(r["doc_id"], r["component_id"]) for r in got.collect()} == set(comp.items())
+
+
 def test_odd_sketch_estimates_high_similarity():
     rng = np.random.default_rng(5)
     a = rng.integers(0, 2**62, (1, 312)).astype(np.uint64)
