@@ -59,9 +59,11 @@ def _run(spec: FrequentSpec, batches: list | Iterator) -> Summary:
         # an estimate plus what was lost, with a floor of the same, is a summary like the others: one merge serves all
         s.counters = {x: [c + s.floor, s.floor] for x, (c, _) in s.counters.items()}
         return s
+    if not spec.weight:
+        return scalar_kernel(items, spec.size, spec.tie)
     batches = list(batches)
     items = (x for values, _ in batches for x in values.to_pylist())
-    weights = (w for _, ws in batches for w in ws.to_pylist()) if spec.weight else None
+    weights = (w for _, ws in batches for w in ws.to_pylist())
     return scalar_kernel(items, spec.size, spec.tie, weights)
 
 

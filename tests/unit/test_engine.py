@@ -35,6 +35,32 @@ def test_query_equals_its_oracle(spark, sf_small, name):
     assert rows(W.QUERIES[name](spark, sf_small).toPandas()) == rows(db.execute(W.ORACLES[name]).df())
 
 
+def test_sequential_queries_read_all_events(spark):
+    """10,000 events against a plain loop in the order of the ids."""
+    sf = "/root/testdata/sf0.01"
+    events = spark.read.parquet(f"{sf}/events.parquet").select("event_id", "user_id", "event_type").toPandas().sort_values("event_id")
+    assert len(events) > 1000
+    for name, column, k in (("sequential_users_k8", "user_id", 8), ("sequential_types_k3", "event_type", 3), ("sequential_spare", "event_type", 50), ("majority_vote_candidate", "event_type", 2)):
+        held: dict = {}
+        for x in events[column]:
+            if x in held:
+                held[x][0] += 1
+            elif len(held) < k:
+                held[x] = [1, 0]
+            else:
+                least = min(held, key=lambda y: (held[y][0], y))
+                est = held.pop(least)[0]
+                held[x] = [est + 1, est]
+        assert {tuple(r) for r in W.QUERIES[name](spark, sf).collect()} == {(x, e, d) for x, (e, d) in held.items()}, name
+    held, lost = {}, 0
+    for x in events["user_id"] % 12:
+        if x in held or len(held) < 7:
+            held[x] = held.get(x, 0) + 1
+        else:
+            held, lost = {y: c - 1 for y, c in held.items() if c > 1}, lost + 1
+    assert {tuple(r) for r in W.QUERIES["misra_gries_k8"](spark, sf).collect()} == {(x, c, lost) for x, c in held.items()}
+
+
 @pytest.mark.parametrize("kernel", ["scalar", "batched", "exact_local", "misra_gries"])
 @pytest.mark.parametrize("levels", [1, 2])
 def test_all_plans_give_the_true_set(spark, sf_small, kernel, levels):
