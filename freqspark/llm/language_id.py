@@ -6,8 +6,8 @@ by a forward pass; a text's is the product over its words.
 
 Defined cases: null texts and texts without a letter are ``und`` with score 0, as is everything when no labelled text
 exists. Rows with a null language are never learned from. Repeated rows get equal answers. Words over 40 characters
-are scored in runs of 40, so very long tokens stay bounded; nothing is left out. Other columns are kept by the stage
-and not read by the model.
+are summed in logarithms, where their products would leave the range of numbers; they are not cut. Other columns are
+kept by the stage and not read by the model.
 """
 
 from __future__ import annotations
@@ -25,7 +25,7 @@ from . import textops as X
 from .common import bounded_sample, crc_mod, documents
 
 SAMPLE_DOCS = 500
-LONGEST_PIECE = 8
+LONGEST_PIECE = 16  # the vocabulary's longest; vocabulary() refuses a longer one
 RUN = 40
 ROUNDS = 3
 FLOOR = 1e-7
@@ -47,12 +47,10 @@ def vocabulary(path: str, longest: int = LONGEST_PIECE) -> dict[str, int]:
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
     pieces = (model.id_to_piece(i) for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i)))
-    return {p: n for n, p in enumerate(p for p in dict.fromkeys(pieces) if p == p.lower() and 0 < len(p) <= longest)}
-
-
-def runs(word: str) -> list[str]:
-    marked = "▁" + word
-    return [marked[i : i + RUN] for i in range(0, len(marked), RUN)]
+    kept = [p for p in dict.fromkeys(pieces) if p == p.lower() and p]
+    if max(map(len, kept), default=0) > longest:
+        raise ValueError(f"the vocabulary has a piece of {max(map(len, kept))} characters, more than {longest}")
+    return {p: n for n, p in enumerate(kept)}
 
 
 def lattices(words: list[str], pieces: dict[str, int], longest: int = LONGEST_PIECE) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -66,8 +64,9 @@ def lattices(words: list[str], pieces: dict[str, int], longest: int = LONGEST_PI
         by_length.setdefault(len(w), []).append(n)
     get, unknown = pieces.get, len(pieces)
     for length, which in by_length.items():
-        for at in range(0, len(which), 20_000):
-            some = which[at : at + 20_000]
+        step = max(1, 20_000 * RUN // max(RUN, length))
+        for at in range(0, len(which), step):
+            some = which[at : at + step]
             grid = np.full((len(some), length, min(longest, length)), -1, dtype=np.int32)
             own = [words[i] for i in some]
             for j in range(length):
@@ -83,7 +82,37 @@ def forward(grid: np.ndarray, prob: np.ndarray) -> np.ndarray:
     out[:, 0] = 1.0
     for j in range(length):
         for size in range(min(longest, j + 1)):
-            out[:, j + 1] += out[:, j - size] * prob[grid[:, j, size]]
+            piece = grid[:, j, size]
+            on = np.flatnonzero(piece >= 0)
+            if 2 * len(on) > m:
+                out[:, j + 1] += out[:, j - size] * prob[piece]
+            elif len(on):  # long pieces are rare
+                out[on, j + 1] += out[on, j - size] * prob[piece[on]]
+    return out
+
+
+def log_forward(grid: np.ndarray, prob: np.ndarray) -> np.ndarray:
+    """Logarithms of :func:`forward`, for words of any length."""
+    m, length, longest = grid.shape
+    out = np.full((m, length + 1, prob.shape[1]), -np.inf)
+    out[:, 0] = 0.0
+    for j in range(length):
+        for size in range(min(longest, j + 1)):
+            on = np.flatnonzero(grid[:, j, size] >= 0)
+            if len(on):
+                out[on, j + 1] = np.logaddexp(out[on, j + 1], out[on, j - size] + np.log(prob[grid[on, j, size]]))
+    return out
+
+
+def log_backward(grid: np.ndarray, prob: np.ndarray) -> np.ndarray:
+    m, length, longest = grid.shape
+    out = np.full((m, length + 1, prob.shape[1]), -np.inf)
+    out[:, length] = 0.0
+    for j in range(length - 1, -1, -1):
+        for size in range(min(longest, j + 1)):
+            on = np.flatnonzero(grid[:, j, size] >= 0)
+            if len(on):
+                out[on, j - size] = np.logaddexp(out[on, j - size], out[on, j + 1] + np.log(prob[grid[on, j, size]]))
     return out
 
 
@@ -111,14 +140,18 @@ def fit(words: list[str], weight: np.ndarray, pieces: dict[str, int], rounds: in
     for _ in range(rounds):
         expected = np.zeros((n + 1, weight.shape[1]))
         for which, grid in grids:
-            ahead, behind = forward(grid, prob), backward(grid, prob)
-            scale = weight[which] / ahead[:, -1]
+            long = grid.shape[1] > RUN
+            ahead, behind = (log_forward(grid, prob), log_backward(grid, prob)) if long else (forward(grid, prob), backward(grid, prob))
+            scale = weight[which] if long else weight[which] / ahead[:, -1]
             for j in range(grid.shape[1]):
                 for size in range(min(grid.shape[2], j + 1)):
                     piece = grid[:, j, size]
                     on = piece >= 0
                     if on.any():
-                        part = ahead[on, j - size] * prob[piece[on]] * behind[on, j + 1] * scale[on]
+                        if long:
+                            part = np.exp(ahead[on, j - size] + behind[on, j + 1] - ahead[on, -1]) * prob[piece[on]] * scale[on]
+                        else:
+                            part = ahead[on, j - size] * prob[piece[on]] * behind[on, j + 1] * scale[on]
                         for g in range(weight.shape[1]):
                             expected[:, g] += np.bincount(piece[on], part[:, g], minlength=n + 1)
         prob = _table(expected[:n])
@@ -153,14 +186,11 @@ class LanguageModel:
             if len(self.at) + len(new) > CACHE_WORDS and self.at:
                 self._clear()
                 return self.word_rows(words)
-            cut = [runs(w) for w in new]
-            flat = [r for c in cut for r in c]
-            log = np.zeros((len(flat), len(self.languages)))
-            for which, grid in lattices(flat, self.pieces):
-                log[which] = np.log(forward(grid, self.prob)[:, -1])
-            begin = np.concatenate(([0], np.cumsum([len(c) for c in cut])))
+            log = np.zeros((len(new), len(self.languages)))
+            for which, grid in lattices(["▁" + w for w in new], self.pieces):
+                log[which] = log_forward(grid, self.prob)[:, -1] if grid.shape[1] > RUN else np.log(forward(grid, self.prob)[:, -1])
             base = len(self.rows)
-            self.rows = np.concatenate([self.rows, X.sums_per_text(log, begin)])
+            self.rows = np.concatenate([self.rows, log])
             self.at.update((w, base + i) for i, w in enumerate(new))
             found = list(map(self.at.get, words))
         return self.rows[np.array(found, dtype=np.int64)] if found else np.zeros((0, len(self.languages)))
@@ -190,15 +220,11 @@ def train(df: DataFrame, text: str = "text", lang: str = "lang", sample_docs: in
     pieces = vocabulary(path)
     code = {w: i for i, w in enumerate(sorted(words["w"].unique()))}
     place = {g: i for i, g in enumerate(languages)}
-    per_run: dict[str, np.ndarray] = {}
     weight = np.zeros((len(code), len(languages)))
     np.add.at(weight, (words["w"].map(code).to_numpy(dtype=int), words[lang].map(place).to_numpy(dtype=int)), words["n"].to_numpy())
-    for w, row in zip(code, weight, strict=True):
-        for r in runs(w):
-            per_run[r] = per_run[r] + row if r in per_run else row
     if not languages:
         return LanguageModel([], np.zeros((len(pieces) + 2, 0)), path)
-    return LanguageModel(languages, fit(list(per_run), np.array(list(per_run.values())), pieces), path)
+    return LanguageModel(languages, fit(["▁" + w for w in code], weight, pieces), path)
 
 
 def identify(df: DataFrame, model: LanguageModel, text: str = "text") -> DataFrame:

@@ -103,6 +103,32 @@ def test_forward_pass_sums_all_segmentations():
         assert np.allclose(language_id.backward(grid, prob)[:, 0, 0], got)
 
 
+def test_whole_vocabulary_and_long_words_are_summed():
+    """Long pieces of the public vocabulary count, and a word of over 40 letters is not cut."""
+    pieces = language_id.vocabulary(language_id.default_pieces())
+    assert {"▁information", "▁different", "formation"} <= set(pieces)
+    prob = np.concatenate([np.random.default_rng(0).random((len(pieces), 2)) / len(pieces), np.full((1, 2), 1e-7), np.zeros((1, 2))])
+    model = language_id.LanguageModel(["a", "b"], prob, language_id.default_pieces())
+    model.start()
+    words = ["information", "different", "xinformationdifferent" * 3, "information" * 200]
+    got = model.word_rows(words)
+    for row, w in zip(got, words, strict=True):
+        marked = "▁" + w
+        sums, scale = [np.ones(2)], np.zeros(2)
+        for j in range(len(marked)):
+            new = np.zeros(2)
+            for size in range(min(language_id.LONGEST_PIECE, j + 1)):
+                n = pieces.get(marked[j - size : j + 1], None if size else len(pieces))
+                if n is not None:
+                    new = new + sums[-1 - size] * prob[n]
+            sums = [s / new for s in sums] + [np.ones(2)]
+            scale += np.log(new)
+            sums = sums[-language_id.LONGEST_PIECE :]
+        assert np.allclose(row, scale)
+    fitted = language_id.fit(["▁" + w for w in words], np.ones((4, 2)), pieces)
+    assert np.isfinite(fitted).all() and fitted[pieces["▁information"], 0] > fitted[0, 0]
+
+
 def test_language_accuracy_and_cases(spark, texts, sf_small, odd, empty):
     got = {r["doc_id"]: r for r in language_id.op3_language_id(spark, sf_small).collect()}
     held = [(r["lang_pred"], lang) for r, lang in ((got[i], g) for i, g in zip(texts["doc_id"], texts["lang"], strict=True)) if r["held_out"] and lang]
