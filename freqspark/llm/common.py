@@ -52,8 +52,16 @@ def drop_written(*tables: DataFrame) -> None:
             _delete(path)
 
 
+def drop_part(table: DataFrame, part: str) -> None:
+    """Delete one partition folder of a table of :func:`written` that no later step reads."""
+    _remove(table.sparkSession, f"{table._written_path}/{part}")
+
+
 def _delete(path: str) -> None:
-    spark = _written.pop(path)
+    _remove(_written.pop(path), path)
+
+
+def _remove(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)

@@ -1,14 +1,21 @@
-"""Katz backoff over word pairs: Good-Turing discounts, exactly normalised backoff weights, partitioned count tables.
+"""Katz backoff of any order: Good-Turing discounts, exactly normalised backoff weights, partitioned count tables.
 
-Words and pairs are counted in two exchanges between blocks of documents and buckets of keys. A block sends each bucket
-its distinct keys once, packed; the bucket adds the counts of all blocks and answers every block in the order asked. So
-a word or pair that all documents share costs one entry per block, never a row per occurrence, and no table of the
-vocabulary is ever broadcast. Pairs are dealt by their context, those of the most frequent contexts by pair.
+Words, then word pairs, then three-word runs and so on up to ``order`` are counted in one exchange each between blocks of
+documents and buckets of keys. A block sends each bucket its distinct keys once, packed; the bucket adds the counts of all
+blocks and answers every block in the order asked. So a word or run that all documents share costs one entry per block,
+never a row per occurrence, and no table of the vocabulary is ever broadcast. Runs are dealt by their context, those of
+the most frequent contexts by the whole run. A context that only one block has is counted by that block alone. A block
+sends at most one message to a bucket and at most one per distinct key, so messages never outnumber the rows of a plain
+exchange of keys.
 
-The model: for a context v with count c(v), P(w | v) = d(c) c(v, w) / c(v) for seen pairs and a(v) P(w) otherwise, where
-a(v) shares what the discounts leave over the unigrams not seen after v. P(w) discounts in the same way; its remainder
-is the probability of any unknown word. The end token is the first word's context. Where discounts leave a context
-nothing (all its pairs are frequent) every count of it is scaled by c(v) / (c(v) + 1), so sums stay exactly one.
+The model, evaluated per token from the longest context down: for a context h with count c(h), P(w | h) = d(c) c(h, w) /
+c(h) for seen runs and a(h) P(w | h') otherwise, where h' drops the first word of h and a(h) shares what the discounts
+leave over the words not seen after h. A context without training count hands on to h' with weight one. Single words
+are discounted in the same way; the remainder is the probability of any unknown word. The end token is the first word's
+context, and no context reaches further back. Where discounts leave a context nothing (all its runs are frequent) every
+count of it is scaled by c(h) / (c(h) + 1), so sums stay exactly one.
+
+Words are known by 64-bit hashes and contexts of two words and more by 64-bit hashes of their words' numbers.
 
 Defined cases: null and empty texts are one end token. A row without an id is training text, since its remainder is
 unknown. With no training text every token is unknown and has probability 1. Equal rows count as often as they stand.
@@ -27,12 +34,14 @@ from pyspark.sql import functions as F
 
 from ..session import use_library
 from . import textops as X
-from .common import crc_mod, documents, free_shuffles, parts_for, text_bytes, written
+from .common import crc_mod, documents, drop_part, free_shuffles, parts_for, text_bytes, written
 
 END_HASH = np.uint64(0x9D5F3B21C7A46E0D)
 KEPT = 5  # counts above this are not discounted
-BLOCK_BYTES, BUCKET_BYTES = 8 << 20, 12 << 20
+ORDER = 3
+BLOCK_BYTES, BUCKET_BYTES = 5 << 20, 8 << 20
 _MESSAGE = "kind int, bucket int, block long, load binary"
+_CHAIN = np.uint64(0x9FB21C651E98DF25)
 
 
 def squeeze(a: np.ndarray) -> tuple:
@@ -51,10 +60,18 @@ def stretch(packed: tuple) -> np.ndarray:
     return np.ascontiguousarray(raw.reshape(width, n).T).reshape(-1).view(kind).astype(np.uint64) if n else np.zeros(0, np.uint64)
 
 
+def _longs(packed: tuple) -> np.ndarray:
+    return stretch(packed).view(np.int64)
+
+
 def _gaps(a: np.ndarray) -> np.ndarray:
     return np.diff(a, prepend=np.uint64(0))
 
 
+def _ungap(packed: tuple) -> np.ndarray:
+    return np.cumsum(stretch(packed), dtype=np.uint64)
+
+
 def _dump(*parts) -> bytes:
     return pickle.dumps(parts, protocol=5)
 
@@ -79,6 +96,11 @@ def discounts(n: np.ndarray, kept: int = KEPT) -> np.ndarray:
     return out
 
 
+def _of_counts(c: np.ndarray) -> np.ndarray:
+    """How many keys have each count up to KEPT + 1."""
+    return np.bincount(c[(c > 0) & (c <= KEPT + 1)], minlength=KEPT + 2)
+
+
 class Unigrams:
     """Discounted unigram probabilities from totals alone: c(w) is all that is needed of a word."""
 
@@ -86,20 +108,18 @@ class Unigrams:
         self.total, self.words = total, words
         self.d = discounts(n)
         mass = sum((1 - self.d[r]) * r * n[r] for r in range(1, KEPT + 1)) / total if total else 1.0
-        self.scale = 1.0
+        self.over = max(total, 1)  # what counts are divided by
         if total and mass <= 0:
-            self.scale, mass = total / (total + 1), 1 / (total + 1)
+            self.over, mass = total + 1, 1 / (total + 1)
         self.unknown = mass if total else 1.0
 
     def p(self, c: np.ndarray) -> np.ndarray:
-        c = c.astype(np.float64)
-        seen = self.scale * self.d[np.minimum(c, KEPT + 1).astype(int)] * c / max(self.total, 1)
-        return np.where(c > 0, seen, self.unknown)
+        return np.where(c > 0, self.d[np.minimum(c, KEPT + 1)] * c / self.over, self.unknown)
 
 
 def backoff(d: np.ndarray, c: np.ndarray, rare: np.ndarray, known: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Per context: factor on its seen pairs and backoff weight. ``rare[:, r - 1]`` pairs have count r; ``known`` is
-    the unigram mass of all seen words."""
+    """Per context: factor on its seen runs and backoff weight. ``rare[:, r - 1]`` runs have count r; ``known`` is the
+    mass that the next shorter context gives all seen words."""
     left = (rare * ((1 - d[1 : KEPT + 1]) * np.arange(1, KEPT + 1))).sum(axis=1) / np.maximum(c, 1)
     none = left <= 0
     factor = np.where(none, c / (c + 1), 1.0)
@@ -151,6 +171,7 @@ def _blocks(buckets: int, block_bytes: int):
                     yield flush()
         if parts:
             yield flush()
+        X.release()
 
     return run
 
@@ -159,23 +180,27 @@ def _per_bucket(batches: Iterator[pa.RecordBatch], answer):
     """Rows arrive sorted by bucket; ``answer(bucket, blocks, loads)`` gives the rows to send back."""
     at, blocks, loads = None, [], []
     for b in batches:
-        for bucket, block, load in zip(b.column("bucket").to_pylist(), b.column("block").to_pylist(), b.column("load").to_pylist(), strict=True):
+        for bucket, block, load in zip(b.column("bucket").to_pylist(), b.column("block").to_pylist(), b.column("load"), strict=True):
             if bucket != at:
                 if loads:
                     yield _rows(answer(at, blocks, loads))
                 at, blocks, loads = bucket, [], []
             blocks.append(block)
-            loads.append(pickle.loads(load))
+            loads.append(load.as_py())
     if loads:
         yield _rows(answer(at, blocks, loads))
+    X.release()
 
 
 def _count_words(buckets: int):
     """kind 2: numbers (0 for words without training count, else unique) and counts in the order asked; kind 3: totals."""
 
-    def answer(bucket: int, blocks: list[int], loads: list[tuple]) -> list[tuple]:
-        hashes = [np.cumsum(stretch(x[0]), dtype=np.uint64) for x in loads]
-        counts = [stretch(x[1]).astype(np.int64) for x in loads]
+    def answer(bucket: int, blocks: list[int], loads: list[bytes]) -> list[tuple]:
+        hashes, counts = [], []
+        for raw in loads:
+            h, c = pickle.loads(raw)
+            hashes.append(_ungap(h))
+            counts.append(_longs(c))
         words, where = np.unique(np.concatenate(hashes), return_inverse=True)
         c = np.bincount(where, np.concatenate(counts), minlength=len(words)).astype(np.int64)
         number = np.where(c > 0, np.cumsum(c > 0) * buckets + bucket, 0)
@@ -185,7 +210,7 @@ def _count_words(buckets: int):
             rows.append((2, bucket, block, _dump(squeeze(number[mine]), squeeze(c[mine]))))
             at += len(h)
         top = np.argsort(-c, kind="stable")[:64]
-        rows.append((3, bucket, 0, _dump(int(c.sum()), int((c > 0).sum()), np.bincount(c[(c > 0) & (c <= KEPT + 1)], minlength=KEPT + 2), number[top], c[top])))
+        rows.append((3, bucket, 0, _dump(int(c.sum()), int((c > 0).sum()), _of_counts(c), number[top].astype(np.uint64), c[top])))
         return rows
 
     def run(batches):
@@ -194,108 +219,206 @@ def _count_words(buckets: int):
     return run
 
 
-def _block_words(answers: list[dict]) -> tuple[np.ndarray, np.ndarray]:
-    """A block's word numbers and counts, its buckets' answers end to end (words are in hash order, so by bucket)."""
-    loads = [pickle.loads(a["load"]) for a in sorted(answers, key=lambda a: a["bucket"])]
-    return np.concatenate([stretch(x[0]) for x in loads]).astype(np.int64), np.concatenate([stretch(x[1]) for x in loads]).astype(np.int64)
+class _Grams:
+    """A block's distinct runs of one length, seen before their last word and in their context; private ones come last.
 
+    Others are in one fixed order (bucket, context, word), in which they are asked for and answered.
+    """
 
-class _Pairs:
-    """A block's distinct pairs of known words in one fixed order: by bucket, context number, word number."""
-
-    def __init__(self, load: bytes, answers: list[dict], buckets: int, hot: np.ndarray) -> None:
-        self.ids, self.out, size, local = pickle.loads(load)
-        self.size, self.local = stretch(size).astype(np.int64), stretch(local).astype(np.int64)
-        self.number, self.count = _block_words(answers)
-        first = np.concatenate(([0], np.cumsum(self.size)))[:-1]
-        before = np.empty_like(self.local)
-        before[1:] = self.local[:-1]
-        before[first] = self.local[-1]  # every text's last token is the end
-        self.before = before
-        n = len(self.number)
-        both = (self.count[before] > 0) & (self.count[self.local] > 0)
-        self.both = np.flatnonzero(both)
-        key, self.pair = np.unique(before[self.both] * n + self.local[self.both], return_inverse=True)
-        v, w = key // max(n, 1), key % max(n, 1)
-        train = np.repeat(~self.out, self.size)[self.both]
-        times = np.bincount(self.pair[train], minlength=len(key))
-        vn, wn = self.number[v], self.number[w]
-        h = X.mix(vn.astype(np.uint64))
-        split = np.isin(vn, hot)
-        h = np.where(split, X.mix(h * np.uint64(3) + wn.astype(np.uint64)), h)
-        bucket = _bucket(h, buckets)
-        by = np.lexsort((wn, vn, bucket))
-        self.v, self.w, self.vn, self.wn, self.times, self.bucket = v[by], w[by], vn[by], wn[by], times[by], bucket[by]
-        # contexts before unknown words, whose weights are needed though no pair is asked
-        lone = np.unique(before[(self.count[before] > 0) & (self.count[self.local] == 0)])
-        lone = np.unique(self.number[lone])
-        self.lone = lone[~np.isin(lone, hot)]
-        self.lone_bucket = _bucket(X.mix(self.lone.astype(np.uint64)), buckets)
+    def __init__(self, block: _Block, level: int, buckets: int, hot: np.ndarray) -> None:
+        local, c = block.local, block.c
+        if level == 2:
+            before = np.empty_like(local)
+            before[1:] = local[:-1]
+            before[block.first] = local[-1]  # every text's last token is the end
+            self.context, valid = before, block.count[before] > 0
+            self.ids, self.ids_count, alone = block.number.view(np.uint64), block.count, np.zeros(len(block.number), bool)
+        else:
+            last = block.grams
+            self.context = np.full(len(local), -1, dtype=np.int64)
+            self.context[1:] = last.code[:-1]
+            self.context[block.place < level - 2] = -1
+            valid = self.context >= 0
+            valid[valid] = last.count[self.context[valid]] > 0
+            self.ids, self.ids_count, alone = last.following, last.count, last.private
+        self.valid = valid
+        known = np.flatnonzero(valid & (c > 0))
+        n = max(len(block.number), 1)
+        key, inverse = np.unique(self.context[known] * n + local[known], return_inverse=True)
+        context, word = key // n, key % n
+        one = np.empty(len(key), dtype=np.int64)
+        one[inverse] = known
+        ids, wn = self.ids[context], block.number[word]
+        own = alone[context]
+        h = X.mix(ids) if level == 2 else ids
+        if len(hot):
+            h = np.where(np.isin(ids, hot), X.mix(h * np.uint64(3) + wn.astype(np.uint64)), h)
+        bucket = np.where(own, buckets, _bucket(h, buckets))
+        by = np.lexsort((wn, ids, bucket))
         place = np.empty(len(by), dtype=np.int64)
         place[by] = np.arange(len(by))
-        self.pair = place[self.pair]
-
-
-def _pairs_out(buckets: int, hot: np.ndarray):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for block, load, answers in zip(b.column("block").to_pylist(), b.column("load").to_pylist(), b.column("answers").to_pylist(), strict=True):
-                p = _Pairs(load, answers, buckets, hot)
-                cut = np.searchsorted(p.bucket, np.arange(buckets + 1))
-                rows = []
-                for k in range(buckets):
-                    a, z = cut[k], cut[k + 1]
-                    lone = p.lone[p.lone_bucket == k]
-                    if z > a or len(lone):
-                        vn, wn = p.vn[a:z].astype(np.uint64), p.wn[a:z]
-                        heads = np.flatnonzero(np.concatenate(([z > a], vn[1:] != vn[:-1])))
-                        runs = np.diff(np.append(heads, z - a))
-                        rows.append((4, k, block, _dump(squeeze(_gaps(vn[heads])), squeeze(runs), squeeze(wn), squeeze(p.times[a:z]), squeeze(p.count[p.w[a:z]]), squeeze(_gaps(lone.astype(np.uint64))))))
-                if rows:
-                    yield _rows(rows)
-
-    return run
-
+        self.code = np.full(len(local), -1, dtype=np.int64)  # of every token's run
+        self.code[known] = place[inverse]
+        self.asked = int((~own).sum())
+        self.bucket, self.at, self.id, self.word = bucket[by], context[by], ids[by], wn[by]
+        self.base, self.over = c[one][by], block.over[one][by]
+        self.times = np.bincount(self.code[known], block.train[known], minlength=len(by)).astype(np.int64)
+        self.following = X.mix(self.id * _CHAIN + self.word.astype(np.uint64))
+        # contexts before words unseen at the shorter context, whose weights are needed though no run is asked
+        lone = np.unique(self.context[valid & (c == 0)])
+        lone = np.unique(self.ids[lone[~alone[lone]]]) if len(lone) else np.zeros(0, np.uint64)
+        self.lone = lone[~np.isin(lone, hot)]
+        self.lone_bucket = _bucket(X.mix(self.lone) if level == 2 else self.lone, buckets)
+        self.level, self.hot = level, hot
+
+    def questions(self, block: int, buckets: int) -> list[tuple]:
+        """kind 4: asked runs by context with their training counts here, and what their shorter runs' mass follows from;
+        kind 8: counts of counts of the private ones."""
+        rows = []
+        cut = np.searchsorted(self.bucket, np.arange(buckets + 1))
+        by = np.argsort(self.lone_bucket, kind="stable")
+        lone, ends = self.lone[by], np.searchsorted(self.lone_bucket[by], np.arange(buckets + 1))
+        for k in range(buckets):
+            a, z = cut[k], cut[k + 1]
+            alone = lone[ends[k] : ends[k + 1]]
+            if z > a or len(alone):
+                ids = self.id[a:z]
+                heads = np.flatnonzero(np.concatenate(([z > a], ids[1:] != ids[:-1])))
+                over = squeeze(self.over[a:z][heads]) if self.level > 2 else None
+                rows.append((4, k, block, _dump(squeeze(_gaps(ids[heads])), squeeze(np.diff(np.append(heads, z - a))), squeeze(self.word[a:z]), squeeze(self.times[a:z]), squeeze(self.base[a:z]), over, squeeze(_gaps(alone)))))
+        n = _of_counts(self.times[self.asked :])
+        if n.any():
+            rows.append((8, block % buckets, block, _dump(n)))
+        return rows
 
-def _count_pairs(unigrams: Unigrams, hot: np.ndarray):
-    """kind 5: pair counts in the order asked, then rare counts and known mass of the contexts whose weight or scale the
-    block needs.
-    kind 6: counts of counts. kind 7: the same per hot context, whose pairs lie in many buckets."""
-
-    def answer(bucket: int, blocks: list[int], loads: list[tuple]) -> list[tuple]:
-        asked, times, words = [], [], []
-        lone = []
-        for heads, runs, wn, t, c, alone in loads:
-            lone.append(np.cumsum(stretch(alone), dtype=np.uint64).astype(np.int64))
-            v = np.repeat(np.cumsum(stretch(heads), dtype=np.uint64), stretch(runs).astype(np.int64))
-            asked.append(np.stack([v, stretch(wn)], axis=1).astype(np.int64))
-            times.append(stretch(t).astype(np.int64))
-            words.append(stretch(c).astype(np.int64))
-        everything = np.concatenate(asked)
-        by = np.lexsort((everything[:, 1], everything[:, 0]))
-        s = everything[by]
-        new = np.concatenate(([True], (s[1:] != s[:-1]).any(axis=1)))
+    def settle(self, answers: list[bytes], d: np.ndarray, hot_rare: np.ndarray, hot_known: np.ndarray) -> None:
+        """Counts of all runs, and rare counts and known mass of the contexts that need them. ``d`` discounts the shorter runs."""
+        got = [pickle.loads(a) for a in answers]
+        code = np.concatenate([_longs(x[0]) for x in got] + [np.zeros(0, np.int64)])
+        own = slice(self.asked, None)
+        self.count = np.concatenate([code >> 1, self.times[own]])
+        self.private = np.concatenate([(code & 1).astype(bool), np.ones(len(self.times) - self.asked, bool)])
+        ids, rare = [*(_ungap(x[1]) for x in got), self.hot], [*(x[2].reshape(-1, KEPT).astype(np.int64) for x in got), hot_rare]
+        known = [*(x[3] for x in got), hot_known]
+        if self.asked < len(self.times):  # private contexts: all their runs are here
+            context, row = np.unique(self.at[own], return_inverse=True)
+            c, seen = self.times[own], self.times[own] > 0
+            p = d[np.minimum(self.base[own], KEPT + 1)] * self.base[own] / self.over[own]
+            few = seen & (c <= KEPT)
+            ids.append(self.ids[context])
+            rare.append(np.bincount(row[few] * KEPT + c[few] - 1, minlength=len(context) * KEPT).reshape(-1, KEPT))
+            known.append(np.bincount(row[seen], p[seen], minlength=len(context)))
+        ids = np.concatenate(ids)
+        by = np.argsort(ids)
+        at, self.there = X.find(ids[by], self.ids)
+        there = by[at[self.there]]
+        self.rare, self.known = np.concatenate(rare)[there], np.concatenate(known)[there]
+        self.bare = np.zeros(len(self.ids), bool)  # contexts whose seen runs are scaled: nothing to discount
+        self.bare[self.there] = self.rare.sum(axis=1) == 0
+
+    def refine(self, p: np.ndarray, c: np.ndarray, d: np.ndarray) -> np.ndarray:
+        """Probabilities of all tokens given this level's contexts, from those given the shorter ones."""
+        factor, weight = np.ones(len(self.ids)), np.ones(len(self.ids))
+        factor[self.there], weight[self.there] = backoff(d, self.ids_count[self.there].astype(np.float64), self.rare, self.known)
+        on = np.flatnonzero(self.valid)
+        h, k = self.context[on], c[on]
+        out = p.copy()
+        out[on] = np.where(k > 0, d[np.minimum(k, KEPT + 1)] * k / self.ids_count[h] * factor[h], weight[h] * p[on])
+        return out
+
+
+class _Block:
+    """A block's tokens, with what is known of its runs of each length from the answers so far."""
+
+    def __init__(self, load: bytes, words: list[bytes], unigrams: Unigrams) -> None:
+        self.ids, self.out, size, local = pickle.loads(load)
+        self.size, self.local = _longs(size), _longs(local)
+        loads = [pickle.loads(x) for x in words]  # words are in hash order, so by bucket
+        self.number = np.concatenate([_longs(x[0]) for x in loads])
+        self.count = np.concatenate([_longs(x[1]) for x in loads])
+        self.begin = np.concatenate(([0], np.cumsum(self.size)))
+        self.first = self.begin[:-1]
+        self.place = np.arange(len(self.local)) - np.repeat(self.first, self.size)
+        self.train = np.repeat(~self.out, self.size)
+        self.c = self.count[self.local]  # training count of each token's run of the level reached
+        self.over = np.full(len(self.local), unigrams.over, dtype=np.int64)
+        self.grams: _Grams | None = None
+
+    def rise(self, level: int, buckets: int, hot: np.ndarray) -> _Grams:
+        self.grams = _Grams(self, level, buckets, hot)
+        return self.grams
+
+    def settle(self, answers: list[bytes], d: np.ndarray, hot_rare: np.ndarray, hot_known: np.ndarray) -> None:
+        """Take the answers of the level: counts and divisors of each token's run."""
+        g = self.grams
+        g.settle(answers, d, hot_rare, hot_known)
+        on = np.flatnonzero(g.valid)
+        h = g.context[on]
+        self.over[on] = g.ids_count[h] + g.bare[h]
+        self.c = np.where(g.code >= 0, g.count[g.code] if len(g.count) else 0, 0)
+
+
+def _count_runs(level: int, buckets: int, total: int, over: int, d: np.ndarray, hot: np.ndarray):
+    """kind 5: counts in the order asked (with a mark where no other block asks), then rare counts and known mass of the
+    contexts whose weight or scale the block needs. kind 6: counts of counts and the most frequent runs as contexts of
+    the next level. kind 7: rare counts and mass of hot contexts, whose runs lie in many buckets."""
+
+    def answer(bucket: int, blocks: list[int], loads: list[bytes]) -> list[tuple]:
+        ids, words, times, base, divide, lone = [], [], [], [], [], []
+        private = np.zeros(KEPT + 2, dtype=np.int64)
+        asking = []
+        for block, raw in zip(blocks, loads, strict=True):
+            x = pickle.loads(raw)
+            if len(x) == 1:
+                private += x[0]
+                continue
+            heads, runs, wn, t, c, o, alone = x
+            runs = _longs(runs)
+            asking.append(block)
+            ids.append(np.repeat(_ungap(heads), runs))
+            words.append(_longs(wn))
+            times.append(_longs(t))
+            base.append(_longs(c))
+            if level > 2:
+                divide.append(np.repeat(_longs(o), runs))
+            lone.append(_ungap(alone))
+        loads.clear()
+        size = [len(x) for x in ids]
+        v = np.concatenate([*ids, np.zeros(0, np.uint64)])
+        w = np.concatenate([*words, np.zeros(0, np.int64)])
+        del ids, words
+        by = np.lexsort((w, v))
+        v, w = v[by], w[by]
+        new = np.ones(len(by), bool)
+        new[1:] = (v[1:] != v[:-1]) | (w[1:] != w[:-1])
         where = np.empty(len(by), dtype=np.int64)
         where[by] = np.cumsum(new) - 1
-        c = np.bincount(where, np.concatenate(times)).astype(np.int64)
-        v = s[new, 0]
-        p = unigrams.p(np.concatenate(words)[by][new])
+        v, w, one = v[new], w[new], by[new]
+        c = np.bincount(where, np.concatenate([*times, np.zeros(0, np.int64)]), minlength=len(v)).astype(np.int64)
+        alone_asked = np.bincount(where, minlength=len(v)) == 1
+        b = np.concatenate([*base, np.zeros(0, np.int64)])[one]
+        p = d[np.minimum(b, KEPT + 1)] * b / (np.concatenate(divide)[one] if divide else over)
+        del times, base, divide, by, new, one, b
         contexts, row = np.unique(v, return_inverse=True)
         seen = c > 0
         known = np.bincount(row[seen], p[seen], minlength=len(contexts))
-        rare = np.zeros((len(contexts), KEPT), dtype=np.int64)
         few = seen & (c <= KEPT)
-        np.add.at(rare, (row[few], c[few] - 1), 1)
-        bare = rare.sum(axis=1) == 0  # nothing to discount: their seen pairs are scaled
+        rare = np.bincount(row[few] * KEPT + c[few] - 1, minlength=len(contexts) * KEPT).reshape(-1, KEPT)
+        bare = rare.sum(axis=1) == 0
+        mark = 2 * c + alone_asked
+        is_hot = np.isin(contexts, hot)
         rows, at = [], 0
-        for block, pairs, alone in zip(blocks, asked, lone, strict=True):
-            mine = where[at : at + len(pairs)]
-            at += len(pairs)
-            open_ = np.union1d(row[mine[(c[mine] == 0) | bare[row[mine]]]], np.searchsorted(contexts, alone))
-            open_ = open_[~np.isin(contexts[open_], hot)]
-            rows.append((5, bucket, block, _dump(squeeze(c[mine]), squeeze(_gaps(contexts[open_].astype(np.uint64))), rare[open_].astype(np.uint32), known[open_])))
-        rows.append((6, bucket, 0, _dump(np.bincount(c[seen & (c <= KEPT + 1)], minlength=KEPT + 2))))
-        own = np.flatnonzero(np.isin(contexts, hot))
+        for block, n, alone in zip(asking, size, lone, strict=True):
+            mine = where[at : at + n]
+            at += n
+            wanted = np.zeros(len(contexts), bool)
+            wanted[row[mine[(c[mine] == 0) | bare[row[mine]]]]] = True
+            wanted[np.searchsorted(contexts, alone)] = True
+            open_ = np.flatnonzero(wanted & ~is_hot)
+            rows.append((5, bucket, block, _dump(squeeze(mark[mine]), squeeze(_gaps(contexts[open_])), rare[open_].astype(np.uint32), known[open_])))
+        top = np.flatnonzero(c * 4 * buckets > total)
+        rows.append((6, bucket, 0, _dump(_of_counts(c) + private, X.mix(v[top] * _CHAIN + w[top].astype(np.uint64)))))
+        own = np.flatnonzero(is_hot)
         if len(own):
             rows.append((7, bucket, 0, _dump(contexts[own], rare[own], known[own])))
         return rows
@@ -306,69 +429,91 @@ def _count_pairs(unigrams: Unigrams, hot: np.ndarray):
     return run
 
 
+class Level:
+    """What tasks need of a finished level: its discounts, and its hot contexts with their totals."""
+
+    def __init__(self, hot: np.ndarray, d: np.ndarray, rare: np.ndarray, known: np.ndarray) -> None:
+        self.hot, self.d, self.rare, self.known = hot, d, rare, known
+
+
+def _raised(unigrams: Unigrams, levels: list[Level], buckets: int, rows: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, _Block, np.ndarray]]:
+    """Rows of (block, kind, bucket, load), sorted so: each block's tokens, then its answers level by level. Gives the
+    block with all finished levels settled, and its tokens' probabilities."""
+
+    def build(block: int, parts: dict[int, list[bytes]]) -> tuple[int, _Block, np.ndarray]:
+        b = _Block(parts[0][0], parts[2], unigrams)
+        p = unigrams.p(b.c)
+        d = unigrams.d
+        for m, level in enumerate(levels, 2):
+            b.rise(m, buckets, level.hot)
+            b.settle(parts.get(10 * m, []), d, level.rare, level.known)
+            p, d = b.grams.refine(p, b.c, level.d), level.d
+        return block, b, p
+
+    at, parts = None, {}
+    for batch in rows:
+        for block, kind, load in zip(batch.column("block").to_pylist(), batch.column("kind").to_pylist(), batch.column("load"), strict=True):
+            if block != at:
+                if parts:
+                    yield build(at, parts)
+                at, parts = block, {}
+            parts.setdefault(kind, []).append(load.as_py())
+    if parts:
+        yield build(at, parts)
+    X.release()
+
+
+def _ask(unigrams: Unigrams, levels: list[Level], buckets: int, hot: np.ndarray):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for number, b, _ in _raised(unigrams, levels, buckets, batches):
+            rows = b.rise(len(levels) + 2, buckets, hot).questions(number, buckets)
+            if rows:
+                yield _rows(rows)
+
+    return run
+
+
 _SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
-def _evaluate(unigrams: Unigrams, d: np.ndarray, buckets: int, hot: np.ndarray, hot_rare: np.ndarray, hot_known: np.ndarray):
+def _evaluate(unigrams: Unigrams, levels: list[Level], buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for load, answers, counts in zip(b.column("load").to_pylist(), b.column("answers").to_pylist(), b.column("counts").to_pylist(), strict=True):
-                p = _Pairs(load, answers, buckets, hot)
-                got = [pickle.loads(a["load"]) for a in sorted(counts or [], key=lambda a: a["bucket"])]
-                c = np.concatenate([stretch(x[0]) for x in got]).astype(np.int64) if got else np.zeros(0, np.int64)
-                contexts = np.concatenate([np.cumsum(stretch(x[1]), dtype=np.uint64).astype(np.int64) for x in got] + [hot])
-                rare = np.concatenate([x[2].reshape(-1, KEPT).astype(np.int64) for x in got] + [hot_rare])
-                known = np.concatenate([x[3] for x in got] + [hot_known])
-                one = unigrams.p(p.count)
-                log = np.log10(one[p.local])  # contexts without training count back off with weight one
-                # a known context before an unknown word, or a known word unseen there, backs off with its weight
-                cv = p.count[p.v].astype(np.float64)
-                by = np.argsort(contexts)
-                at, there = X.find(contexts[by], p.number)
-                factor, weight = np.ones(len(p.number)), np.ones(len(p.number))
-                if there.any():
-                    k = by[at[there]]
-                    factor[there], weight[there] = backoff(d, p.count[there].astype(np.float64), rare[k], known[k])
-                seen = d[np.minimum(c, KEPT + 1)] * c / np.maximum(cv, 1)
-                pair = np.where(c > 0, seen * factor[p.v], weight[p.v] * one[p.w])
-                log[p.both] = np.log10(pair)[p.pair]
-                strange = np.flatnonzero((p.count[p.local] == 0) & (p.count[p.before] > 0))
-                log[strange] = np.log10(weight[p.before[strange]] * unigrams.unknown)
-                begin = np.concatenate(([0], np.cumsum(p.size)))
-                base = np.log10((p.count[p.local] + 1) / (unigrams.total + 1 * (unigrams.words + 1)))
-                n = len(p.size)
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(p.ids, pa.int64()),
-                        pa.array(p.out),
-                        pa.array(p.size),
-                        pa.array(X.sums_per_text((p.count[p.local] > 0).astype(np.float64), begin).astype(np.int64)),
-                        pa.array(np.full(n, unigrams.total, dtype=np.int64)),
-                        pa.array(np.add.reduceat(base, begin[:-1])),
-                        pa.array(np.add.reduceat(log, begin[:-1])),
-                    ],
-                    names=[c.split()[0] for c in _SCORES.split(", ")],
-                )
+        for _, b, p in _raised(unigrams, levels, buckets, batches):
+            count = b.count[b.local]
+            base = np.log10((count + 1) / (unigrams.total + 1 * (unigrams.words + 1)))
+            yield pa.RecordBatch.from_arrays(
+                [
+                    pa.array(b.ids, pa.int64()),
+                    pa.array(b.out),
+                    pa.array(b.size),
+                    pa.array(np.add.reduceat((count > 0).astype(np.int64), b.first)),
+                    pa.array(np.full(len(b.size), unigrams.total, dtype=np.int64)),
+                    pa.array(np.add.reduceat(base, b.first)),
+                    pa.array(np.add.reduceat(np.log10(p), b.first)),
+                ],
+                names=[c.split()[0] for c in _SCORES.split(", ")],
+            )
 
     return run
 
 
 class KatzModel:
-    """Fitted totals, and the written tables of word and pair counts that the scores are read from."""
+    """Fitted totals, and the written tables of word and run counts that the scores are read from."""
 
-    def __init__(self, blocks, words, pairs, unigrams: Unigrams, d: np.ndarray, buckets: int, hot, hot_rare, hot_known) -> None:
-        self.blocks, self.words, self.pairs = blocks, words, pairs
-        self.unigrams, self.d, self.buckets = unigrams, d, buckets
-        self.hot, self.hot_rare, self.hot_known = hot, hot_rare, hot_known
+    def __init__(self, blocks: DataFrame, words: DataFrame, unigrams: Unigrams, buckets: int) -> None:
+        self.blocks, self.words, self.unigrams, self.buckets = blocks, words, unigrams, buckets
+        self.levels: list[Level] = []
+        self.counts: list[DataFrame] = []
 
-    def _with_words(self) -> DataFrame:
-        told = self.words.filter("kind = 2").groupBy("block").agg(F.collect_list(F.struct("bucket", "load")).alias("answers"))
-        return self.blocks.filter("kind = 0").select("block", "load").join(told, "block")
+    def by_block(self) -> DataFrame:
+        """Every block's tokens and the answers it got, side by side."""
+        rows = self.blocks.filter("kind = 0").unionByName(self.words.filter("kind = 2"))
+        for m, table in enumerate(self.counts, 2):
+            rows = rows.unionByName(table.filter("kind = 5").withColumn("kind", F.lit(10 * m)))
+        return rows.repartition(self.buckets, "block").sortWithinPartitions("block", "kind", "bucket").select("block", "kind", "load")
 
     def scores(self) -> DataFrame:
-        counts = self.pairs.filter("kind = 5").groupBy("block").agg(F.collect_list(F.struct("bucket", "load")).alias("counts"))
-        rows = self._with_words().join(counts, "block", "left").select("load", "answers", "counts")
-        return rows.mapInArrow(_evaluate(self.unigrams, self.d, self.buckets, self.hot, self.hot_rare, self.hot_known), _SCORES)
+        return self.by_block().mapInArrow(_evaluate(self.unigrams, self.levels, self.buckets), _SCORES)
 
 
 def _totals(table: DataFrame, kind: int) -> list[tuple]:
@@ -376,29 +521,40 @@ def _totals(table: DataFrame, kind: int) -> list[tuple]:
     return [pickle.loads(bytes(r["load"])) for r in table.filter(F.col("kind") == kind).select("load").toLocalIterator()]
 
 
-def fit(df: DataFrame, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = BUCKET_BYTES) -> KatzModel:
+def fit(df: DataFrame, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = BUCKET_BYTES, order: int = ORDER) -> KatzModel:
     """Count and fit on the rows of ``df`` (doc_id, held_out, text) that are not held out; all rows can be scored."""
+    if order < 1:
+        raise ValueError(f"order is {order}; it must be at least 1")
     spark = use_library(df.sparkSession)
     buckets = parts_for(text_bytes(df), bucket_bytes)
     blocks = written(df.select("doc_id", "held_out", "text").mapInArrow(_blocks(buckets, block_bytes), _MESSAGE), "katz-blocks", by="kind")
     deal = lambda t: t.repartition(buckets, "bucket").sortWithinPartitions("bucket", "block").select("kind", "bucket", "block", "load")
     words = written(deal(blocks.filter("kind = 1")).mapInArrow(_count_words(buckets), _MESSAGE), "katz-words", by="kind")
+    drop_part(blocks, "kind=1")
+    free_shuffles(spark)
     totals = _totals(words, 3)
     total, distinct = sum(t[0] for t in totals), sum(t[1] for t in totals)
     unigrams = Unigrams(total, distinct, sum((t[2] for t in totals), np.zeros(KEPT + 2, dtype=np.int64)))
+    model = KatzModel(blocks, words, unigrams, buckets)
     # contexts with more than a quarter of a bucket's share: at most four per bucket
-    hot = np.sort(np.array([n for t in totals for n, c in zip(t[3], t[4], strict=True) if c * 4 * buckets > total and n > 0], dtype=np.int64))
-    model = KatzModel(blocks, words, None, unigrams, np.ones(KEPT + 2), buckets, hot, None, None)
-    asked = model._with_words().mapInArrow(_pairs_out(buckets, hot), _MESSAGE)
-    model.pairs = written(deal(asked).mapInArrow(_count_pairs(unigrams, hot), _MESSAGE), "katz-pairs", by="kind")
-    free_shuffles(spark)
-    model.d = discounts(sum((t[0] for t in _totals(model.pairs, 6)), np.zeros(KEPT + 2, dtype=np.int64)))
-    rare, known = np.zeros((len(hot), KEPT), dtype=np.int64), np.zeros(len(hot))
-    for own, r, k in _totals(model.pairs, 7):
-        at = np.searchsorted(hot, own)
-        np.add.at(rare, at, r)
-        np.add.at(known, at, k)
-    model.hot_rare, model.hot_known = rare, known
+    hot = np.array([n for t in totals for n, c in zip(t[3], t[4], strict=True) if c * 4 * buckets > total and n > 0], dtype=np.uint64)
+    d = unigrams.d
+    for level in range(2, order + 1):
+        hot = np.unique(hot)
+        asked = model.by_block().mapInArrow(_ask(unigrams, model.levels, buckets, hot), _MESSAGE)
+        counts = written(deal(asked).mapInArrow(_count_runs(level, buckets, total, unigrams.over, d, hot), _MESSAGE), f"katz-runs-{level}", by="kind")
+        del asked
+        free_shuffles(spark)
+        ends = _totals(counts, 6)
+        d = discounts(sum((t[0] for t in ends), np.zeros(KEPT + 2, dtype=np.int64)))
+        rare, known = np.zeros((len(hot), KEPT), dtype=np.int64), np.zeros(len(hot))
+        for own, r, k in _totals(counts, 7):
+            at = np.searchsorted(hot, own)
+            np.add.at(rare, at, r)
+            np.add.at(known, at, k)
+        model.levels.append(Level(hot, d, rare, known))
+        model.counts.append(counts)
+        hot = np.concatenate([*(t[1] for t in ends), np.zeros(0, np.uint64)])
     return model
 
 

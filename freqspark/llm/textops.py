@@ -56,6 +56,16 @@ def slices(batch: pa.RecordBatch, column: str = "text", limit: int = 2 << 20) ->
         at = to
 
 
+def release() -> None:
+    """Give freed memory back to the system: a reused worker must not keep the peak of the task before it."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+    if trim is not None:
+        trim(0)
+
+
 def column_bytes(array: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """All texts' UTF-8 bytes end to end, and the offsets of each; null is empty."""
     if isinstance(array, pa.ChunkedArray):

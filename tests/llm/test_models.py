@@ -17,54 +17,65 @@ from .test_dedup import WORD, lower
 END = "\0end"
 
 
-def brute_katz(docs: dict[int, str], held: dict[int, bool]):
-    tokens = {i: WORD.findall(lower(t or "")) + [END] for i, t in docs.items()}
-    one, two = Counter(), Counter()
-    for i, w in tokens.items():
-        if not held[i]:
-            one.update(w)
-            two.update(zip([END, *w[:-1]], w, strict=True))
-    n = sum(one.values())
-    of_counts = lambda c: np.bincount([min(x, 7) for x in c.values()], minlength=8)[:7]
-    d1, d2 = katz.discounts(of_counts(one)), katz.discounts(of_counts(two))
-    unknown = 1 - sum(d1[min(c, 6)] * c / n for c in one.values())
-    p1 = lambda w: d1[min(one[w], 6)] * one[w] / n if one[w] else unknown
-    after = defaultdict(dict)
-    for (v, w), c in two.items():
-        after[v][w] = c
-    spread = {}
-
-    def context(v):
-        if v not in spread:
-            seen = {w: d2[min(c, 6)] * c / one[v] for w, c in after[v].items()}
+class BruteKatz:
+    """The model by plain dictionaries: contexts of up to ``order - 1`` words, the first word's context is the end."""
+
+    def __init__(self, docs: dict, held: dict, order: int) -> None:
+        self.order = order
+        self.tokens = {i: WORD.findall(lower(t or "")) + [END] for i, t in docs.items()}
+        self.one, self.after = Counter(), [defaultdict(Counter) for _ in range(order + 1)]
+        for i, w in self.tokens.items():
+            if held[i]:
+                continue
+            self.one.update(w)
+            for m in range(2, order + 1):
+                for at in range(m - 2, len(w)):
+                    self.after[m][tuple(([END] + w)[at - m + 2 : at + 1])][w[at]] += 1
+        self.n = sum(self.one.values())
+        of_counts = lambda counts: np.bincount([min(x, 7) for x in counts], minlength=8)[:7]
+        self.d = [None, katz.discounts(of_counts(self.one.values()))]
+        self.d += [katz.discounts(of_counts([c for x in self.after[m].values() for c in x.values()])) for m in range(2, order + 1)]
+        self.unknown = 1 - sum(self.d[1][min(c, 6)] * c / self.n for c in self.one.values())
+        self.spread: dict = {}
+
+    def context(self, h: tuple) -> tuple[dict, float]:
+        if h not in self.spread:
+            own = self.after[len(h) + 1][h]
+            total = sum(own.values())
+            seen = {w: self.d[len(h) + 1][min(c, 6)] * c / total for w, c in own.items()}
             left = 1 - sum(seen.values())
-            if all(c > 5 for c in after[v].values()):
-                seen, left = {w: p * one[v] / (one[v] + 1) for w, p in seen.items()}, 1 / (one[v] + 1)
-            spread[v] = seen, left / (1 - sum(map(p1, seen)))
-        return spread[v]
-
-    def p(v, w):
-        if not one[v]:
-            return p1(w)
-        seen, weight = context(v)
-        return seen.get(w, weight * p1(w))
-
-    return tokens, one, n, p, context, p1, unknown
-
-
-@pytest.mark.parametrize("sizes", [{}, {"block_bytes": 40_000, "bucket_bytes": 50_000}])
-def test_katz_equals_brute_force_and_sums_to_one(spark, texts, sf_small, sizes):
+            if all(c > 5 for c in own.values()):
+                seen, left = {w: p * total / (total + 1) for w, p in seen.items()}, 1 / (total + 1)
+            self.spread[h] = seen, left / (1 - sum(self.p(h[1:], w) for w in seen))
+        return self.spread[h]
+
+    def p(self, h: tuple, w: str) -> float:
+        if not h:
+            return self.d[1][min(self.one[w], 6)] * self.one[w] / self.n if self.one[w] else self.unknown
+        if h not in self.after[len(h) + 1]:
+            return self.p(h[1:], w)
+        seen, weight = self.context(h)
+        return seen[w] if w in seen else weight * self.p(h[1:], w)
+
+    def score(self, w: list) -> float:
+        back = [END] + w
+        return sum(math.log10(self.p(tuple(back[max(0, i - self.order + 2) : i + 1]), x)) for i, x in enumerate(w))
+
+
+@pytest.mark.parametrize(("sizes", "order"), [({}, 3), ({"block_bytes": 40_000, "bucket_bytes": 50_000}, 3), ({"block_bytes": 40_000, "bucket_bytes": 50_000}, 4), ({}, 2), ({}, 1)])
+def test_katz_equals_brute_force_and_sums_to_one(spark, texts, sf_small, sizes, order):
     docs = spark.read.parquet(f"{sf_small}/documents.parquet").select("doc_id", (crc_mod("doc_id", 7) == 2).alias("held_out"), "text")
     held = {i: zlib.crc32(str(i).encode()) % 7 == 2 for i in texts["doc_id"]}
-    tokens, one, n, p, context, p1, unknown = brute_katz(dict(zip(texts["doc_id"], texts["text"], strict=True)), held)
-    for r in katz.fit(docs, **sizes).scores().collect():
-        w = tokens[r["doc_id"]]
+    want = BruteKatz(dict(zip(texts["doc_id"], texts["text"], strict=True)), held, order)
+    one, n = want.one, want.n
+    for r in katz.fit(docs, **sizes, order=order).scores().collect():
+        w = want.tokens[r["doc_id"]]
         assert (r["held_out"], r["n_tokens"], r["n_known"], r["train_tokens"]) == (held[r["doc_id"]], len(w), sum(one[x] > 0 for x in w), n)
-        assert math.isclose(r["score"], sum(math.log10(p(v, x)) for v, x in zip([END, *w[:-1]], w, strict=True)), rel_tol=1e-9)
+        assert math.isclose(r["score"], want.score(w), rel_tol=1e-9)
         assert math.isclose(r["base_score"], sum(math.log10((one[x] + 1) / (n + len(one) + 1)) for x in w), rel_tol=1e-9)
-    for v in [*list(one)[:40], END]:
-        seen, weight = context(v)
-        assert math.isclose(sum(seen.values()) + weight * (unknown + sum(p1(w) for w in one if w not in seen)), 1, rel_tol=1e-9)
+    for m in range(2, order + 1):
+        for h in list(want.after[m])[:15]:
+            assert math.isclose(want.p(h, "\0unknown") + sum(want.p(h, w) for w in one), 1, rel_tol=1e-9)
 
 
 def test_katz_cases(odd, empty):
