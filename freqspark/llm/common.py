@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 #: White space of the word pattern `[^\x20\x09-\x0D]+`.
 SPACES = " \t\n\x0b\x0c\r"
 
+_FREE_FILES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"  # a session setting of Spark 4.1
 _written: dict[str, SparkSession] = {}
 _local_base: list[str] = []
 
@@ -37,7 +38,12 @@ def written(df: DataFrame, name: str, by: str | None = None) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/freqspark-{spark.sparkContext.applicationId}/{name}-{uuid.uuid4().hex[:12]}"
     out = df.write.option("compression", "zstd")
-    (out.partitionBy(by) if by else out).parquet(path)
+    was = spark.conf.get(_FREE_FILES, None)
+    spark.conf.set(_FREE_FILES, "true")  # the table replaces its shuffles: their files go when the write ends
+    try:
+        (out.partitionBy(by) if by else out).parquet(path)
+    finally:
+        spark.conf.unset(_FREE_FILES) if was is None else spark.conf.set(_FREE_FILES, was)
     _written[path] = spark
     out = spark.read.schema(df.schema).parquet(path)
     out._written_path = path
