@@ -15,7 +15,7 @@ are discounted in the same way; the remainder is the probability of any unknown
 context, and no context reaches further back. Where discounts leave a context nothing (all its runs are frequent) every
 count of it is scaled by c(h) / (c(h) + 1), so sums stay exactly one.
 
-Words are known by 64-bit hashes and contexts of two words and more by 64-bit hashes of their words' numbers.
+Words are known by 64-bit hashes, runs of two words and more by 64-bit hashes of their words' numbers.
 
 Defined cases: null and empty texts are one end token. A row without an id is training text, since its remainder is
 unknown. With no training text every token is unknown and has probability 1. Equal rows count as often as they stand.
@@ -146,11 +146,14 @@ def _blocks(buckets: int, block_bytes: int):
             ids = [i for p in parts for i in p[0]]
             out = np.array([o for p in parts for o in p[1]], dtype=bool)
             size = np.concatenate([p[2] for p in parts])
-            words, local = np.unique(np.concatenate([p[3] for p in parts]), return_inverse=True)
+            words, local, _ = X.distinct(np.concatenate([p[3] for p in parts]))
             train = np.repeat(~out, size)
             count = np.bincount(local[train], minlength=len(words))
+            common = np.argsort(-np.bincount(local, minlength=len(words)), kind="stable")  # small numbers pack better
+            rank = np.empty(len(words), dtype=np.int64)
+            rank[common] = np.arange(len(words))
             block = base + number
-            rows = [(0, 0, block, _dump(ids, out, squeeze(size), squeeze(local)))]
+            rows = [(0, 0, block, _dump(ids, out, squeeze(size), squeeze(rank[local]), squeeze(common)))]
             cut = np.searchsorted(_bucket(words, buckets), np.arange(buckets + 1))
             for k in range(buckets):
                 a, b = cut[k], cut[k + 1]
@@ -192,8 +195,13 @@ def _per_bucket(batches: Iterator[pa.RecordBatch], answer):
     X.release()
 
 
+def _numbers(place: np.ndarray, c: np.ndarray, bucket: int, buckets: int) -> np.ndarray:
+    return np.where(c > 0, (place + 1) * buckets + bucket, 0)
+
+
 def _count_words(buckets: int):
-    """kind 2: numbers (0 for words without training count, else unique) and counts in the order asked; kind 3: totals."""
+    """kind 2: places in the bucket and counts in the order asked, from which numbers follow that are unique and 0 for
+    words without training count; kind 3: totals."""
 
     def answer(bucket: int, blocks: list[int], loads: list[bytes]) -> list[tuple]:
         hashes, counts = [], []
@@ -201,16 +209,15 @@ def _count_words(buckets: int):
             h, c = pickle.loads(raw)
             hashes.append(_ungap(h))
             counts.append(_longs(c))
-        words, where = np.unique(np.concatenate(hashes), return_inverse=True)
+        words, where, _ = X.distinct(np.concatenate(hashes))
         c = np.bincount(where, np.concatenate(counts), minlength=len(words)).astype(np.int64)
-        number = np.where(c > 0, np.cumsum(c > 0) * buckets + bucket, 0)
         rows, at = [], 0
         for block, h in zip(blocks, hashes, strict=True):
             mine = where[at : at + len(h)]
-            rows.append((2, bucket, block, _dump(squeeze(number[mine]), squeeze(c[mine]))))
+            rows.append((2, bucket, block, _dump(bucket, squeeze(_gaps(mine.astype(np.uint64))), squeeze(c[mine]))))
             at += len(h)
         top = np.argsort(-c, kind="stable")[:64]
-        rows.append((3, bucket, 0, _dump(int(c.sum()), int((c > 0).sum()), _of_counts(c), number[top].astype(np.uint64), c[top])))
+        rows.append((3, bucket, 0, _dump(int(c.sum()), int((c > 0).sum()), _of_counts(c), _numbers(top, c[top], bucket, buckets).astype(np.uint64), c[top])))
         return rows
 
     def run(batches):
@@ -227,43 +234,36 @@ class _Grams:
 
     def __init__(self, block: _Block, level: int, buckets: int, hot: np.ndarray) -> None:
         local, c = block.local, block.c
+        self.context = np.full(len(local), -1, dtype=np.int32)
+        valid = np.zeros(len(local), bool)
         if level == 2:
-            before = np.empty_like(local)
-            before[1:] = local[:-1]
-            before[block.first] = local[-1]  # every text's last token is the end
-            self.context, valid = before, block.count[before] > 0
+            self.context[1:] = local[:-1]
+            self.context[block.first] = local[-1]  # every text's last token is the end
+            valid = block.count[self.context] > 0
             self.ids, self.ids_count, alone = block.number.view(np.uint64), block.count, np.zeros(len(block.number), bool)
         else:
             last = block.grams
-            self.context = np.full(len(local), -1, dtype=np.int64)
             self.context[1:] = last.code[:-1]
-            self.context[block.place < level - 2] = -1
-            valid = self.context >= 0
-            valid[valid] = last.count[self.context[valid]] > 0
-            self.ids, self.ids_count, alone = last.following, last.count, last.private
+            valid[1:] = c[:-1] > 0  # the run that ends before a token is its context
+            valid &= block.place >= level - 2
+            self.ids, self.ids_count, alone = X.mix(last.id * _CHAIN + last.word.astype(np.uint64)), last.count, last.private
         self.valid = valid
         known = np.flatnonzero(valid & (c > 0))
         n = max(len(block.number), 1)
-        key, inverse = np.unique(self.context[known] * n + local[known], return_inverse=True)
-        context, word = key // n, key % n
-        one = np.empty(len(key), dtype=np.int64)
-        one[inverse] = known
-        ids, wn = self.ids[context], block.number[word]
-        own = alone[context]
-        h = X.mix(ids) if level == 2 else ids
-        if len(hot):
-            h = np.where(np.isin(ids, hot), X.mix(h * np.uint64(3) + wn.astype(np.uint64)), h)
-        bucket = np.where(own, buckets, _bucket(h, buckets))
-        by = np.lexsort((wn, ids, bucket))
-        place = np.empty(len(by), dtype=np.int64)
-        place[by] = np.arange(len(by))
-        self.code = np.full(len(local), -1, dtype=np.int64)  # of every token's run
+        key, inverse, one = X.distinct(self.context[known] * np.int64(n) + local[known])
+        context = key // n
+        word = block.number[key - context * n]
+        by, bucket = self._order(context, word, alone, level, buckets, hot)
+        one = known[one[by]]
+        place = np.empty(len(by), dtype=np.int32)
+        place[by] = np.arange(len(by), dtype=np.int32)
+        self.code = np.full(len(local), -1, dtype=np.int32)  # of every token's run
         self.code[known] = place[inverse]
-        self.asked = int((~own).sum())
-        self.bucket, self.at, self.id, self.word = bucket[by], context[by], ids[by], wn[by]
-        self.base, self.over = c[one][by], block.over[one][by]
-        self.times = np.bincount(self.code[known], block.train[known], minlength=len(by)).astype(np.int64)
-        self.following = X.mix(self.id * _CHAIN + self.word.astype(np.uint64))
+        self.bucket, self.asked = bucket, int(np.searchsorted(bucket, buckets))
+        self.at, self.word = context[by], word[by]
+        self.id = self.ids[self.at]
+        self.base, self.over = c[one], block.over[one]
+        self.times = np.bincount(self.code[known[block.train[known]]], minlength=len(by))
         # contexts before words unseen at the shorter context, whose weights are needed though no run is asked
         lone = np.unique(self.context[valid & (c == 0)])
         lone = np.unique(self.ids[lone[~alone[lone]]]) if len(lone) else np.zeros(0, np.uint64)
@@ -271,6 +271,31 @@ class _Grams:
         self.lone_bucket = _bucket(X.mix(self.lone) if level == 2 else self.lone, buckets)
         self.level, self.hot = level, hot
 
+    def _order(self, context: np.ndarray, word: np.ndarray, alone: np.ndarray, level: int, buckets: int, hot: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Runs, which come by context, ordered by bucket and context, and their buckets; private ones go last."""
+        spread = lambda ids: X.mix(ids) if level == 2 else ids
+        runs, split = np.arange(len(context)), np.zeros(len(context), np.int64)
+        if len(hot):
+            at = np.flatnonzero(np.isin(self.ids, hot)[context])
+            ids = self.ids[context[at]]
+            split[at] = 1 + _bucket(X.mix(spread(ids) * np.uint64(3) + word[at].astype(np.uint64)), buckets)
+            runs[at] = at[np.lexsort((split[at], context[at]))]
+            context, split = context[runs], split[runs]
+        start = np.ones(len(context), bool)
+        start[1:] = (context[1:] != context[:-1]) | (split[1:] != split[:-1])
+        heads = np.flatnonzero(start)
+        own, ids = context[heads], self.ids[context[heads]]
+        bucket = np.where(split[heads] > 0, split[heads] - 1, _bucket(spread(ids), buckets))
+        bucket = np.where(alone[own], buckets, bucket)
+        if level == 2:
+            group = np.lexsort((ids, bucket))
+        else:  # hashes: their first bits order them
+            width = np.uint64(int(buckets).bit_length())
+            group = X.ascending((bucket.astype(np.uint64) << (np.uint64(64) - width)) | (ids >> width))
+        size = np.diff(np.append(heads, len(context)))[group]
+        by = np.repeat(heads[group] - (np.cumsum(size) - size), size) + np.arange(len(context))
+        return runs[by], np.repeat(bucket[group], size)
+
     def questions(self, block: int, buckets: int) -> list[tuple]:
         """kind 4: asked runs by context with their training counts here, and what their shorter runs' mass follows from;
         kind 8: counts of counts of the private ones."""
@@ -298,7 +323,7 @@ class _Grams:
         own = slice(self.asked, None)
         self.count = np.concatenate([code >> 1, self.times[own]])
         self.private = np.concatenate([(code & 1).astype(bool), np.ones(len(self.times) - self.asked, bool)])
-        ids, rare = [*(_ungap(x[1]) for x in got), self.hot], [*(x[2].reshape(-1, KEPT).astype(np.int64) for x in got), hot_rare]
+        ids, rare = [*(_ungap(x[1]) for x in got), self.hot], [*(_longs(x[2]).reshape(-1, KEPT) for x in got), hot_rare]
         known = [*(x[3] for x in got), hot_known]
         if self.asked < len(self.times):  # private contexts: all their runs are here
             context, row = np.unique(self.at[own], return_inverse=True)
@@ -330,15 +355,16 @@ class _Grams:
 class _Block:
     """A block's tokens, with what is known of its runs of each length from the answers so far."""
 
-    def __init__(self, load: bytes, words: list[bytes], unigrams: Unigrams) -> None:
-        self.ids, self.out, size, local = pickle.loads(load)
-        self.size, self.local = _longs(size), _longs(local)
+    def __init__(self, load: bytes, words: list[bytes], unigrams: Unigrams, buckets: int) -> None:
+        self.ids, self.out, size, rank, common = pickle.loads(load)
+        self.size, self.local = _longs(size), _longs(common).astype(np.int32)[_longs(rank)]
         loads = [pickle.loads(x) for x in words]  # words are in hash order, so by bucket
-        self.number = np.concatenate([_longs(x[0]) for x in loads])
-        self.count = np.concatenate([_longs(x[1]) for x in loads])
+        counts = [_longs(x[2]) for x in loads]
+        self.number = np.concatenate([_numbers(_ungap(x[1]).view(np.int64), c, x[0], buckets) for x, c in zip(loads, counts, strict=True)])
+        self.count = np.concatenate(counts)
         self.begin = np.concatenate(([0], np.cumsum(self.size)))
         self.first = self.begin[:-1]
-        self.place = np.arange(len(self.local)) - np.repeat(self.first, self.size)
+        self.place = np.arange(len(self.local), dtype=np.int32) - np.repeat(self.first.astype(np.int32), self.size)
         self.train = np.repeat(~self.out, self.size)
         self.c = self.count[self.local]  # training count of each token's run of the level reached
         self.over = np.full(len(self.local), unigrams.over, dtype=np.int64)
@@ -355,7 +381,7 @@ class _Block:
         on = np.flatnonzero(g.valid)
         h = g.context[on]
         self.over[on] = g.ids_count[h] + g.bare[h]
-        self.c = np.where(g.code >= 0, g.count[g.code] if len(g.count) else 0, 0)
+        self.c = np.append(g.count, 0)[g.code]  # code -1 is the zero at the end
 
 
 def _count_runs(level: int, buckets: int, total: int, over: int, d: np.ndarray, hot: np.ndarray):
@@ -387,19 +413,15 @@ def _count_runs(level: int, buckets: int, total: int, over: int, d: np.ndarray,
         v = np.concatenate([*ids, np.zeros(0, np.uint64)])
         w = np.concatenate([*words, np.zeros(0, np.int64)])
         del ids, words
-        by = np.lexsort((w, v))
-        v, w = v[by], w[by]
-        new = np.ones(len(by), bool)
-        new[1:] = (v[1:] != v[:-1]) | (w[1:] != w[:-1])
-        where = np.empty(len(by), dtype=np.int64)
-        where[by] = np.cumsum(new) - 1
-        v, w, one = v[new], w[new], by[new]
+        key = X.mix(v * _CHAIN + w.astype(np.uint64))  # the runs as contexts of the next level
+        key, where, one = X.distinct(key)
+        v = v[one]
         c = np.bincount(where, np.concatenate([*times, np.zeros(0, np.int64)]), minlength=len(v)).astype(np.int64)
         alone_asked = np.bincount(where, minlength=len(v)) == 1
         b = np.concatenate([*base, np.zeros(0, np.int64)])[one]
         p = d[np.minimum(b, KEPT + 1)] * b / (np.concatenate(divide)[one] if divide else over)
-        del times, base, divide, by, new, one, b
-        contexts, row = np.unique(v, return_inverse=True)
+        del times, base, divide, one, b, w
+        contexts, row, _ = X.distinct(v)
         seen = c > 0
         known = np.bincount(row[seen], p[seen], minlength=len(contexts))
         few = seen & (c <= KEPT)
@@ -415,9 +437,9 @@ def _count_runs(level: int, buckets: int, total: int, over: int, d: np.ndarray,
             wanted[row[mine[(c[mine] == 0) | bare[row[mine]]]]] = True
             wanted[np.searchsorted(contexts, alone)] = True
             open_ = np.flatnonzero(wanted & ~is_hot)
-            rows.append((5, bucket, block, _dump(squeeze(mark[mine]), squeeze(_gaps(contexts[open_])), rare[open_].astype(np.uint32), known[open_])))
+            rows.append((5, bucket, block, _dump(squeeze(mark[mine]), squeeze(_gaps(contexts[open_])), squeeze(rare[open_].reshape(-1)), known[open_])))
         top = np.flatnonzero(c * 4 * buckets > total)
-        rows.append((6, bucket, 0, _dump(_of_counts(c) + private, X.mix(v[top] * _CHAIN + w[top].astype(np.uint64)))))
+        rows.append((6, bucket, 0, _dump(_of_counts(c) + private, key[top])))
         own = np.flatnonzero(is_hot)
         if len(own):
             rows.append((7, bucket, 0, _dump(contexts[own], rare[own], known[own])))
@@ -436,18 +458,20 @@ class Level:
         self.hot, self.d, self.rare, self.known = hot, d, rare, known
 
 
-def _raised(unigrams: Unigrams, levels: list[Level], buckets: int, rows: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, _Block, np.ndarray]]:
+def _raised(unigrams: Unigrams, levels: list[Level], buckets: int, rows: Iterator[pa.RecordBatch], scored: bool = False) -> Iterator[tuple[int, _Block, np.ndarray | None]]:
     """Rows of (block, kind, bucket, load), sorted so: each block's tokens, then its answers level by level. Gives the
-    block with all finished levels settled, and its tokens' probabilities."""
+    block with all finished levels settled, and its tokens' probabilities if ``scored``."""
 
-    def build(block: int, parts: dict[int, list[bytes]]) -> tuple[int, _Block, np.ndarray]:
-        b = _Block(parts[0][0], parts[2], unigrams)
-        p = unigrams.p(b.c)
+    def build(block: int, parts: dict[int, list[bytes]]) -> tuple[int, _Block, np.ndarray | None]:
+        b = _Block(parts[0][0], parts[2], unigrams, buckets)
+        p = unigrams.p(b.c) if scored else None
         d = unigrams.d
         for m, level in enumerate(levels, 2):
             b.rise(m, buckets, level.hot)
             b.settle(parts.get(10 * m, []), d, level.rare, level.known)
-            p, d = b.grams.refine(p, b.c, level.d), level.d
+            if scored:
+                p = b.grams.refine(p, b.c, level.d)
+            d = level.d
         return block, b, p
 
     at, parts = None, {}
@@ -478,7 +502,7 @@ _SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tok
 
 def _evaluate(unigrams: Unigrams, levels: list[Level], buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, b, p in _raised(unigrams, levels, buckets, batches):
+        for _, b, p in _raised(unigrams, levels, buckets, batches, True):
             count = b.count[b.local]
             base = np.log10((count + 1) / (unigrams.total + 1 * (unigrams.words + 1)))
             yield pa.RecordBatch.from_arrays(

@@ -179,6 +179,33 @@ def find(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return at, table[at] == keys
 
 
+def ascending(key: np.ndarray) -> np.ndarray:
+    """Positions that sort 64-bit keys: the position rides in each key's low bits, as plain sorts beat indirect ones."""
+    bits = U(max(len(key), 1).bit_length())
+    low = (U(1) << bits) - U(1)
+    key = key.view(U)
+    small = not len(key) or not int(key.max()) >> (64 - int(bits))
+    packed = (key << bits if small else key & ~low) | np.arange(len(key), dtype=U)
+    packed.sort()
+    at = (packed & low).view(np.int64)
+    if not small:
+        s = key[at]
+        if (s[1:] < s[:-1]).any():  # keys that differ in their low bits alone
+            return np.argsort(key, kind="stable")
+    return at
+
+
+def distinct(key: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted distinct 64-bit keys (in unsigned order), the number of each entry's key, and one entry of each."""
+    at = ascending(key)
+    s = key[at]
+    new = np.ones(len(s), bool)
+    new[1:] = s[1:] != s[:-1]
+    number = np.empty(len(s), dtype=np.int32)
+    number[at] = np.cumsum(new, dtype=np.int32) - 1
+    return s[new], number, at[new]
+
+
 def sums_per_text(values: np.ndarray, begin: np.ndarray) -> np.ndarray:
     """Sum of each text's run of values; 0 for texts without any."""
     total = np.concatenate((np.zeros((1, *values.shape[1:]), dtype=np.float64), np.cumsum(values, axis=0, dtype=np.float64)))
