@@ -228,29 +228,38 @@ def train(df: DataFrame, text: str = "text", lang: str = "lang", sample_docs: in
 
 
 def identify(df: DataFrame, model: LanguageModel, text: str = "text") -> DataFrame:
-    """``df`` with ``lang_pred`` and ``score``; one narrow stage."""
+    """``df`` with ``lang_pred`` and ``score``; one narrow stage, in which the text alone leaves the JVM."""
+    from pyspark.sql.functions import ArrowUDFType, arrow_udf
+
     spark = use_library(df.sparkSession)
     plain = df.drop(*[c for c in ("lang_pred", "score") if c in df.columns])
     shared = spark.sparkContext.broadcast(model)  # its size is pieces times languages, whatever the input
+    kind = pa.struct([("lang_pred", pa.string()), ("score", pa.float64())])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def run(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         m = shared.value
         m.start()
-        for whole in batches:
-            for b in X.slices(whole, text):
-                best, score = m.predict(b.column(text).to_pylist())
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(best, pa.string()), pa.array(score, pa.float64())], names=[*b.schema.names, "lang_pred", "score"])
-
-    from pyspark.sql import types as T
+        try:
+            for whole in texts:
+                out = []
+                for b in X.slices(pa.RecordBatch.from_arrays([whole], names=["t"]), "t"):
+                    best, score = m.predict(b.column("t").to_pylist())
+                    out.append(pa.StructArray.from_arrays([pa.array(best, pa.string()), pa.array(score, pa.float64())], fields=list(kind)))
+                yield pa.concat_arrays(out) if out else pa.array([], kind)
+        finally:
+            m._clear()
+            X.release()
 
-    return plain.mapInArrow(run, T.StructType([*plain.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
+    predict = arrow_udf(run, "struct<lang_pred:string,score:double>", ArrowUDFType.SCALAR_ITER)
+    return plain.withColumn("_named", predict(text)).select(*plain.columns, "_named.lang_pred", "_named.score")
 
 
 def keep_identified(df: DataFrame, least: float = 0.4, **options) -> DataFrame:
     """The rows whose language the model names with at least ``least``; ``und`` rows go. Columns stay as they are."""
     model = train(df, **options)
-    named = identify(df.select("*"), model)
-    return named.filter((F.col("lang_pred") != "und") & (F.col("score") >= least)).select(*df.columns)
+    named = identify(df.withColumnsRenamed({"lang_pred": "_lang_pred", "score": "_score"}), model)
+    kept = named.filter((F.col("lang_pred") != "und") & (F.col("score") >= least)).drop("lang_pred", "score")
+    return kept.withColumnsRenamed({"_lang_pred": "lang_pred", "_score": "score"}).select(*df.columns)
 
 
 def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

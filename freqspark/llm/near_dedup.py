@@ -92,6 +92,7 @@ def _sign(words: int, bands: int, rows: int, bits: int):
                     [b.column("doc_id"), pa.array(n), pa.array(keys[:, 0].view(np.int64)), pa.array(keys[:, 1].view(np.int64)), _longs(band), _longs(odd_sketches(samples, bits))],
                     names=["doc_id", "n_shingles", "k1", "k2", "bands", "odd"],
                 )
+        X.release()
 
     return run
 
@@ -372,7 +373,7 @@ def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int
     signed = written(docs.mapInArrow(_sign(words, bands, rows, bits), "doc_id long, n_shingles long, k1 long, k2 long, bands array<long>, odd array<long>"), "near-signatures")
     full = signed.filter("n_shingles > 0 AND doc_id IS NOT NULL")
     classes = written(full.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies")), "near-classes")
-    heads = full.join(classes, ["k1", "k2"]).filter("doc_id = rep").dropDuplicates(["k1", "k2"]).select("rep", F.col("n_shingles").alias("n"), "bands", "odd")
+    heads = full.withColumn("rep", F.col("doc_id")).join(classes, ["rep", "k1", "k2"]).dropDuplicates(["k1", "k2"]).select("rep", F.col("n_shingles").alias("n"), "bands", "odd")
     heads = written(heads, "near-heads")
 
     banded = heads.select("rep", F.explode("bands").alias("bucket"))

@@ -205,6 +205,8 @@ def _encode(path: str, end: int, dims: int, bits: int):
                     [b.column("doc_id"), pa.array(curve_keys(ids, dims, bits)), pa.array([len(i) for i in ids], pa.int64()), pa.array(raw, pa.binary())],
                     names=["doc_id", "curve_key", "doc_tokens", "ids"],
                 )
+        tok.known = {"": b""}
+        X.release()
 
     return run
 
