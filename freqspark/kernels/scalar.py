@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import heapq
-from collections.abc import Hashable, Iterable
+from collections.abc import Iterable
 from dataclasses import dataclass, field
 
 
@@ -20,23 +20,25 @@ class Summary:
 
 
 def _order(item) -> tuple:
-    """Total order over values of one type, null first."""
+    """Total order over values of one type, null first; the fields of a struct one by one."""
+    if isinstance(item, tuple):
+        return tuple(_order(x) for x in item)
     return (item is not None, item if item is not None else 0)
 
 
-def scalar_kernel(items: Iterable[Hashable], k: int, tie: str = "item", weights: Iterable[int] | None = None) -> Summary:
+def scalar_kernel(items: Iterable, k: int, tie: str = "item", weights: Iterable[int] | None = None, weighted: bool = False) -> Summary:
     """Summary of exactly k counters where an unseen item takes over the smallest counter and inherits its estimate.
 
     Among equal smallest counters ``tie='item'`` gives up the least item and ``'oldest'`` the one that reached the
     estimate first. A heap holds one entry per counter and is corrected only when a counter must be given up, so an
-    increment costs one dictionary access.
+    increment costs one dictionary access. With ``weighted`` the items come as pairs with their weights.
     """
     s = Summary()
     counters = s.counters
     reached: dict = {}
     heap: list[tuple] = []
     rank = (lambda item: _order(item)) if tie == "item" else (lambda item: reached[item])
-    steps = ((x, 1) for x in items) if weights is None else zip(items, weights, strict=True)
+    steps = items if weighted else ((x, 1) for x in items) if weights is None else zip(items, weights, strict=True)
     for now, (item, w) in enumerate(steps):
         if w == 0:
             continue
@@ -64,7 +66,7 @@ def scalar_kernel(items: Iterable[Hashable], k: int, tie: str = "item", weights:
     return s
 
 
-def misra_gries_kernel(items: Iterable[Hashable], k: int) -> Summary:
+def misra_gries_kernel(items: Iterable, k: int) -> Summary:
     """At most k - 1 counters that never over-count; an unseen item without room takes one from every counter.
 
     ``floor`` is how often that happened: the most by which any estimate falls short.

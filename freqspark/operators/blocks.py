@@ -49,3 +49,14 @@ def by_order(df: DataFrame, cols: list[str], p: int) -> DataFrame:
 def grouped(df: DataFrame, g: int) -> DataFrame:
     """``worker``: the group of g neighbouring blocks that merges among itself first."""
     return df.withColumn("worker", F.expr(f"block div {g}"))
+
+
+def per_core(df: DataFrame, c: int) -> DataFrame:
+    """c splits per core: neighbouring splits are joined without a shuffle where there are more, rows dealt anew where fewer."""
+    want, now = c * df.sparkSession.sparkContext.defaultParallelism, splits_of(df)
+    return df if now == want else df.coalesce(want) if now > want else df.repartition(want)
+
+
+def splits_of(df: DataFrame) -> int:
+    """Splits of the physical plan; nothing runs."""
+    return df._jdf.queryExecution().toRdd().getNumPartitions()

@@ -21,27 +21,32 @@ def exact_frequent(df: DataFrame, item: str, k: int, by: tuple[str, ...] = (), w
     """Every item with more than n / k occurrences; n is summed from the counts themselves, in one row per group."""
     counts = exact_counts(df, item, by, weight, nulls)
     n = counts.groupBy(*by).agg(F.sum("cnt").alias("n")).withColumn("threshold", threshold_col("n", k))
-    joined = counts.join(n, list(by)) if by else counts.crossJoin(F.broadcast(n))
+    joined = null_safe_join(counts, n, by) if by else counts.crossJoin(F.broadcast(n))
     out = joined.filter("cnt >= threshold")
     return out if with_meta else out.drop("n", "threshold")
 
 
-def verify(df: DataFrame, item: str, candidates: DataFrame, k: int, n: DataFrame | None = None, weight: str | None = None, nulls: str = "skip", by: tuple[str, ...] = ()) -> DataFrame:
+def null_safe_join(left: DataFrame, right: DataFrame, keys: tuple[str, ...], how: str = "inner") -> DataFrame:
+    """Join on equal keys where null equals null; the left side's keys stay."""
+    named = right.withColumnsRenamed({c: f"_{c}" for c in keys})
+    same = F.lit(True)
+    for c in keys:
+        same = same & F.col(c).eqNullSafe(F.col(f"_{c}"))
+    return left.join(named, same, how).drop(*[f"_{c}" for c in keys])
+
+
+def verify(df: DataFrame, item: str, candidates: DataFrame, k: int, weight: str | None = None, nulls: str = "skip", by: tuple[str, ...] = ()) -> DataFrame:
     """Exact counts of the candidates (at most the summary's counters per group) by a second scan; false ones go.
 
-    Candidates are unique, so an inner join against their broadcast keeps the scan's own partial aggregation small.
+    ``candidates`` (by, item, n) are unique, so an inner join against their broadcast keeps the scan's own partial
+    aggregation small; n is the number of items of the group.
     """
     rows = df.select(*by, F.col(item).alias("item"), *([weight] if weight else []))
     rows = rows.filter("item IS NOT NULL") if nulls == "skip" else rows
-    names = candidates.select(*[F.col(c).alias(f"_{c}") for c in by], F.col("item").alias("_item"))
+    names = candidates.select(*by, "item", "n")
     names = names if by else F.broadcast(names)  # without groups there are at most k candidates
-    same = F.col("item").eqNullSafe(F.col("_item"))
-    for c in by:
-        same = same & F.col(c).eqNullSafe(F.col(f"_{c}"))
-    counts = rows.join(names, same, "left_semi").groupBy(*by, "item").agg(_weight(weight).alias("cnt"))
-    n = n if n is not None else rows.groupBy(*by).agg(_weight(weight).alias("n"))
-    joined = counts.join(n, list(by)) if by else counts.crossJoin(F.broadcast(n))
-    return joined.filter(F.col("cnt") >= threshold_col("n", k)).select(*by, "item", "cnt")
+    counts = null_safe_join(rows, names, (*by, "item")).groupBy(*by, "item", "n").agg(_weight(weight).alias("cnt"))
+    return counts.filter(F.col("cnt") >= threshold_col("n", k)).select(*by, "item", "cnt", "n")
 
 
 def candidate_filter(df: DataFrame, item: str, candidates: DataFrame, literals: int = 1000) -> DataFrame:
@@ -68,16 +73,12 @@ def iceberg(df: DataFrame, keys: list[str], min_count: int | None = None, share:
         n = df.count()  # answered from file footers for Parquet
         k = max(2, n // min_count + 1)
     else:
-        k = max(2, -int(-1 // share))
-    rows = df.select(F.struct(*keys).alias("item")) if len(keys) > 1 else df.select(F.col(keys[0]).alias("item"))
-    rows = rows.select(F.to_json("item").alias("item")) if len(keys) > 1 else rows
-    found = frequent_items(rows, "item", FrequentSpec(k, kernel=kernel, nulls="item"))
-    if len(keys) > 1:
-        kinds = df.select(F.struct(*keys).alias("s")).schema["s"].dataType
-        found = found.select(F.from_json("item", kinds).alias("s"), "cnt").select("s.*", "cnt")
-    else:
-        found = found.withColumnRenamed("item", keys[0])
-    return found.filter(F.col("cnt") >= min_count) if min_count is not None else found
+        k = max(2, -int(-1 // share) + 1)
+    names = [f"k{j}" for j in range(len(keys))]
+    rows = df.select(F.struct(*[F.col(c).alias(j) for c, j in zip(keys, names, strict=True)]).alias("item"))  # typed: no key passes through text
+    found = frequent_items(rows, "item", FrequentSpec(k, kernel=kernel, nulls="item"), with_meta=True)
+    enough = F.col("cnt") >= min_count if min_count is not None else F.col("cnt") > F.lit(share) * F.col("n")
+    return found.filter(enough).select(*[F.col(f"item.{j}").alias(c) for c, j in zip(keys, names, strict=True)], "cnt")
 
 
 def majority(df: DataFrame, item: str, verify_: bool = True, **options) -> DataFrame:

@@ -22,6 +22,7 @@ def local_session(cpus: int | None = None, **conf: str) -> SparkSession:
         "spark.ui.showConsoleProgress": "false",
         "spark.driver.memory": "8g",
         "spark.sql.execution.arrow.pyspark.enabled": "true",
+        "spark.sql.execution.arrow.maxRecordsPerBatch": "200000",
     }
     for k, v in (base | conf).items():
         builder = builder.config(k, v)

@@ -44,6 +44,7 @@ class FrequentSpec:
     nulls: str = "skip"
     tie: str = "item"
     weight: str | None = None
+    blocks_per_core: int | None = None
     by: tuple[str, ...] = field(default_factory=tuple)
 
     def __post_init__(self) -> None:
@@ -57,6 +58,8 @@ class FrequentSpec:
             raise ValueError(f"group is {self.group}; it must be at least 1")
         if self.fan_in is not None and self.fan_in < 2:
             raise ValueError(f"fan_in is {self.fan_in}; it must be at least 2")
+        if self.blocks_per_core is not None and self.blocks_per_core < 1:
+            raise ValueError(f"blocks_per_core is {self.blocks_per_core}; it must be at least 1")
         for name, allowed in _CHOICES.items():
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} is {getattr(self, name)!r}; it must be one of {', '.join(allowed)}")

@@ -276,7 +276,7 @@ def _sql_blocks(p: int = _P, item: str = _VALUE) -> str:
 
 def _sql_cut(name: str, source: str, k: int, rule: str, group: str = "block") -> str:
     floor = {
-        "spare_zero": f"CASE WHEN count(*) >= {k} THEN min(CASE WHEN rk <= {k} THEN est END) ELSE 0 END",
+        "spare_zero": f"CASE WHEN count(*) >= {k} THEN min(CASE WHEN rk <= {k} THEN est END) ELSE max(floors) END",
         "stored_min": f"min(CASE WHEN rk <= {k} THEN est END)",
         "tight": f"greatest(max(floors), coalesce(max(CASE WHEN rk = {k + 1} THEN est END), 0))",
     }[rule]
