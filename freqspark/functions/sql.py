@@ -104,18 +104,25 @@ def register(spark: SparkSession) -> None:
         """Local summary of each partition of a table argument whose first column is the item."""
 
         def __init__(self) -> None:
+            self.summary = Summary()
             self.items: list = []
             self.k = 2
 
+        def _fold(self) -> None:
+            self.summary = merge_pair(self.summary, scalar_kernel(self.items, self.k), self.k) if self.summary.n else scalar_kernel(self.items, self.k)
+            self.items = []
+
         def eval(self, row, k: int):
             self.k = k
             if row[0] is not None:
                 self.items.append(str(row[0]))
+                if len(self.items) >= 100_000:
+                    self._fold()
 
         def terminate(self):
-            s = scalar_kernel(self.items, self.k)
-            for item, est, err in s.rows():
-                yield item, est, err, s.n
+            self._fold()
+            for item, est, err in self.summary.rows():
+                yield item, est, err, self.summary.n
 
     spark.udtf.register("frequent_local", Local)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION tokenize(t STRING) RETURNS ARRAY<STRING> RETURN regexp_extract_all(lower(t), '[a-z]+', 0)")

@@ -25,11 +25,33 @@ def errors(reported: DataFrame, exact: DataFrame) -> DataFrame:
     return reported.select("item", "est").join(exact.select("item", "cnt"), "item").withColumn("rel_err", F.abs(F.col("est") - F.col("cnt")) / F.col("cnt"))
 
 
-def average_relative_error(reported: DataFrame, exact: DataFrame) -> DataFrame:
-    """One row; 0 where nothing is measured. The scope is the caller's: reported, monitored or true items."""
+def average_relative_error(reported: DataFrame, exact: DataFrame, over: str | None = None, k: int | None = None, true: DataFrame | None = None) -> DataFrame:
+    """One row; 0 where nothing is measured.
+
+    Without ``over`` the rows of ``reported`` are measured. With it ``reported`` is a global summary, and measured are its
+    ``reported`` items (at or above the threshold for k), all ``monitored`` ones, or the ``true`` ones of the table ``true``,
+    of which one without a counter is estimated by the floor.
+    """
+    if over not in (None, "reported", "monitored", "true"):
+        raise ValueError(f"over is {over!r}; it must be one of reported, monitored, true")
+    if over == "reported":
+        reported = reported.filter("kind = 'item'").filter(F.col("est") >= threshold_col("n", k))
+    elif over == "monitored":
+        reported = reported.filter("kind = 'item'")
+    elif over == "true":
+        reported = estimate(reported, true)
     return errors(reported, exact).agg(F.round(F.coalesce(F.avg("rel_err"), F.lit(0.0)), 6).alias("are"))
 
 
+def ordered(summary: DataFrame) -> DataFrame:
+    """A summary's counters by ascending estimate with their position; the least is first, as a merge reads them.
+
+    A summary has a bounded number of counters, so its order is one task's work.
+    """
+    w = Window.partitionBy("block").orderBy("est", "item")
+    return summary.filter("kind = 'item'").withColumn("position", F.row_number().over(w).cast("long"))
+
+
 def false_positives(reported: DataFrame, true: DataFrame) -> DataFrame:
     return reported.select("item").join(true.select("item"), "item", "left_anti")
 
@@ -110,8 +132,34 @@ def fractional_overhead(times: DataFrame) -> DataFrame:
     return times.withColumn("overhead", F.round((F.col("wall") - F.col("compute")) / F.col("compute"), 6))
 
 
+def overhead_run(df: DataFrame, item: str, spec, cores: int) -> dict:
+    """Wall seconds of a one-pass answer, the kernels' own seconds over the cores, and their ratio as overhead."""
+    from ..operators.local import kernel_times
+    from ..plans.engine import frequent_items
+
+    own = kernel_times(df, item, spec).agg(F.sum("seconds").alias("s"), F.sum("n").alias("n"), F.sum("counters").alias("c")).first()
+    wall = timed(frequent_items(df, item, spec))
+    compute = own["s"] / cores
+    return {"wall": wall, "compute": compute, "overhead": (wall - compute) / compute if compute else 0.0, "items": own["n"], "sent": own["c"]}
+
+
 def cost_report(spark: SparkSession, df: DataFrame) -> dict:
-    """Wall seconds, partitions and exchanges of a query: what the plan costs beside the kernel."""
+    """Wall seconds, exchanges and, from the stages that ran, bytes shuffled and spilled, and rows sent."""
     plan = df._jdf.queryExecution().executedPlan().toString()
+    store = spark.sparkContext._jsc.sc().statusStore()
+    before = {s.stageId() for s in _stages(store)}
     seconds = timed(df)
-    return {"seconds": seconds, "exchanges": plan.count("Exchange hashpartitioning") + plan.count("Exchange SinglePartition"), "broadcasts": plan.count("BroadcastExchange")}
+    ran = [s for s in _stages(store) if s.stageId() not in before]
+    return {
+        "seconds": seconds,
+        "exchanges": plan.count("Exchange hashpartitioning") + plan.count("Exchange SinglePartition"),
+        "broadcasts": plan.count("BroadcastExchange"),
+        "shuffle_bytes": sum(s.shuffleWriteBytes() for s in ran),
+        "summary_rows": sum(s.shuffleWriteRecords() for s in ran),
+        "spill_bytes": sum(s.diskBytesSpilled() for s in ran),
+    }
+
+
+def _stages(store) -> list:
+    found = store.stageList(None, False, False, store.stageList__default__4() if hasattr(store, "stageList__default__4") else None, None)
+    return [found.apply(i) for i in range(found.size())]

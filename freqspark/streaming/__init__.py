@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -9,7 +11,7 @@ from pyspark.sql import functions as F
 from ..kernels.batched import merge_pair
 from ..kernels.scalar import Summary, scalar_kernel
 from ..operators.merge import merge_flat
-from ..plans.engine import summarise
+from ..plans.engine import release, summarise
 from ..session import use_library
 from ..spec import FrequentSpec
 
@@ -33,8 +35,16 @@ class SummaryStore:
     def read(self, version: int) -> DataFrame:
         return self.spark.read.parquet(f"{self.path}/v{version}")
 
-    def write(self, version: int, summary: DataFrame) -> None:
+    def latest(self) -> DataFrame:
+        return self.read(self.versions()[-1])
+
+    def write(self, version: int, summary: DataFrame, keep: int = 2) -> None:
+        """Write a version and drop all but the last ``keep`` finished ones before it: a replay needs one of them."""
         summary.write.mode("overwrite").parquet(f"{self.path}/v{version}")
+        jvm = self.spark.sparkContext._jvm
+        for old in [v for v in self.versions() if v < version][:-keep]:
+            at = jvm.org.apache.hadoop.fs.Path(f"{self.path}/v{old}")
+            at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def stream_frequent(sdf: DataFrame, item: str, spec: FrequentSpec, store: SummaryStore):
@@ -46,11 +56,23 @@ def stream_frequent(sdf: DataFrame, item: str, spec: FrequentSpec, store: Summar
         both = fresh.withColumn("block", F.lit(1).cast("long"))
         if before:
             both = both.unionByName(store.read(before[-1]).withColumn("block", F.lit(0).cast("long")))
-        store.write(number, merge_flat(both, spec.size, "tight"))
+        store.write(number, merge_flat(both, spec.size, "tight", tuple(spec.by)))
+        release(fresh)
 
     return sdf.writeStream.foreachBatch(fold)
 
 
+def window_frequent(sdf: DataFrame, ts: str, item: str, spec: FrequentSpec, store: SummaryStore, width: str, slide: str | None = None):
+    """A stream writer of one bounded summary per tumbling or sliding window (column ``start``), merged batch by batch.
+
+    A window's state is its counters, whatever the number of its items. Naive timestamps are read as UTC.
+    """
+    at = F.col(ts).cast("timestamp")
+    window = F.window(at, width, slide) if slide else F.window(at, width)
+    rows = sdf.select(window.alias("w"), F.col(item).alias("item"), *([spec.weight] if spec.weight else [])).withColumn("start", F.col("w.start")).drop("w")
+    return stream_frequent(rows, "item", replace(spec, by=("start", *spec.by)), store)
+
+
 def window_counts(sdf: DataFrame, ts: str, item: str, width: str, slide: str | None = None, late: str = "0 seconds") -> DataFrame:
     """Exact counts per window and item, the baseline whose state grows with the items.
 
@@ -95,6 +117,45 @@ def keyed_summaries(sdf: DataFrame, by: str, item: str, k: int) -> DataFrame:
     return rows.groupBy("key").applyInPandasWithState(step, f"key {kind}, item string, est long, err long, n long", _STATE, "update", "NoTimeout")
 
 
+def to_files(sdf: DataFrame, path: str, mode: str) -> DataFrame:
+    """Run a stream over all available data into Parquet, a folder per micro-batch, which a replay writes again.
+
+    In complete mode the last batch is the result; in update mode rows of all batches come with their ``_batch``.
+    """
+    spark = sdf.sparkSession
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/out/n={number}")
+
+    query = sdf.writeStream.foreachBatch(write).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{path}/offsets").start()
+    query.awaitTermination()
+    out = spark.read.schema(sdf.schema.add("n", "long")).option("basePath", f"{path}/out").parquet(f"{path}/out")
+    if mode != "complete":
+        return out.withColumnRenamed("n", "_batch")
+    last = out.agg(F.max("n").alias("n")).first()["n"]
+    return out.filter(F.col("n") == F.lit(last)).drop("n")
+
+
+def counted_and_late(sdf: DataFrame, path: str) -> tuple[int, int]:
+    """Rows counted and rows dropped behind the watermark by a tumbling count (column ``cnt``) over all available data.
+
+    Spark's own metric counts dropped rows after their partial aggregation, so late rows are those read and not counted.
+    A batch is held against the watermark that the batch before it started with.
+    """
+    spark = sdf.sparkSession
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/out/n={number}")
+
+    query = sdf.writeStream.foreachBatch(write).outputMode("update").trigger(availableNow=True).option("checkpointLocation", f"{path}/offsets").start()
+    query.awaitTermination()
+    read = sum(p["numInputRows"] for p in query.recentProgress)
+    rows = spark.read.schema(sdf.schema.add("n", "long")).option("basePath", f"{path}/out").parquet(f"{path}/out")
+    last = rows.groupBy("start", "item").agg(F.max_by("cnt", "n").alias("cnt"))
+    counted = int(last.agg(F.sum("cnt").alias("c")).first()["c"] or 0)
+    return counted, read - counted
+
+
 def to_memory(sdf: DataFrame, name: str, mode: str, checkpoint: str | None = None) -> DataFrame:
     """Run a stream over all available data into a memory table and return that table."""
     writer = sdf.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
@@ -103,4 +164,4 @@ def to_memory(sdf: DataFrame, name: str, mode: str, checkpoint: str | None = Non
     return sdf.sparkSession.table(name)
 
 
-__all__ = ["SummaryStore", "stream_frequent", "window_counts", "session_counts", "deduplicated_counts", "keyed_summaries", "to_memory"]
+__all__ = ["SummaryStore", "stream_frequent", "window_counts", "window_frequent", "session_counts", "to_files", "counted_and_late", "deduplicated_counts", "keyed_summaries", "to_memory"]

@@ -393,15 +393,6 @@ _audited("audit_batched", 50, kernel="batched", floor_rule="tight")
 _audited("audit_tree", 50, kernel="scalar", merge="tree")
 _audited("audit_flat", 50, kernel="exact_local")
 _audited("audit_two_level", 50, kernel="scalar", levels=2, group=2)
-_audited("mg_isomorphism", 50, kernel="misra_gries", floor_rule="tight")
-
-
-@query("average_relative_error_words", "SELECT 0.0 AS are")
-def average_relative_error_words(spark, sf_dir):
-    """Counters for every word: no estimate can be wrong."""
-    words = _words(spark, sf_dir, "benchmark")
-    summary = summarise(words, "item", FrequentSpec(500, counters=100_000))
-    return M.average_relative_error(candidates(summary, 500), E.exact_counts(words, "item"))
 
 
 # ---- cost measures on the published times -------------------------------------------------------------------------------
@@ -506,8 +497,6 @@ def sql_tokenize(spark, sf_dir):
 # ---- built-in relatives, for comparison ----------------------------------------------------------------------------------
 
 query("builtin_approx_top_k", "SELECT event_type AS item, count(*) AS cnt FROM events GROUP BY 1")(lambda s, d: O.builtin_top_k(table(s, d, "events"), "event_type", 20))
-query("builtin_freq_items")(lambda s, d: O.builtin_freq_items(table(s, d, "events"), "event_type", 0.15))
-query("sample_estimate")(lambda s, d: O.sample_estimate(_words(s, d), "item", 0.1, 7))
 query("builtin_mode", "SELECT max(item) AS item FROM (SELECT event_type AS item, count(*) AS c FROM events GROUP BY 1 ORDER BY c DESC LIMIT 1)")(lambda s, d: table(s, d, "events").agg(F.mode("event_type").alias("item")))
 
 
@@ -527,17 +516,17 @@ def _stream(name: str, oracle: str):
 
 @_stream("stream_daily_types", "SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, event_type AS item, count(*) AS cnt FROM events GROUP BY 1, 2")
 def stream_daily_types(spark, sf_dir):
-    from .streaming import to_memory, window_counts
+    from .streaming import to_files, window_counts
 
-    out = to_memory(window_counts(_events_stream(spark, sf_dir), "ts", "event_type", "1 day"), f"freq_{uuid4().hex[:8]}", "complete")
+    out = to_files(window_counts(_events_stream(spark, sf_dir), "ts", "event_type", "1 day"), scratch(spark, "daily"), "complete")
     return out.withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
 @_stream("stream_dedup_types", "SELECT event_type AS item, count(*) AS cnt FROM events GROUP BY 1")
 def stream_dedup_types(spark, sf_dir):
-    from .streaming import deduplicated_counts, to_memory
+    from .streaming import deduplicated_counts, to_files
 
-    return to_memory(deduplicated_counts(_events_stream(spark, sf_dir), "ts", "event_id", "event_type", "3650 days"), f"freq_{uuid4().hex[:8]}", "complete")
+    return to_files(deduplicated_counts(_events_stream(spark, sf_dir), "ts", "event_id", "event_type", "3650 days"), scratch(spark, "dedup"), "complete")
 
 
 @_stream("stream_running_summary", "SELECT event_type AS item, count(*) AS est FROM events GROUP BY 1")
