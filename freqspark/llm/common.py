@@ -114,16 +114,34 @@ def parts_for(total: float, each: float, least: int = 1) -> int:
     return max(least, int(total // each) + 1)
 
 
-def bounded_sample(df: DataFrame, by: str, limit: int | dict, *key: str) -> DataFrame:
-    """Near ``limit`` rows (or its entry) of each value of ``by``, chosen by a hash of ``key``: for fitting, at any input size.
+#: Bytes of text that a fitting sample holds of each class, beside its limit of rows.
+SAMPLE_BYTES = 24 << 20
 
-    Classes of at most ``limit`` rows stay whole. One count per class is all the driver holds.
+
+def row_key(df: DataFrame, key: str = "doc_id") -> Column:
+    """What tells rows apart in a draw: the id, or the row's place where it has none, so copies of a text fall one by one."""
+    place = F.monotonically_increasing_id()
+    return F.coalesce(F.col(key).cast("long"), place) if key in df.columns else place
+
+
+def drawn(share: Column, seed: int, *key: Column | str) -> Column:
+    """Whether a row falls into a share of all rows."""
+    return F.pmod(F.xxhash64(F.lit(seed), *key), F.lit(1 << 30)) / F.lit(float(1 << 30)) < share
+
+
+def bounded_sample(df: DataFrame, by: str, limit: int | dict, key: Column | str, text: str | None = None, most_bytes: int = SAMPLE_BYTES) -> DataFrame:
+    """Near ``limit`` rows (or its entry) of each value of ``by`` and, with ``text``, near ``most_bytes`` of it at most, chosen
+    row by row through a hash of ``key``: for fitting, at any input size.
+
+    Classes within both bounds stay whole; values without an entry in ``limit`` go. One count per class is all the driver holds.
     """
-    counts = {r[by]: r["n"] for r in df.groupBy(by).agg(F.count(F.lit(1)).alias("n")).collect()}
-    most = {v: limit.get(v, n) if isinstance(limit, dict) else limit for v, n in counts.items()}
-    big = {v: most[v] / n for v, n in counts.items() if n > most[v]}
-    draw = F.pmod(F.xxhash64(*key), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    keep = F.lit(True)
-    for value, share in sorted(big.items(), key=str):
-        keep = keep & ~((F.col(by) == F.lit(value)) & (draw >= F.lit(share)))
-    return df.filter(keep)
+    size = F.sum(F.octet_length(text)) if text else F.lit(0)
+    shares = {}
+    for r in df.groupBy(by).agg(F.count(F.lit(1)).alias("n"), size.cast("double").alias("b")).collect():
+        most = limit.get(r[by], 0) if isinstance(limit, dict) else limit
+        shares[r[by]] = min(1.0, most / r["n"], most_bytes / r["b"] if r["b"] else 1.0)
+    share = F.lit(1.0)
+    for value, s in sorted(shares.items(), key=str):
+        if s < 1:
+            share = F.when(F.col(by) == F.lit(value), F.lit(s)).otherwise(share)
+    return df.withColumn("__k", key if isinstance(key, Column) else F.col(key)).filter(drawn(share, 1, "__k")).drop("__k")

@@ -1,7 +1,7 @@
 """Language identification by unigram piece models, summed over all segmentations.
 
 The pieces are a fixed public vocabulary; each language has a probability per piece, fitted by expectation-maximisation
-on a bounded sample of labelled texts. The probability of a word is the sum over all ways to cut it into pieces, found
+on a bounded sample of labelled texts (SAMPLE_DOCS rows and SAMPLE_BYTES of text a language). The probability of a word is the sum over all ways to cut it into pieces, found
 by a forward pass; a text's is the product over its words.
 
 Defined cases: null texts and texts without a letter are ``und`` with score 0, as is everything when no labelled text
@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from ..session import use_library
 from . import textops as X
-from .common import bounded_sample, crc_mod, documents
+from .common import bounded_sample, crc_mod, documents, row_key
 
 SAMPLE_DOCS = 500
 LONGEST_PIECE = 16  # the vocabulary's longest; vocabulary() refuses a longer one
@@ -214,7 +214,8 @@ class LanguageModel:
 def train(df: DataFrame, text: str = "text", lang: str = "lang", sample_docs: int = SAMPLE_DOCS, pieces_path: str | None = None) -> LanguageModel:
     """Fit on near ``sample_docs`` whole texts of each language; the sample's word counts come to the driver."""
     path = pieces_path or default_pieces()
-    rows = bounded_sample(df.filter(F.col(lang).isNotNull() & F.col(text).isNotNull()).select(lang, text), lang, sample_docs, lang, text)
+    known = df.filter(F.col(lang).isNotNull() & F.col(text).isNotNull())
+    rows = bounded_sample(known.select(lang, text, row_key(known).alias("__row")), lang, sample_docs, "__row", text)
     words = rows.select(lang, F.explode(F.split(F.lower(text), r"[^\p{L}]+")).alias("w")).filter("w != ''").groupBy(lang, "w").agg(F.count(F.lit(1)).alias("n")).toPandas()
     languages = sorted(words[lang].unique())
     pieces = vocabulary(path)

@@ -5,12 +5,14 @@ length gives its even share, and a bounded knapsack over the remaining copies cl
 documents stand for a length is decided by a seeded hash.
 
 Defined cases: null text has size 0; a null source is a source of its own, last in order; rows of size 0 are never
-taken; an empty table gives an empty mix; repeated rows count once each. If no subset meets the rest exactly the
-nearest sum is taken, so a source's words differ from its target by less than its longest document.
+taken; an empty table gives an empty mix; repeated rows count once each. If no subset meets the rest exactly a near
+sum is taken (see choose_counts), so a source's words differ from its target by less than its longest document.
 """
 
 from __future__ import annotations
 
+import math
+
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -55,42 +57,18 @@ def targets(per_source: DataFrame, weights: tuple[int, ...] = (1, 2, 3), share:
     return levels.select("source", "source_size", "weight", "target")
 
 
-def choose_counts(lengths: list[int], counts: list[int], goal: int) -> list[int]:
-    """How many documents of each length to take so that the sum comes nearest to ``goal``.
-
-    Small problems are one bounded knapsack over all copies, with reachable sums as the bits of one integer. In large ones
-    every length first gives its even share but one; rounds of one more of each, longest first, close most of the gap, and
-    the knapsack over the copies still free closes the rest.
-    """
-    total = sum(a * b for a, b in zip(lengths, counts, strict=True))
-    if goal <= 0 or not total:
-        return [0] * len(lengths)
-    if goal >= total:
-        return list(counts)
-    order = sorted((i for i in range(len(lengths)) if lengths[i] > 0), key=lambda i: -lengths[i])
-    longest = lengths[order[0]]
-    take, left = [0] * len(lengths), goal
-    if goal * len(order) > 20_000_000:
-        take = [max(0, c * goal // total - 1) for c in counts]
-        left = goal - sum(a * b for a, b in zip(lengths, take, strict=True))
-        moved = True
-        while moved:
-            moved = False
-            for i in order:  # a margin of two longest documents stays for the exact step
-                if counts[i] > take[i] and left - lengths[i] >= 2 * longest:
-                    take[i] += 1
-                    left -= lengths[i]
-                    moved = True
-    top = left + longest
+def _knapsack(lengths: list[int], free: list[int], order: list[int], left: int) -> tuple[list[int], int]:
+    """Copies within ``free`` whose lengths' sum comes nearest to ``left``, and how far it stays off."""
+    top = left + lengths[order[0]]
     mask = (1 << (top + 1)) - 1
-    reach, steps = 1, []
+    take, reach, steps = [0] * len(lengths), 1, []
     for i in order:
-        free, piece = min(counts[i] - take[i], top // lengths[i]), 1
-        while free > 0:
-            n = min(piece, free)
+        rest, piece = min(free[i], top // lengths[i]), 1
+        while rest > 0:
+            n = min(piece, rest)
             steps.append((i, n, reach))
             reach |= reach << (n * lengths[i]) & mask
-            free -= n
+            rest -= n
             piece *= 2
         if reach >> left & 1:
             break
@@ -100,11 +78,50 @@ def choose_counts(lengths: list[int], counts: list[int], goal: int) -> list[int]
     if above:
         over = left + (above & -above).bit_length()
         at = over if over - left < left - below else below
+    off = abs(at - left)
     for i, n, was in reversed(steps):
         if not was >> at & 1:
             take[i] += n
             at -= n * lengths[i]
-    return take
+    return take, off
+
+
+def choose_counts(lengths: list[int], counts: list[int], goal: int, work: int = 200_000_000) -> list[int]:
+    """How many documents of each length to take so that the sum comes nearest to ``goal``.
+
+    Every length first gives its even share but ``width`` copies, rounds of one more of each, longest first, close most of
+    the gap, and a bounded knapsack over the copies still free closes the rest, with reachable sums as the bits of one
+    integer. Width starts at one and doubles until the sum is exact, or as near as the lengths' common divisor allows, or
+    all copies are free, when it is the nearest of all sums. ``work`` (sums times lengths) ends the widening earlier where
+    a table would grow too large; the sum is then the nearest found, less than the longest document off.
+    """
+    total = sum(a * b for a, b in zip(lengths, counts, strict=True))
+    if goal <= 0 or not total:
+        return [0] * len(lengths)
+    if goal >= total:
+        return list(counts)
+    order = sorted((i for i in range(len(lengths)) if lengths[i] > 0 and counts[i] > 0), key=lambda i: -lengths[i])
+    longest, divisor = lengths[order[0]], math.gcd(*(lengths[i] for i in order))
+    least_off = min(goal % divisor, divisor - goal % divisor)
+    best, width = None, 1
+    while True:
+        take = [max(0, c * goal // total - width) for c in counts]
+        left, moved = goal - sum(a * b for a, b in zip(lengths, take, strict=True)), True
+        while moved:
+            moved = False
+            for i in order:
+                if counts[i] > take[i] and left - lengths[i] >= 2 * width * longest:
+                    take[i] += 1
+                    left -= lengths[i]
+                    moved = True
+        if best is not None and (left + longest) * len(order) > work:
+            return best[1]
+        extra, off = _knapsack(lengths, [c - t for c, t in zip(counts, take, strict=True)], order, left)
+        if best is None or off < best[0]:
+            best = off, [t + e for t, e in zip(take, extra, strict=True)]
+        if best[0] <= least_off or not any(take):
+            return best[1]
+        width *= 2
 
 
 def _plan(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -153,12 +170,12 @@ def mix(df: DataFrame, key: str = "doc_id", source: str = "source", weights: tup
 def mixed_documents(df: DataFrame, **options) -> DataFrame:
     """The rows of ``df``, each as often as the mix takes it. Rows equal in id and text are interchangeable."""
     plan = mix(df, **options).filter("copies > 0")
-    drawn = df.withColumn("_draw", F.xxhash64(F.lit(options.get("seed", 7)), F.col("doc_id"), F.xxhash64("text")))
-    per = written(plan.groupBy(F.col("doc_id").alias("_id"), F.col("draw").alias("_of")).agg(F.sum("copies").alias("_copies"), F.count(F.lit(1)).alias("_rows")), "mixing-copies")
-    if per.filter("_rows > 1").take(1):  # equal rows share a draw: their copies are summed and dealt to one of them
-        drawn = drawn.dropDuplicates(["doc_id", "_draw"])
-    joined = drawn.join(per, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_draw") == F.col("_of")))
-    return joined.withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*df.columns)
+    drawn = df.withColumn("__draw", F.xxhash64(F.lit(options.get("seed", 7)), F.col("doc_id"), F.xxhash64("text")))
+    per = written(plan.groupBy(F.col("doc_id").alias("__id"), F.col("draw").alias("__of")).agg(F.sum("copies").alias("__copies"), F.count(F.lit(1)).alias("__rows")), "mixing-copies")
+    if per.filter("__rows > 1").take(1):  # equal rows share a draw: their copies are summed and dealt to one of them
+        drawn = drawn.dropDuplicates(["doc_id", "__draw"])
+    joined = drawn.join(per, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__draw") == F.col("__of")))
+    return joined.withColumn("__n", F.explode(F.sequence(F.lit(1), F.col("__copies").cast("int")))).select(*df.columns)
 
 
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

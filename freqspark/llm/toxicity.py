@@ -1,11 +1,11 @@
 """Toxicity from class-conditional Kneser-Ney models.
 
-Two interpolated Kneser-Ney word-pair models, one of toxic and one of ordinary texts, back off to class unigrams
-by continuation counts and from there to one unigram shared by both classes, so an expression that neither or hardly
-any class has seen says nothing. The unit is a word's stem, its first bytes, so rare forms of one expression count together. A text is
-judged by its mean log-likelihood ratio per word, by that of its most toxic window and by those of its few most toxic
-words, which keeps single expressions in a long text visible; a logistic curve fitted on labelled texts that the models have
-not seen turns these into a score.
+Two interpolated Kneser-Ney word-pair models, one of toxic and one of ordinary texts, over whole words. A pair backs off
+to its class's words by continuation counts, a word to its class's stems (first STEM code points) by theirs, and a stem to
+counts shared by both classes; how a stem's mass falls on its words is shared too. So rare forms of one expression count
+together, and an expression that neither class has seen says nothing. A text is judged by its mean log-likelihood ratio per
+word, by that of its most toxic window and by those of its few most toxic words, which keeps single expressions in a
+long text visible; a logistic curve fitted on labelled texts that the models have not seen turns these into a score.
 
 Fitting uses near ``sample_docs`` toxic and twice as many ordinary labelled texts; the driver holds their distinct pairs. Defined cases: null,
 empty and blank texts score as the share of toxic labels; without both classes in the labels every text scores that
@@ -24,21 +24,27 @@ from pyspark.sql import types as T
 
 from ..session import use_library
 from . import textops as X
-from .common import bounded_sample, crc_mod, documents, labels, written
+from .common import bounded_sample, crc_mod, documents, labels, row_key, written
 
 SAMPLE_DOCS = 2000
 STEM = 4
 PEAKS = (1, 3, 8)
-DISCOUNT = 0.75
+DISCOUNT = 8.5  # rarer expressions are left to the backoff as a whole
 WINDOW = 48
-_COUNTS = "v long, w long, tox long, ordinary long"
+_COUNTS = "v long, w long, stem long, tox long, ordinary long"
 
 
-def _words(b: pa.RecordBatch, column: str = "text") -> tuple[np.ndarray, np.ndarray]:
-    """Hash of every word's stem, and per text the index of its first."""
+def _words(b: pa.RecordBatch, column: str = "text") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hash of every word and of its stem, and per text the index of its first."""
     data, off = X.column_bytes(b.column(column))
     starts, ends, first = X.word_spans(data, off, X.SIGNS)
-    return X.span_hash(X.prefix_hash(data, True), starts, np.minimum(ends, starts + STEM)), first
+    if not len(starts):
+        return np.zeros(0, np.uint64), np.zeros(0, np.uint64), first
+    chars = np.flatnonzero((data & 0xC0) != 0x80)
+    at = np.searchsorted(chars, starts) + STEM
+    stop = np.minimum(ends, np.append(chars, np.full(STEM, len(data)))[np.minimum(at, len(chars) + STEM - 1)])
+    prefix = X.prefix_hash(data, True)
+    return X.span_hash(prefix, starts, ends), X.span_hash(prefix, starts, stop), first
 
 
 def _pair_key(v: np.ndarray, w: np.ndarray) -> np.ndarray:
@@ -49,7 +55,7 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Distinct word pairs of each slice with their count per class; the first word of a text has no pair."""
     for whole in batches:
         for b in X.slices(whole):
-            h, first = _words(b)
+            h, stem, first = _words(b)
             mark = np.repeat(b.column("toxic").to_numpy(zero_copy_only=False), np.diff(first))
             ok = np.ones(len(h), dtype=bool)
             ok[first[:-1][first[:-1] < len(h)]] = False
@@ -60,44 +66,60 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             key, one, where = np.unique(_pair_key(v, w), return_index=True, return_inverse=True)
             tox = np.bincount(where, y == 1, minlength=len(key))
             both = np.bincount(where, minlength=len(key))
-            yield pa.RecordBatch.from_arrays([pa.array(v[one].view(np.int64)), pa.array(w[one].view(np.int64)), pa.array(tox.astype(np.int64)), pa.array((both - tox).astype(np.int64))], names=["v", "w", "tox", "ordinary"])
+            yield pa.RecordBatch.from_arrays([pa.array(v[one].view(np.int64)), pa.array(w[one].view(np.int64)), pa.array(stem[at][one].view(np.int64)), pa.array(tox.astype(np.int64)), pa.array((both - tox).astype(np.int64))], names=["v", "w", "stem", "tox", "ordinary"])
 
 
 class ToxicityModel:
     """Log-likelihood ratios by pair and by word in sorted arrays; as large as the bounded sample's pairs."""
 
-    def __init__(self, v: np.ndarray, w: np.ndarray, counts: np.ndarray, discount: float = DISCOUNT) -> None:
+    def __init__(self, v: np.ndarray, w: np.ndarray, stem: np.ndarray, counts: np.ndarray, discount: float = DISCOUNT) -> None:
         words, code = np.unique(np.concatenate([v, w]), return_inverse=True)
+        stems, s = np.unique(stem, return_inverse=True)
         a, b = code[: len(v)], code[len(v) :]
         n = len(words)
-        together = np.bincount(b, minlength=n).astype(float)  # contexts before each word, over both classes
-        total = max(together.sum(), 1.0)
-        seen = max((together > 0).sum(), 1)
-        shared = (np.maximum(together - discount, 0) + discount * seen / (n + 1)) / total
-        uni, pair, weight = [], [], []
+        together, stem_together = np.bincount(b, minlength=n).astype(float), np.bincount(s, minlength=len(stems)).astype(float)  # contexts over both classes
+        total, seen = max(stem_together.sum(), 1.0), max(len(stems), 1)
+        shared = (np.maximum(stem_together - discount, 0) + np.minimum(stem_together, discount).sum() / (seen + 1)) / total
+        of = np.zeros(n, dtype=np.int64)
+        of[b] = s
+        part = together / np.maximum(stem_together[of], 1) if len(stems) else together  # of its stem's mass, in both classes
+        uni, pair, weight, by_stem = [], [], [], []
         for y in range(2):
             c = counts[:, y].astype(float)
             on = c > 0
-            cont = np.bincount(b[on], minlength=n).astype(float)
-            kinds, mass = max((cont > 0).sum(), 1), max(cont.sum(), 1.0)
-            one = np.maximum(cont - discount, 0) / mass + discount * kinds / mass * shared
+
+            def smoothed(where: np.ndarray, size: int, below: np.ndarray) -> tuple[np.ndarray, float]:
+                cont = np.bincount(where[on], minlength=size).astype(float)  # noqa: B023
+                mass = max(cont.sum(), 1.0)
+                lam = max(np.minimum(cont, discount).sum(), 1.0) / mass
+                return np.maximum(cont - discount, 0) / mass + lam * below, lam
+
+            stemmed, _ = smoothed(s, len(stems), shared)
+            one, lam = smoothed(b, n, stemmed[of] * part if len(stems) else part)
             context = np.bincount(a, c, minlength=n)
-            fan = np.bincount(a[on], minlength=n).astype(float)
-            lam = np.where(context > 0, discount * fan / np.maximum(context, 1), 1.0)
+            back = np.where(context > 0, np.bincount(a, np.minimum(c, discount), minlength=n) / np.maximum(context, 1), 1.0)
             uni.append(one)
-            weight.append(lam)
-            pair.append(np.maximum(c - discount, 0) / np.maximum(context[a], 1) + lam[a] * one[b])
+            weight.append(back)
+            by_stem.append(lam * stemmed)
+            pair.append(np.maximum(c - discount, 0) / np.maximum(context[a], 1) + back[a] * one[b])
         key = _pair_key(v, w)
         by = np.argsort(key)
         self.pair_key, self.pair_ratio = key[by], np.log(pair[0] / pair[1])[by]
-        self.word, self.word_ratio, self.back_ratio = words, np.log(uni[0] / uni[1]), np.log(weight[0] / weight[1])
+        known = together > 0  # others only stand before a word; theirs is the stem's ratio
+        self.word, self.back_ratio, self.counted = words, np.log(weight[0] / weight[1]), known
+        self.word_ratio = np.zeros(n)
+        self.word_ratio[known] = np.log(uni[0][known] / uni[1][known])
+        self.stem, self.stem_ratio = stems, np.log(by_stem[0] / by_stem[1])
         self.curve = np.zeros(3 + len(PEAKS))
         self.share = 0.0
 
-    def ratios(self, h: np.ndarray, first: np.ndarray) -> np.ndarray:
-        """Log ratio of every word given the one before it in its text."""
+    def ratios(self, h: np.ndarray, stem: np.ndarray, first: np.ndarray) -> np.ndarray:
+        """Log ratio of every word given the one before it in its text; a word not counted has its stem's, or none."""
         at, known = X.find(self.word, h)
-        one = np.where(known, self.word_ratio[at], 0.0) if len(self.word) else np.zeros(len(h))
+        like, like_known = X.find(self.stem, stem)
+        one = np.where(like_known, self.stem_ratio[like], 0.0) if len(self.stem) else np.zeros(len(h))
+        if len(self.word):
+            one = np.where(known & self.counted[at], self.word_ratio[at], one)
         back = np.where(known, self.back_ratio[at], 0.0) if len(self.word) else np.zeros(len(h))
         out = one.copy()
         if len(h) > 1:
@@ -108,9 +130,9 @@ class ToxicityModel:
             out[1:] = np.where(begins[1:], one[1:], given)
         return out
 
-    def features(self, h: np.ndarray, first: np.ndarray) -> np.ndarray:
+    def features(self, h: np.ndarray, stem: np.ndarray, first: np.ndarray) -> np.ndarray:
         """Per text: mean ratio per word, the mean over its most toxic WINDOW words in a row, and means of its peaks."""
-        r = self.ratios(h, first)
+        r = self.ratios(h, stem, first)
         n = np.diff(first)
         total = np.concatenate(([0.0], np.cumsum(r)))
         mean = (total[first[1:]] - total[first[:-1]]) / np.maximum(n, 1)
@@ -165,7 +187,7 @@ def train_on(docs: DataFrame, marks: DataFrame, sample_docs: int = SAMPLE_DOCS)
     """
     known = marks.filter("toxic IS NOT NULL AND doc_id IS NOT NULL").select("doc_id", F.col("toxic").cast("long").alias("toxic"))
     totals = {r["toxic"]: r["n"] for r in known.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
-    few = bounded_sample(known, "toxic", {1: sample_docs, 0: 2 * sample_docs}, "doc_id")
+    few = bounded_sample(known.filter("toxic IN (0, 1)"), "toxic", {1: sample_docs, 0: 2 * sample_docs}, "doc_id")
     return train(docs.select("doc_id", "text").join(F.broadcast(few), "doc_id"), sample_docs, totals=totals)
 
 
@@ -175,14 +197,14 @@ def train(labelled: DataFrame, sample_docs: int = SAMPLE_DOCS, discount: float =
     ``totals`` (rows per class) says that ``labelled`` is a sample already.
     """
     spark = use_library(labelled.sparkSession)
-    rows = labelled.filter("toxic IS NOT NULL AND text IS NOT NULL").select(F.col("toxic").cast("long").alias("toxic"), "text", F.pmod(F.xxhash64(F.lit(3), "text"), F.lit(3)).alias("fold"))
+    rows = labelled.filter("toxic IN (0, 1) AND text IS NOT NULL").select(F.col("toxic").cast("long").alias("toxic"), "text", F.pmod(F.xxhash64(F.lit(3), "text"), F.lit(3)).alias("fold"), row_key(labelled).alias("__row"))
     drawn_already = totals is not None
     if not drawn_already:
         totals = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     share = totals.get(1, 0) / max(sum(totals.values()), 1)
-    sample = written(rows if drawn_already else bounded_sample(rows, "toxic", {1: sample_docs, 0: 2 * sample_docs}, "toxic", "text"), "toxicity-sample")
-    counted = sample.filter("fold <> 0").select("text", "toxic").mapInArrow(_count, _COUNTS).groupBy("v", "w").agg(F.sum("tox").alias("tox"), F.sum("ordinary").alias("ordinary")).orderBy("v", "w").toPandas()
-    model = ToxicityModel(counted["v"].to_numpy(np.int64).view(np.uint64), counted["w"].to_numpy(np.int64).view(np.uint64), counted[["tox", "ordinary"]].to_numpy(np.int64), discount)
+    sample = written(bounded_sample(rows, "toxic", {1: 1 << 40, 0: 1 << 40} if drawn_already else {1: sample_docs, 0: 2 * sample_docs}, "__row", "text"), "toxicity-sample")
+    counted = sample.filter("fold <> 0").select("text", "toxic").mapInArrow(_count, _COUNTS).groupBy("v", "w", "stem").agg(F.sum("tox").alias("tox"), F.sum("ordinary").alias("ordinary")).orderBy("v", "w").toPandas()
+    model = ToxicityModel(counted["v"].to_numpy(np.int64).view(np.uint64), counted["w"].to_numpy(np.int64).view(np.uint64), counted["stem"].to_numpy(np.int64).view(np.uint64), counted[["tox", "ordinary"]].to_numpy(np.int64), discount)
     model.share = share
     shared = spark.sparkContext.broadcast(model)
     seen = sample.filter("fold = 0").select("toxic", "text").mapInArrow(_feature_rows(shared), "toxic long, x array<double>").orderBy("toxic", "x").toPandas()
@@ -205,8 +227,8 @@ def score_toxicity(df: DataFrame, model: ToxicityModel, cut: float = 0.7) -> Dat
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for b in X.slices(whole):
-                h, first = _words(b)
-                s = shared.value.score(shared.value.features(h, first), np.diff(first))
+                h, stem, first = _words(b)
+                s = shared.value.score(shared.value.features(h, stem, first), np.diff(first))
                 yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s), pa.array((s >= cut).astype(np.int32))], names=[*b.schema.names, "score", "predicted"])
 
     return plain.mapInArrow(run, T.StructType([*plain.schema.fields, T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())]))

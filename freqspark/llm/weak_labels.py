@@ -5,7 +5,7 @@ estimates each labeller's accuracy and the share of good texts; the posteriors l
 scorer on hashed words and word shapes, which then scores every text.
 
 Votes and patterns cover all rows (a pattern table has at most 3^labellers rows); the scorer is fitted on a sample of
-near ``sample_docs`` texts per side. Defined cases: null, empty and blank texts get the labellers' verdict of a short text;
+near ``sample_docs`` texts and at most near SAMPLE_BYTES of text per side, drawn row by row. Defined cases: null, empty and blank texts get the labellers' verdict of a short text;
 repeated rows agree; an empty table gives an empty result. Columns named like a result are replaced.
 """
 
@@ -21,7 +21,7 @@ from pyspark.sql import types as T
 
 from ..session import use_library
 from . import textops as X
-from .common import documents
+from .common import SAMPLE_BYTES, documents, drawn, row_key
 from .quality_rules import STOP_WORDS
 
 FEATURES = 1 << 14
@@ -154,7 +154,7 @@ def classify(df: DataFrame, sample_docs: int = SAMPLE_DOCS, cut: float = 0.5) ->
     """
     spark = use_library(df.sparkSession)
     plain = df.drop("votes", "posterior", "score", "good")
-    table = plain.select("text").transform(with_votes).groupBy("votes").agg(F.count(F.lit(1)).alias("n")).orderBy("votes").collect()
+    table = plain.select("text").transform(with_votes).groupBy("votes").agg(F.count(F.lit(1)).alias("n"), F.sum(F.octet_length("text")).alias("b")).orderBy("votes").collect()
     patterns = np.array([r["votes"] for r in table], dtype=np.int64).reshape(len(table), len(LABELLERS))
     _, _, post = estimate(patterns, np.array([r["n"] for r in table], dtype=float))
     posterior = {tuple(p): float(q) for p, q in zip(patterns.tolist(), post, strict=True)}
@@ -163,15 +163,16 @@ def classify(df: DataFrame, sample_docs: int = SAMPLE_DOCS, cut: float = 0.5) ->
         for whole in batches:
             for b in X.slices(whole):
                 v = votes(*X.column_bytes(b.column("text")))
-                q = np.array([posterior[tuple(x)] for x in v.tolist()])
-                yield pa.RecordBatch.from_arrays([b.column("text"), pa.array(q), pa.array((q >= 0.5).astype(np.int32))], names=["text", "q", "side"])
-
-    sides = {True: sum(r["n"] for r, q in zip(table, post, strict=True) if q >= 0.5), False: sum(r["n"] for r, q in zip(table, post, strict=True) if q < 0.5)}
-    draw = F.pmod(F.xxhash64(F.lit(9), "text"), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    most = max(min(1.0, sample_docs / max(n, 1)) for n in sides.values())
-    few = plain.select("text").filter(draw < most).mapInArrow(look_up, "text string, q double, side int")
-    share = {k: min(1.0, sample_docs / max(n, 1)) for k, n in sides.items()}
-    few = few.filter(((F.col("side") == 1) & (draw < share[True])) | ((F.col("side") == 0) & (draw < share[False])))
+                q = np.array([posterior.get(tuple(x), 0.5) for x in v.tolist()])
+                yield pa.RecordBatch.from_arrays([b.column("row"), b.column("text"), pa.array(q), pa.array((q >= 0.5).astype(np.int32))], names=["row", "text", "q", "side"])
+
+    share = []  # of each side's rows, by its rows and by their bytes
+    for good in (False, True):
+        own = [r for r, q in zip(table, post, strict=True) if (q >= 0.5) == good]
+        n, size = sum(r["n"] for r in own), sum(r["b"] or 0 for r in own)
+        share.append(min(1.0, sample_docs / max(n, 1), SAMPLE_BYTES / max(size, 1)))
+    few = plain.select(row_key(plain).alias("row"), "text").filter(drawn(F.lit(max(share)), 9, "row")).mapInArrow(look_up, "row long, text string, q double, side int")
+    few = few.filter(drawn(F.when(F.col("side") == 1, F.lit(share[1])).otherwise(F.lit(share[0])), 9, "row"))
 
     def features(batches):
         for whole in batches:

@@ -189,3 +189,60 @@ def test_weak_label_query_and_cases(spark, sf_small, odd, empty):
     out = weak_labels.classify(odd)
     assert out.count() == odd.count() and {"votes", "posterior", "score", "good"} <= set(out.columns)
     assert weak_labels.classify(empty).count() == 0
+
+
+def test_samples_of_one_repeated_text_are_near_their_limit(spark):
+    """Copies fall one by one, and a class of few huge texts is bounded by bytes."""
+    from freqspark.llm.common import bounded_sample, row_key
+
+    rows = spark.range(20_000).select(F.col("id").alias("doc_id"), F.lit("one text for all").alias("text"), F.lit("a").alias("c"))
+    for key in ("doc_id", row_key(rows.drop("doc_id"))):
+        assert 380 < bounded_sample(rows, "c", 500, key, "text").count() < 640
+    long = spark.range(2_000).select(F.col("id").alias("doc_id"), F.repeat(F.lit("x"), 10_000).alias("text"), F.lit("a").alias("c"))
+    assert 50 < bounded_sample(long, "c", 5_000, "doc_id", "text", 1_000_000).count() < 160
+    assert bounded_sample(rows, "c", {"b": 5}, "doc_id").count() == 0
+
+
+def test_toxicity_backs_off_from_words_to_stems(spark):
+    """An unseen form of a toxic word is judged by its stem; words that share four bytes only are told apart."""
+    rows = [(i, ("so the snarkle" if i % 2 else "so the snarfle") + f" went home w{i % 30} today", i % 2) for i in range(400)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    model = toxicity.train(df.select("text", "toxic"))
+    texts = [(1, "so the snarkle went home w3 today"), (2, "so the snarfle went home w3 today"), (3, "die größte Überraschung"), (4, "ü")]
+    out = {r["doc_id"]: r["score"] for r in toxicity.score_toxicity(spark.createDataFrame(texts, "doc_id long, text string"), model).collect()}
+    assert out[1] > 0.7 > 0.3 > out[2] and all(0 <= s <= 1 for s in out.values())
+
+
+def test_toxicity_cases(odd, empty):
+    """Null ids and texts, repeated rows, clashing names, a very long text, an empty table."""
+    labelled = odd.withColumn("toxic", (F.col("doc_id") % 2).cast("int"))
+    model = toxicity.train(labelled.select("text", "toxic"))
+    out = toxicity.score_toxicity(odd.withColumn("score", F.lit("x")).withColumn("predicted", F.lit("y")), model)
+    rows = out.collect()
+    assert len(rows) == odd.count() and all(0 <= r["score"] <= 1 for r in rows)
+    assert len({r["score"] for r in rows if r["text"] and r["text"].startswith("alpha")}) == 1
+    assert toxicity.score_toxicity(empty, model).count() == 0
+
+
+def test_weak_labels_with_clashing_names(odd):
+    out = weak_labels.classify(odd.withColumn("votes", F.lit(1)).withColumn("posterior", F.lit("x")).withColumn("row", F.lit(3)))
+    rows = out.collect()
+    assert len(rows) == odd.count() and all(0 <= r["posterior"] <= 1 for r in rows) and all(r["row"] == 3 for r in rows)
+    assert len({(r["score"], r["posterior"]) for r in rows if r["text"] and r["text"].startswith("alpha")}) == 1
+
+
+def test_language_posterior_equals_brute_force(spark):
+    """The whole query on a small corpus: every word by summing its segmentations, every text by Bayes over languages."""
+    rows = [(i, t, g) for i, (t, g) in enumerate([("the cat and the dog", "en"), ("the house of the man", "en"), ("der hund und die katze", "de"), ("das haus und der mann", "de")] * 3)]
+    df = spark.createDataFrame([*rows, (99, "the hund", None), (100, "12 34", None)], "doc_id long, text string, lang string")
+    model = language_id.train(df)
+    model.start()
+    for r in language_id.identify(df, model).collect():
+        words = re.findall(r"[^\W\d_]+", r["text"].lower())
+        if not words:
+            assert (r["lang_pred"], r["score"]) == ("und", 0.0)
+            continue
+        like = [sum(math.log(brute_segments("▁" + w, model.pieces, model.prob[:, [g]])) for w in words) / math.sqrt(len(words)) for g in range(2)]
+        odds = [math.exp(x - max(like)) for x in like]
+        best = max(range(2), key=lambda g: odds[g])
+        assert r["lang_pred"] == model.languages[best] and math.isclose(r["score"], odds[best] / sum(odds), rel_tol=1e-9)
