@@ -146,10 +146,9 @@ def overhead_run(df: DataFrame, item: str, spec, cores: int) -> dict:
 def cost_report(spark: SparkSession, df: DataFrame) -> dict:
     """Wall seconds, exchanges and, from the stages that ran, bytes shuffled and spilled, and rows sent."""
     plan = df._jdf.queryExecution().executedPlan().toString()
-    store = spark.sparkContext._jsc.sc().statusStore()
-    before = {s.stageId() for s in _stages(store)}
+    before = {s.stageId() for s in _stages(spark)}
     seconds = timed(df)
-    ran = [s for s in _stages(store) if s.stageId() not in before]
+    ran = [s for s in _stages(spark) if s.stageId() not in before]
     return {
         "seconds": seconds,
         "exchanges": plan.count("Exchange hashpartitioning") + plan.count("Exchange SinglePartition"),
@@ -160,6 +159,9 @@ def cost_report(spark: SparkSession, df: DataFrame) -> dict:
     }
 
 
-def _stages(store) -> list:
-    found = store.stageList(None, False, False, store.stageList__default__4() if hasattr(store, "stageList__default__4") else None, None)
+def _stages(spark: SparkSession) -> list:
+    """What the session's status store holds of its stages."""
+    gateway = spark.sparkContext._gateway
+    no_quantiles, every = gateway.new_array(gateway.jvm.double, 0), gateway.jvm.java.util.ArrayList()
+    found = spark.sparkContext._jsc.sc().statusStore().stageList(every, False, False, no_quantiles, every)
     return [found.apply(i) for i in range(found.size())]

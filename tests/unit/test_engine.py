@@ -4,6 +4,7 @@ import duckdb
 import pytest
 from pyspark.sql import functions as F
 
+from freqspark import experiments  # noqa: F401  registers its queries
 from freqspark import workloads as W
 from freqspark.operators import blocks, exact, measures, surround
 from freqspark.operators.local import local_summaries
@@ -19,6 +20,8 @@ SOME = (
     "grouped_words_by_lang", "weighted_quantity_by_part", "nulls_item", "sequential_users_k8", "misra_gries_k8", "block_bounds_p7", "block_order_p5", "exact_local_k20_p8", "merge_flat_tight",
     "merge_tree_k20_p8_f2", "two_level_k20_p8_g4", "merge_pair_k20", "merge_pair_stored_min", "candidates_one_pass", "estimate_items", "audit_scalar", "audit_tree", "mg_isomorphism",
     "speedup_table", "scaling_slope", "rank_frequency_words", "asof_previous_report", "packed_lookup", "incremental_days", "udaf_summary_by_type", "udtf_local", "stream_running_summary", "stream_state_users",
+    "sweep_blocks_two_level_k100", "audit_plans_misra_gries", "audit_plans_batched", "mg_cancelled_levels2", "iceberg_share_030", "iceberg_timestamp_pair", "grouped_null_lang_batched", "are_by_scope_k20",
+    "stream_session", "stream_window_summaries", "stream_late_rows", "sql_frequent",
 )
 
 
@@ -124,9 +127,65 @@ def test_as_of_join_and_report(spark):
     a = spark.createDataFrame([("u", 5), ("u", 1)], "k string, t int")
     b = spark.createDataFrame([("u", 2, 9), ("u", 4, 7)], "k string, t int, v int")
     assert {(r["t"], r["v"]) for r in surround.as_of(a, b, "k", "t", "v").collect()} == {(5, 7), (1, None)}
-    assert measures.timed(a) > 0 and measures.cost_report(spark, a.groupBy("k").count())["exchanges"] >= 1
+    cost = measures.cost_report(spark, a.groupBy("k").count())
+    assert measures.timed(a) > 0 and cost["exchanges"] >= 1 and cost["shuffle_bytes"] > 0 and cost["spill_bytes"] == 0
+    run = measures.overhead_run(spark.range(10_000).selectExpr("id % 7 AS item"), "item", FrequentSpec(5, setting="one_pass"), 4)
+    assert run["items"] == 10_000 and run["wall"] > 0 and run["compute"] > 0
 
 
 def test_iceberg_needs_one_bound(spark):
     with pytest.raises(ValueError, match="min_count"):
         exact.iceberg(spark.range(3), ["id"])
+
+
+def test_tree_of_many_blocks_plans_fast_and_exchanges_once_a_round(spark):
+    import time
+
+    from freqspark.operators.merge import merge_tree
+
+    local = local_summaries(blocks.by_hash(spark.range(1000).withColumnRenamed("id", "item"), 512, "item"), "item", FrequentSpec(5, kernel="exact_local"), "block")
+    start = time.perf_counter()
+    plan = merge_tree(local, 5, 512)._jdf.queryExecution().executedPlan().toString()
+    assert time.perf_counter() - start < 20
+    assert plan.split("Initial Plan")[0].count("Exchange hashpartitioning") <= 9 + 2 and "Join" not in plan
+
+
+def test_two_levels_merge_inside_the_task(spark):
+    df = spark.range(0, 4000, 1, 16).selectExpr("id % 50 AS item")
+    spec = FrequentSpec(10, levels=2, group=4, setting="one_pass")
+    from freqspark.operators.blocks import splits_of
+    from freqspark.operators.local import folded_in_task
+
+    local = folded_in_task(local_summaries(df, "item", spec), spec, splits_of(df))
+    assert "Exchange" not in local._jdf.queryExecution().executedPlan().toString()
+    heads = local.filter("kind = 'block'").collect()
+    assert len(heads) == 4 and sum(r["n"] for r in heads) == 4000
+
+
+def test_cancelled_blocks_keep_their_floor(spark):
+    rows = [(i, x, b) for b, xs in enumerate(("xyz" * 100, "xxq")) for i, x in enumerate(xs)]
+    df = spark.createDataFrame(rows, "at int, item string, block long")
+    for rule in ("spare_zero", "tight"):
+        for levels in (1, 2):
+            for merge in ("flat", "tree"):
+                spec = FrequentSpec(3, kernel="misra_gries", levels=levels, group=1, merge=merge, floor_rule=rule)
+                assert [tuple(r) for r in frequent_items(df, "item", spec, "block", "at").collect()] == [("x", 102)]
+
+
+def test_iceberg_of_shares_and_typed_keys(spark):
+    df = spark.createDataFrame([("a",)] * 40 + [("b",)] * 28 + [("c",)] * 32, "k string")
+    assert {r["k"] for r in exact.iceberg(df, ["k"], share=0.3, approx=True).collect()} == {"a", "c"}
+    stamps = spark.sql("SELECT TIMESTAMP '2024-01-01 00:00:00.000001' + make_dt_interval(0, 0, 0, (id % 2) * 0.000001) AS t, 1 AS one FROM range(100)")
+    assert sorted(r["cnt"] for r in exact.iceberg(stamps, ["t", "one"], share=0.2, approx=True).collect()) == [50, 50]
+
+
+@pytest.mark.parametrize("kernel", ["batched", "scalar", "exact_local", "misra_gries"])
+def test_null_groups_are_groups(spark, kernel):
+    df = spark.createDataFrame([("a", "x")] * 6 + [("a", "y")] * 2 + [(None, "z")] * 5 + [(None, "x")] * 1, "g string, item string")
+    got = {tuple(r) for r in frequent_items(df, "item", FrequentSpec(2, by=("g",), kernel=kernel)).collect()}
+    assert got == {("a", "x", 6), (None, "z", 5)}
+
+
+def test_k_above_n_warns_if_checked(spark):
+    with pytest.warns(UserWarning, match="exceeds"):
+        assert frequent_items(spark.createDataFrame([("a",)], "item string"), "item", 5, checked=True).count() == 1
