@@ -7,7 +7,7 @@ together, and an expression that neither class has seen says nothing. A text is
 word, by that of its most toxic window and by those of its few most toxic words, which keeps single expressions in a
 long text visible; a logistic curve fitted on labelled texts that the models have not seen turns these into a score.
 
-Fitting uses near ``sample_docs`` toxic and twice as many ordinary labelled texts; the driver holds their distinct pairs. Defined cases: null,
+Fitting uses near ``sample_docs`` toxic and twice as many ordinary labelled texts; the driver holds their words and frequent pairs. Defined cases: null,
 empty and blank texts score as the share of toxic labels; without both classes in the labels every text scores that
 share. Rows are scored one by one, so repeated rows agree. Labels whose id or mark is null are not learned from.
 """
@@ -17,6 +17,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -24,7 +25,7 @@ from pyspark.sql import types as T
 
 from ..session import use_library
 from . import textops as X
-from .common import bounded_sample, crc_mod, documents, labels, row_key, written
+from .common import bounded_sample, crc_mod, documents, drop_written, labels, row_key, written
 
 SAMPLE_DOCS = 2000
 STEM = 4
@@ -72,43 +73,38 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 class ToxicityModel:
     """Log-likelihood ratios by pair and by word in sorted arrays; as large as the bounded sample's pairs."""
 
-    def __init__(self, v: np.ndarray, w: np.ndarray, stem: np.ndarray, counts: np.ndarray, discount: float = DISCOUNT) -> None:
-        words, code = np.unique(np.concatenate([v, w]), return_inverse=True)
-        stems, s = np.unique(stem, return_inverse=True)
-        a, b = code[: len(v)], code[len(v) :]
-        n = len(words)
-        together, stem_together = np.bincount(b, minlength=n).astype(float), np.bincount(s, minlength=len(stems)).astype(float)  # contexts over both classes
-        total, seen = max(stem_together.sum(), 1.0), max(len(stems), 1)
-        shared = (np.maximum(stem_together - discount, 0) + np.minimum(stem_together, discount).sum() / (seen + 1)) / total
-        of = np.zeros(n, dtype=np.int64)
-        of[b] = s
-        part = together / np.maximum(stem_together[of], 1) if len(stems) else together  # of its stem's mass, in both classes
+    def __init__(self, words: pd.DataFrame, contexts: pd.DataFrame, pairs: pd.DataFrame, discount: float = DISCOUNT) -> None:
+        hashed = lambda t, c: t[c].to_numpy(np.int64).view(np.uint64)
+        w, v = hashed(words, "w"), hashed(contexts, "v")
+        by, at = np.argsort(w), np.argsort(v)
+        self.word, self.context = w[by], v[at]
+        stems, of = np.unique(hashed(words, "stem")[by], return_inverse=True)
+        together = words["together"].to_numpy(float)[by]  # contexts before each word, over both classes
+        stem_together = np.bincount(of, together, minlength=len(stems))
+        shared = (np.maximum(stem_together - discount, 0) + np.minimum(stem_together, discount).sum() / (max(len(stems), 1) + 1)) / max(stem_together.sum(), 1.0)
+        part = together / stem_together[of]  # of its stem's mass, in both classes
+        before, after = np.searchsorted(self.context, hashed(pairs, "v")), np.searchsorted(self.word, hashed(pairs, "w"))
         uni, pair, weight, by_stem = [], [], [], []
-        for y in range(2):
-            c = counts[:, y].astype(float)
-            on = c > 0
-
-            def smoothed(where: np.ndarray, size: int, below: np.ndarray) -> tuple[np.ndarray, float]:
-                cont = np.bincount(where[on], minlength=size).astype(float)  # noqa: B023
-                mass = max(cont.sum(), 1.0)
-                lam = max(np.minimum(cont, discount).sum(), 1.0) / mass
-                return np.maximum(cont - discount, 0) / mass + lam * below, lam
-
-            stemmed, _ = smoothed(s, len(stems), shared)
-            one, lam = smoothed(b, n, stemmed[of] * part if len(stems) else part)
-            context = np.bincount(a, c, minlength=n)
-            back = np.where(context > 0, np.bincount(a, np.minimum(c, discount), minlength=n) / np.maximum(context, 1), 1.0)
+
+        def smoothed(cont: np.ndarray, below: np.ndarray) -> tuple[np.ndarray, float]:
+            mass = max(cont.sum(), 1.0)
+            lam = max(np.minimum(cont, discount).sum(), 1.0) / mass
+            return np.maximum(cont - discount, 0) / mass + lam * below, lam
+
+        for y in ("tox", "ordinary"):
+            cont = words[f"after_{y}"].to_numpy(float)[by]
+            stemmed, _ = smoothed(np.bincount(of, cont, minlength=len(stems)), shared)
+            one, lam = smoothed(cont, stemmed[of] * part)
+            total, low = contexts[y].to_numpy(float)[at], contexts[f"low_{y}"].to_numpy(float)[at]
+            back = np.where(total > 0, low / np.maximum(total, 1), 1.0)
             uni.append(one)
             weight.append(back)
             by_stem.append(lam * stemmed)
-            pair.append(np.maximum(c - discount, 0) / np.maximum(context[a], 1) + back[a] * one[b])
-        key = _pair_key(v, w)
-        by = np.argsort(key)
-        self.pair_key, self.pair_ratio = key[by], np.log(pair[0] / pair[1])[by]
-        known = together > 0  # others only stand before a word; theirs is the stem's ratio
-        self.word, self.back_ratio, self.counted = words, np.log(weight[0] / weight[1]), known
-        self.word_ratio = np.zeros(n)
-        self.word_ratio[known] = np.log(uni[0][known] / uni[1][known])
+            pair.append(np.maximum(pairs[y].to_numpy(float) - discount, 0) / np.maximum(total[before], 1) + back[before] * one[after])
+        key = _pair_key(hashed(pairs, "v"), hashed(pairs, "w"))
+        order = np.argsort(key)
+        self.pair_key, self.pair_ratio = key[order], np.log(pair[0] / pair[1])[order]
+        self.word_ratio, self.back_ratio = np.log(uni[0] / uni[1]), np.log(weight[0] / weight[1])
         self.stem, self.stem_ratio = stems, np.log(by_stem[0] / by_stem[1])
         self.curve = np.zeros(3 + len(PEAKS))
         self.share = 0.0
@@ -119,8 +115,9 @@ class ToxicityModel:
         like, like_known = X.find(self.stem, stem)
         one = np.where(like_known, self.stem_ratio[like], 0.0) if len(self.stem) else np.zeros(len(h))
         if len(self.word):
-            one = np.where(known & self.counted[at], self.word_ratio[at], one)
-        back = np.where(known, self.back_ratio[at], 0.0) if len(self.word) else np.zeros(len(h))
+            one = np.where(known, self.word_ratio[at], one)
+        led, known = X.find(self.context, h)
+        back = np.where(known, self.back_ratio[led], 0.0) if len(self.context) else np.zeros(len(h))
         out = one.copy()
         if len(h) > 1:
             begins = np.zeros(len(h), dtype=bool)
@@ -203,8 +200,15 @@ def train(labelled: DataFrame, sample_docs: int = SAMPLE_DOCS, discount: float =
         totals = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     share = totals.get(1, 0) / max(sum(totals.values()), 1)
     sample = written(bounded_sample(rows, "toxic", {1: 1 << 40, 0: 1 << 40} if drawn_already else {1: sample_docs, 0: 2 * sample_docs}, "__row", "text"), "toxicity-sample")
-    counted = sample.filter("fold <> 0").select("text", "toxic").mapInArrow(_count, _COUNTS).groupBy("v", "w", "stem").agg(F.sum("tox").alias("tox"), F.sum("ordinary").alias("ordinary")).orderBy("v", "w").toPandas()
-    model = ToxicityModel(counted["v"].to_numpy(np.int64).view(np.uint64), counted["w"].to_numpy(np.int64).view(np.uint64), counted["stem"].to_numpy(np.int64).view(np.uint64), counted[["tox", "ordinary"]].to_numpy(np.int64), discount)
+    counted = sample.filter("fold <> 0").select("text", "toxic").mapInArrow(_count, _COUNTS).groupBy("v", "w", "stem").agg(F.sum("tox").alias("tox"), F.sum("ordinary").alias("ordinary"))
+    counted = written(counted, "toxicity-pairs")
+    # a pair at or below the discount in both classes is its backoff alone: the driver gets words, contexts and the pairs above
+    words = counted.groupBy("w", "stem").agg(F.count(F.lit(1)).alias("together"), F.count_if(F.col("tox") > 0).alias("after_tox"), F.count_if(F.col("ordinary") > 0).alias("after_ordinary")).toPandas()
+    low = lambda c: F.sum(F.least(F.col(c).cast("double"), F.lit(discount))).alias(f"low_{c}")
+    contexts = counted.groupBy("v").agg(F.sum("tox").alias("tox"), F.sum("ordinary").alias("ordinary"), low("tox"), low("ordinary")).toPandas()
+    pairs = counted.filter((F.col("tox") > discount) | (F.col("ordinary") > discount)).toPandas()
+    model = ToxicityModel(words, contexts, pairs, discount)
+    drop_written(counted)
     model.share = share
     shared = spark.sparkContext.broadcast(model)
     seen = sample.filter("fold = 0").select("toxic", "text").mapInArrow(_feature_rows(shared), "toxic long, x array<double>").orderBy("toxic", "x").toPandas()
