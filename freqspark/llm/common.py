@@ -114,6 +114,24 @@ def parts_for(total: float, each: float, least: int = 1) -> int:
     return max(least, int(total // each) + 1)
 
 
+#: A key is hot beyond one part in this many of a join's rows, so there are at most this many hot keys.
+HOT_KEYS = 1000
+
+
+def spread_join(many: DataFrame, one: DataFrame, keys: list[str], count: str, total: int, how: str = "inner") -> DataFrame:
+    """``many`` joined to ``one``, which has each key once; its column ``count`` (the key's rows in ``many``) goes.
+
+    Rows of a key with more than a thousandth of ``total`` are dealt by key and share, and the key's row of ``one`` goes to
+    every share, so no key is left to one task. At most ``HOT_KEYS`` keys can be that hot: the broadcast is bounded.
+    """
+    each = max(1000, total // HOT_KEYS)
+    shares = F.greatest(F.ceil(F.col(count) / each), F.lit(1)).cast("int")
+    hot = one.filter(F.col(count) > each).select(*keys, shares.alias("__shares"))
+    dealt = many.join(F.broadcast(hot), keys, "left").withColumn("__share", F.pmod(F.xxhash64(*many.columns), F.coalesce("__shares", F.lit(1))).cast("int")).drop("__shares")
+    held = one.withColumn("__share", F.explode(F.sequence(F.lit(0), shares - 1))).drop(count)
+    return dealt.join(held, [*keys, "__share"], how).drop("__share")
+
+
 #: Bytes of text that a fitting sample holds of each class, beside its limit of rows.
 SAMPLE_BYTES = 24 << 20
 

@@ -32,11 +32,11 @@ from pyspark.sql import functions as F
 
 from ..session import use_library
 from . import textops as X
-from .common import documents, drop_written, free_shuffles, written
+from .common import documents, drop_written, free_shuffles, spread_join, written
 from .components import components
 
 BANDS, ROWS, SKETCH_BITS = 52, 6, 1024
-BLOCK, SMALL = 1024, 4096
+BLOCK, SMALL, LED = 1024, 4096, 10_000
 
 
 def odd_sketches(samples: np.ndarray, bits: int = SKETCH_BITS) -> np.ndarray:
@@ -377,20 +377,27 @@ def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int
     heads = written(heads, "near-heads")
 
     banded = heads.select("rep", F.explode("bands").alias("bucket"))
-    shared = banded.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("rep").alias("hub")).filter("n > 1").select("bucket", "hub")
-    members = written(banded.join(shared, "bucket").filter("rep <> hub").select("bucket", "hub", "rep"), "near-members")
+    shared = written(banded.groupBy("bucket").agg(F.count(F.lit(1)).alias("c"), F.min("rep").alias("hub")).filter("c > 1"), "near-shared")
+    members = written(spread_join(banded, shared, ["bucket"], "c", bands * heads.count()).filter("rep <> hub").select("bucket", "hub", "rep"), "near-members")
+    drop_written(shared)
 
     light = heads.select("rep", "n", "odd")
     of = lambda s: light.select(F.col("rep").alias(s), F.col("n").alias(f"n_{s}"), F.col("odd").alias(f"odd_{s}"))
     apart = "aggregate(zip_with(odd_a, odd_b, (x, y) -> bit_count(x ^ y)), 0, (s, x) -> s + x)"
-    tested = members.select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct().join(of("b"), "b").join(of("a"), "a")
+    met_hub = written(members.select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct(), "near-met-hubs")
+    hubs = written(met_hub.groupBy("a").agg(F.count(F.lit(1)).alias("c")).join(of("a"), "a"), "near-hubs")
+    tested = spread_join(met_hub.join(of("b"), "b"), hubs, ["a"], "c", met_hub.count())
     tested = written(tested.select("a", "b", (F.expr(f"100 * least(n_a, n_b) >= {percent} * greatest(n_a, n_b)") & (F.expr(apart) <= cut)).alias("near")), "near-tested")
     # members far from their bucket's hub: where two of them meet, leaders among them take its place
     far = members.join(tested.filter("NOT near").select(F.col("a").alias("hub"), F.col("b").alias("rep")), ["hub", "rep"]).select("bucket", "rep")
-    left = far.join(far.groupBy("bucket").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("bucket"), "bucket").join(light, "rep")
+    far = written(far, "near-far")
+    crowds = written(far.groupBy("bucket").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").withColumn("parts", F.ceil(F.col("c") / LED).cast("long")), "near-crowds")
+    left = spread_join(far, crowds, ["bucket"], "c", far.count()).join(light, "rep")
+    # a crowd of far members is led in parts; what they miss of one another, the blocks below see
+    left = left.withColumn("bucket", F.xxhash64("bucket", F.pmod(F.xxhash64("rep"), "parts")))
     led = left.repartition("bucket").sortWithinPartitions("bucket", "rep").select("bucket", "rep", "n", "odd").mapInArrow(_lead(cut, percent), "a long, b long")
     stars = written(tested.filter("near").select("a", "b").unionByName(led).distinct(), "near-stars")
-    drop_written(tested)
+    drop_written(tested, met_hub, hubs, far, crowds)
     free_shuffles(spark)
 
     first_cluster = written(components(stars, "near-clusters").withColumnRenamed("component", "cluster").withColumnRenamed("node", "rep"), "near-first-clusters")
@@ -421,7 +428,8 @@ def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int
     drop_written(heads, stars, cluster, placed)
 
     label = classes.join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep")).filter("copies > 1 OR component <> rep")
-    out = signed.select("doc_id", "n_shingles", "k1", "k2").join(label.select("k1", "k2", "component"), ["k1", "k2"], "left")
+    label = written(label.select("k1", "k2", "component", "copies"), "near-labels")
+    out = spread_join(signed.select("doc_id", "n_shingles", "k1", "k2"), label, ["k1", "k2"], "copies", signed.count(), "left")
     named = out.withColumn("component_id", F.coalesce("component", "doc_id"))
     return named.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.col("component_id").isNull()).alias("kept"))
 
