@@ -7,8 +7,8 @@ windows with one anchor that are equal as a whole are recognised by a 128-bit ha
 first occurrence needs sorting, every later one is a repeat throughout. Chunks do this before the shuffle, so a
 large group of copies or a very common passage sends one row per chunk.
 
-Anchors with very many different surroundings (a short line that everyone uses) are dealt by whole windows instead, so
-no task holds an unbounded group.
+Anchors with very many different surroundings (a short line that everyone uses) are dealt by content at first and then by
+whole windows instead, so no task holds an unbounded group.
 
 Defined cases: null is empty; texts below ``length`` bytes lose nothing; equal rows (id and text) are one document and
 lose the same bytes; rows that share an id but not a text stand in the order of their texts' hash; null ids come first.
@@ -27,12 +27,13 @@ from pyspark.sql.window import Window
 
 from ..session import use_library
 from . import textops as X
-from .common import documents, free_shuffles, parts_for, text_bytes, written
+from .common import HOT_KEYS, documents, drop_written, free_shuffles, parts_for, spread_join, text_bytes, written
 from .suffix_sort import common_prefixes, suffix_array
 
 LENGTH, GRAM = 100, 32
 BLOCK_BYTES = 1 << 20
 HOT_SEGMENTS = 50_000
+HEAT_SHARE, HEAT_LEAST = 64, 50
 
 
 def least_grams(prefix: np.ndarray, n: int, length: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
@@ -116,64 +117,43 @@ def _segments(length: int, gram: int):
     return run
 
 
-def _resolve(length: int):
-    """Rows sorted by anchor, then place. Later equal runs become intervals; anchors with several contents are asked for."""
+def _resolve(length: int, hot: np.ndarray):
+    """Rows sorted by anchor, content, place. Later equal runs become intervals; anchors with several contents are asked for.
+
+    Only the last row and an anchor's sole content so far are held. Anchors of ``hot`` are spread over tasks by
+    content, so each of their contents is asked for without knowing of the others.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        current: int | None = None
-        seen: set[int] = set()
-        lone: tuple | None = None  # the only content of the current anchor so far
+        last: tuple[int, int] | None = None  # anchor and content of the last row
+        lone: np.ndarray | None = None  # the only content of that anchor so far
         for b in batches:
-            anchor, content, doc, s, n, rel = (b.column(c).to_numpy(zero_copy_only=False) for c in _SEGMENT)
-            out: list[list[np.ndarray]] = []
-            ready = rel < 0
-            if ready.any():
-                out.append([doc[ready], s[ready], n[ready], anchor[ready], rel[ready]])
-                anchor, content, doc, s, n, rel = (x[~ready] for x in (anchor, content, doc, s, n, rel))
-            if not len(anchor):
-                if out:
-                    yield _batch([np.concatenate(c) for c in zip(*out, strict=True)], _FOUND)
-                continue
-            front = int(np.argmax(anchor != current)) if (anchor != current).any() else len(anchor)
-            back = len(anchor) if front == len(anchor) else int(len(anchor) - np.argmax(anchor[::-1] != anchor[-1])) if (anchor != anchor[-1]).any() else 0
-            back = max(back, front)
-            rows: list[tuple] = []
-
-            def step(i: int) -> None:
-                nonlocal current, seen, lone
-                if anchor[i] != current:
-                    current, seen, lone = anchor[i], set(), None
-                if content[i] in seen:
-                    rows.append((doc[i], s[i], n[i] - 1 + length, anchor[i], -1))
-                    return
-                mine = (doc[i], s[i], n[i], anchor[i], rel[i])
-                if not seen:
-                    lone = mine
-                else:
-                    if lone is not None:
-                        rows.append(lone)
-                        lone = None
-                    rows.append(mine)
-                seen.add(content[i])
-
-            for i in range(front):
-                step(i)
-            if back > front:
-                a, c = anchor[front:back], content[front:back]
-                group = np.concatenate(([0], np.cumsum(a[1:] != a[:-1])))
-                by = np.lexsort((np.arange(len(a)), c, group))
-                one = np.concatenate(([True], (group[by][1:] != group[by][:-1]) | (c[by][1:] != c[by][:-1])))
-                several = np.bincount(group[by[one]], minlength=group[-1] + 1) > 1
-                ask = by[one][several[group[by[one]]]] + front
-                again = by[~one] + front
-                out.append([doc[ask], s[ask], n[ask], anchor[ask], rel[ask]])
-                out.append([doc[again], s[again], n[again] - 1 + length, anchor[again], np.full(len(again), -1)])
-            for i in range(back, len(anchor)):
-                step(i)
-            if rows:
-                out.append([np.array(c, dtype=np.int64) for c in zip(*rows, strict=True)])
-            if out:
-                yield _batch([np.concatenate(c) for c in zip(*out, strict=True)], _FOUND)
+            rows = np.stack([b.column(c).to_numpy(zero_copy_only=False) for c in _SEGMENT])
+            ready = rows[5] < 0
+            out = [rows[[2, 3, 4, 0, 5]][:, ready]]
+            rows = rows[:, ~ready]
+            if rows.shape[1]:
+                anchor, content = rows[0], rows[1]
+                fresh = np.concatenate(([last != (anchor[0], content[0])], (anchor[1:] != anchor[:-1]) | (content[1:] != content[:-1])))
+                doc, s, n = rows[2:5, ~fresh]
+                out.append(np.stack([doc, s, n - 1 + length, anchor[~fresh], np.full(len(doc), -1)]))
+                first = rows[:, fresh]
+                known = np.isin(first[0], hot)  # anchors that have several contents whatever follows
+                if lone is not None:
+                    first, known = np.concatenate([lone[:, None], first], axis=1), np.concatenate([[False], known])
+                elif last is not None:
+                    known |= first[0] == last[0]
+                lone = None
+                if first.shape[1]:
+                    group = np.concatenate(([0], np.cumsum(first[0, 1:] != first[0, :-1])))
+                    several = (np.bincount(group) > 1)[group] | known
+                    if not several[-1]:
+                        lone = first[:, -1]
+                    out.append(first[[2, 3, 4, 0, 5]][:, several])
+                last = (anchor[-1], content[-1])
+            found = np.concatenate(out, axis=1)
+            if found.shape[1]:
+                yield _batch(list(found), _FOUND)
 
     return run
 
@@ -286,11 +266,27 @@ def _numbered(df: DataFrame) -> DataFrame:
         return df.withColumn("doc", F.col("doc_id"))
     tag = F.xxhash64(F.coalesce("text", F.lit("")))
     keys = df.select(F.col("doc_id").alias("_i"), tag.alias("_t")).distinct()
-    order = Window.orderBy(F.col("_i").asc_nulls_first(), "_t")  # ids and hashes only, and only for such tables
-    numbered = written(keys.withColumn("doc", F.row_number().over(order).cast("long")), "suffix-numbers")
+    order = [F.col("_i").asc_nulls_first(), F.col("_t").asc()]
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ranged = written(keys.repartitionByRange(parts, *order).withColumn("_p", F.spark_partition_id()), "suffix-ranges")
+    sizes = ranged.groupBy("_p").agg(F.count(F.lit(1)).alias("_c"))  # one row per range
+    before = sizes.select("_p", (F.sum("_c").over(Window.orderBy("_p")) - F.col("_c")).alias("_before"))
+    place = F.row_number().over(Window.partitionBy("_p").orderBy(*order))
+    numbered = written(ranged.withColumn("_n", place).join(F.broadcast(before), "_p").select("_i", "_t", (F.col("_before") + F.col("_n")).cast("long").alias("doc")), "suffix-numbers")
+    drop_written(ranged)
     return df.withColumn("_tag", tag).join(numbered, F.col("doc_id").eqNullSafe(F.col("_i")) & (F.col("_tag") == F.col("_t"))).drop("_i", "_t", "_tag")
 
 
+def _hot_anchors(texts: DataFrame, length: int, gram: int) -> np.ndarray:
+    """Anchors with the most different surroundings in one of ``HEAT_SHARE`` documents, at most ``HOT_KEYS`` of them.
+
+    They only say which anchors to spread over tasks; results do not hang on them.
+    """
+    some = texts.filter(F.pmod(F.xxhash64("doc"), F.lit(HEAT_SHARE)) == 0).mapInArrow(_segments(length, gram), ", ".join(f"{c} long" for c in _SEGMENT))
+    heat = some.filter("rel >= 0").groupBy("anchor").agg(F.count(F.lit(1)).alias("c")).filter(F.col("c") > HEAT_LEAST)
+    return np.sort(np.array([r["anchor"] for r in heat.orderBy(F.desc("c"), "anchor").limit(HOT_KEYS).collect()], dtype=np.int64))
+
+
 def remove_repeats(df: DataFrame, length: int = LENGTH, gram: int = GRAM, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """``df`` without its text, with n_bytes, n_removed, spans (removed byte ranges) and kept (remaining bytes)."""
     spark = use_library(df.sparkSession)
@@ -299,13 +295,15 @@ def remove_repeats(df: DataFrame, length: int = LENGTH, gram: int = GRAM, block_
     texts = docs.select("doc", F.coalesce("text", F.lit("")).alias("text"))
     parts = parts_for(text_bytes(df), 24 << 20, int(spark.conf.get("spark.sql.shuffle.partitions")))
     segments = texts.mapInArrow(_segments(length, gram), ", ".join(f"{c} long" for c in _SEGMENT))
-    dealt = segments.repartition(parts, "anchor").sortWithinPartitions("anchor", "doc", "s")
-    found = written(dealt.mapInArrow(_resolve(length), ", ".join(f"{c} long" for c in _FOUND)), "suffix-found")
+    hot = _hot_anchors(texts, length, gram)
+    share = F.when(F.col("anchor").isin(hot.tolist()), F.pmod("content", F.lit(parts))).otherwise(0) if len(hot) else F.lit(0)
+    dealt = segments.repartition(parts, F.col("anchor"), share).sortWithinPartitions("anchor", "content", "doc", "s")
+    found = written(dealt.mapInArrow(_resolve(length, hot), ", ".join(f"{c} long" for c in _FOUND)), "suffix-found")
     free_shuffles(spark)
 
     asked = found.filter("rel >= 0")
-    hot = asked.groupBy("anchor").agg(F.count(F.lit(1)).alias("c")).filter(F.col("c") > HOT_SEGMENTS).select("anchor", F.lit(True).alias("hot"))
-    marked = asked.join(hot, "anchor", "left").select("doc", F.struct("anchor", "s", "n", F.coalesce("hot", F.lit(False)).alias("hot")).alias("ask"))
+    crowded = written(asked.groupBy("anchor").agg(F.count(F.lit(1)).alias("c")).filter(F.col("c") > HOT_SEGMENTS).withColumn("hot", F.lit(True)), "suffix-crowded")
+    marked = spread_join(asked, crowded, ["anchor"], "c", asked.count(), "left").select("doc", F.struct("anchor", "s", "n", F.coalesce("hot", F.lit(False)).alias("hot")).alias("ask"))
     per_doc = marked.groupBy("doc").agg(F.collect_list("ask").alias("asks"))
     cut = texts.join(per_doc, "doc").mapInArrow(_cut_out(length), "anchor long, doc long, s long, n long, raw binary")
     blocks = cut.repartition(parts, "anchor").sortWithinPartitions("anchor", "doc", "s")

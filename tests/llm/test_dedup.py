@@ -6,8 +6,10 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from freqspark.llm import near_dedup, suffix_dedup
+from freqspark.llm.common import spread_join
 from freqspark.llm.components import components
 from freqspark.llm.suffix_sort import common_prefixes, suffix_array
 
@@ -103,10 +105,19 @@ def test_near_duplicate_cases(odd, empty):
     assert near_dedup.deduplicated(empty).count() == 0
 
 
+def test_joins_spread_hot_keys(spark):
+    many = spark.range(6000).select((F.col("id") % 3).alias("k"), F.col("id").alias("v")).unionByName(spark.range(4000).select(F.lit(0).alias("k"), (F.col("id") + 6000).alias("v")))
+    one = spark.createDataFrame([(0, 6000, "a"), (1, 2000, "b")], "k long, c long, name string")
+    want = {(v, "ab"[v % 3] if v % 3 < 2 else None) for v in range(6000)} | {(v, "a") for v in range(6000, 10_000)}
+    rows = spread_join(many, one, ["k"], "c", 10_000, "left").select("v", "name").collect()
+    assert len(rows) == 10_000 and {tuple(r) for r in rows} == want
+    assert spread_join(many, one, ["k"], "c", 10_000).count() == 8000
+
+
 def test_components_of_chains_and_stars(spark):
-    links = [(i, i + 1) for i in range(40)] + [(100, j) for j in range(101, 160)] + [(200, 201), (201, 200)]
+    links = [(300, j) for j in range(301, 3000)] + [(i, i + 1) for i in range(40)] + [(100, j) for j in range(101, 160)] + [(200, 201), (201, 200)]
     got = {r["node"]: r["component"] for r in components(spark.createDataFrame(links, "a long, b long"), "test").collect()}
-    assert all(got[i] == 0 for i in range(41)) and all(got[i] == 100 for i in range(100, 160)) and got[201] == 200
+    assert all(got[i] == 0 for i in range(41)) and all(got[i] == 100 for i in range(100, 160)) and got[201] == 200 and all(got[i] == 300 for i in range(300, 3000))
 
 
 def test_suffix_array_and_prefixes():
@@ -149,12 +160,36 @@ def test_suffix_dedup_with_hot_anchors_and_periods(spark, monkeypatch):
     docs += [(60, "x" * 500), (61, "xy" * 300), (62, docs[3][1] + docs[4][1]), (63, "é" * 200 + docs[5][1][100:300])]
     want = brute_removed([(i, t.encode()) for i, t in docs], 100)
     df = spark.createDataFrame(docs, "doc_id long, text string")
-    for hot in (50_000, 3):
+    for hot, share, least in ((50_000, 64, 50), (3, 64, 50), (50_000, 1, 1)):
         monkeypatch.setattr(suffix_dedup, "HOT_SEGMENTS", hot)
+        monkeypatch.setattr(suffix_dedup, "HEAT_SHARE", share)
+        monkeypatch.setattr(suffix_dedup, "HEAT_LEAST", least)
         out = suffix_dedup.remove_repeats(df).collect()
         assert {r["doc_id"]: (r["n_bytes"], r["n_removed"], len(r["spans"]), hashlib.sha256(r["kept"]).hexdigest()) for r in out} == want
 
 
+def test_numbers_of_repeated_and_null_ids(spark):
+    rows = [(None, "b"), (None, "a"), (3, "x"), (1, "y"), (1, "z"), (1, "y"), (2, None)]
+    out = suffix_dedup._numbered(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert len(out) == len(rows)
+    number = {(r["doc_id"], r["text"]): r["doc"] for r in out}
+    assert sorted(number.values()) == [1, 2, 3, 4, 5, 6]
+    assert {number[None, "a"], number[None, "b"]} == {1, 2} and {number[1, "y"], number[1, "z"]} == {3, 4} and number[2, None] == 5 and number[3, "x"] == 6
+
+
+def test_resolve_holds_over_batches():
+    """Any cut into batches gives the same rows as one batch."""
+    rng = np.random.default_rng(4)
+    cols = [rng.integers(0, 12, 300), rng.integers(0, 3, 300), rng.integers(0, 50, 300), rng.integers(0, 50, 300), np.full(300, 5), np.where(rng.random(300) < 0.1, -1, 7)]
+    cols = [c[np.lexsort((cols[3], cols[2], cols[1], cols[0]))] for c in cols]
+    for hot in ([], [2, 5]):
+        seen = []
+        for size in (300, 64, 7, 1):
+            batches = [suffix_dedup._batch([c[i : i + size] for c in cols], suffix_dedup._SEGMENT) for i in range(0, 300, size)]
+            seen.append(Counter(tuple(r.values()) for b in suffix_dedup._resolve(100, np.array(hot, dtype=np.int64))(iter(batches)) for r in b.to_pylist()))
+        assert all(s == seen[0] for s in seen)
+
+
 def test_suffix_dedup_cases(odd, empty):
     out = suffix_dedup.remove_repeats(odd).collect()
     assert len(out) == odd.count()
