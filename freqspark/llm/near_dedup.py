@@ -291,8 +291,8 @@ def _bridge_groups(cut: int, percent: int):
 def _dealt(at: DataFrame, key: str) -> DataFrame:
     """Rows of ``at`` (``key``, rep, comp, ...) with the seats where all that lie outside their group's largest component
     (strays, side 1) meet all others of the group, in blocks; groups of one component go."""
-    main = at.groupBy(key, "comp").agg(F.count(F.lit(1)).alias("c")).groupBy(key).agg(F.max_by("comp", "c").alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_rest")).filter("n_rest > 0")
-    deal = at.join(main, key).withColumns({"bm": F.ceil(F.col("n_main") / BLOCK).cast("int"), "bs": F.ceil(F.col("n_rest") / BLOCK).cast("int"), "h": F.xxhash64("rep"), "stray": F.col("comp") != F.col("main")})
+    main = at.groupBy(key, "comp").agg(F.count(F.lit(1)).alias("c")).groupBy(key).agg(F.max_by("comp", "c").alias("main"), F.max("c").alias("n_main"), (F.sum("c") - F.max("c")).alias("n_rest"), F.sum("c").alias("c")).filter("n_rest > 0")
+    deal = spread_join(at, written(main, "near-mains"), [key], "c", at.count()).withColumns({"bm": F.ceil(F.col("n_main") / BLOCK).cast("int"), "bs": F.ceil(F.col("n_rest") / BLOCK).cast("int"), "h": F.xxhash64("rep"), "stray": F.col("comp") != F.col("main")})
     seat = lambda x, y, side: F.struct(x.cast("int").alias("x"), y.cast("int").alias("y"), F.lit(side).alias("side"))
     me_s, me_m = F.pmod("h", "bs"), F.pmod("h", "bm")
     # a sole block of strays meets itself beside the first block of the others
@@ -403,14 +403,15 @@ def near_duplicates(df: DataFrame, words: int = 5, percent: int = 80, bands: int
     first_cluster = written(components(stars, "near-clusters").withColumnRenamed("component", "cluster").withColumnRenamed("node", "rep"), "near-first-clusters")
     # buckets that still hold several clusters, without their hubs, which have been held against every member
     labelled = members.join(first_cluster, "rep", "left").select("bucket", "rep", F.coalesce("cluster", "rep").alias("comp"))
-    mixed = labelled.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo <> hi").select("bucket")
-    open_ = written(labelled.join(mixed, "bucket"), "near-open")
+    mixed = labelled.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("c"))
+    mixed = written(mixed.filter("lo <> hi").select("bucket", "c"), "near-mixed")
+    open_ = written(spread_join(labelled, mixed, ["bucket"], "c", members.count()), "near-open")
     seated = _dealt(open_, "bucket").join(light, "rep").select("bucket", F.inline("seats"), "comp", "n", "odd")
     met = seated.repartition("bucket", "x", "y").sortWithinPartitions("bucket", "x", "y").mapInArrow(_bridge_groups(cut, percent), "a long, b long")
     joined = components(written(met.distinct(), "near-bridges"), "near-joined")
     cluster = first_cluster.join(joined, F.col("cluster") == F.col("node"), "full").select(F.coalesce("rep", "node").alias("rep"), F.coalesce("component", "cluster").alias("cluster"))
     cluster = written(cluster, "near-clusters-joined")
-    drop_written(members, open_, first_cluster)
+    drop_written(members, mixed, open_, first_cluster)
     free_shuffles(spark)
     sized = cluster.groupBy("cluster").agg(F.count(F.lit(1)).alias("size"))
     placed = written(cluster.join(sized, "cluster").join(light, "rep"), "near-placed")
