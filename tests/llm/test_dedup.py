@@ -82,6 +82,26 @@ def test_members_far_from_every_hub_meet_the_near_ones(spark):
     assert {(r["doc_id"], r["component_id"]) for r in got.collect()} == set(comp.items())
 
 
+def test_clusters_beyond_one_group_equal_brute_force(spark, monkeypatch):
+    """With tiny limits, clusters are confirmed in blocks and crowds are led in parts; the result stays."""
+    for name, value in (("SMALL", 3), ("BLOCK", 2), ("LED", 2)):
+        monkeypatch.setattr(near_dedup, name, value)
+    rng = np.random.default_rng(5)
+    docs = []
+    for family in range(3):
+        chain = [f"f{family}w{i}" for i in range(100)]
+        for step in range(10):
+            docs.append((len(docs), " ".join(chain)))
+            chain = list(chain)
+            for j in rng.integers(0, 100, 5):
+                chain[j] = f"f{family}v{step}x{j}"
+            docs.append((len(docs), " ".join(chain[: int(rng.integers(70, 100))])))
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    _, comp = brute_components([d[0] for d in docs], [d[1] for d in docs], 2, 80)
+    assert max(Counter(comp.values()).values()) > 3
+    assert {(r["doc_id"], r["component_id"]) for r in near_dedup.near_duplicates(df, words=2).collect()} == set(comp.items())
+
+
 def test_odd_sketch_estimates_high_similarity():
     rng = np.random.default_rng(5)
     a = rng.integers(0, 2**62, (1, 312)).astype(np.uint64)
