@@ -8,7 +8,7 @@ import pytest
 from freqspark import experiments  # noqa: F401  registers its queries
 from freqspark import workloads as W
 
-FROM_LINES = ("efficiency_table",)
+FROM_LINES = ("efficiency_table", "fractional_overhead")
 #: Odd lines: no key, a negative key, no flag, and a flag with one line.
 LINES = [("A", 1), ("A", 1), ("A", 2), ("A", None), ("A", 4), ("R", -1), ("R", 3), ("R", 515), (None, 5), (None, 6), ("N", 0)]
 
@@ -55,3 +55,8 @@ def test_query_reads_the_lines_and_equals_its_oracle(spark, sf_small, lines, nam
 def test_efficiency_of_dealt_lines(spark, lines):
     t = times()
     assert got(spark, "efficiency_table", lines) == {(f, p): {"efficiency": pytest.approx(t[f, 1][0] / t[f, p][0] / p, abs=1e-4)} for f, p in t if p > 1}
+
+
+def test_overhead_of_dealt_lines(spark, lines):
+    want = {x: {"wall": w, "compute": c, "overhead": pytest.approx((w - c) / c, abs=1e-6)} for x, (w, c) in times().items()}
+    assert got(spark, "fractional_overhead", lines) == want
