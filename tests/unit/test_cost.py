@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import math
+
 import duckdb
 import pytest
 
 from freqspark import experiments  # noqa: F401  registers its queries
 from freqspark import workloads as W
 
-FROM_LINES = ("efficiency_table", "fractional_overhead")
+FROM_LINES = ("efficiency_table", "fractional_overhead", "scaling_slope")
 #: Odd lines: no key, a negative key, no flag, and a flag with one line.
 LINES = [("A", 1), ("A", 1), ("A", 2), ("A", None), ("A", 4), ("R", -1), ("R", 3), ("R", 515), (None, 5), (None, 6), ("N", 0)]
 
@@ -60,3 +62,12 @@ def test_efficiency_of_dealt_lines(spark, lines):
 def test_overhead_of_dealt_lines(spark, lines):
     want = {x: {"wall": w, "compute": c, "overhead": pytest.approx((w - c) / c, abs=1e-6)} for x, (w, c) in times().items()}
     assert got(spark, "fractional_overhead", lines) == want
+
+
+def test_slope_of_dealt_lines(spark, lines):
+    t, x, want = times(), [math.log(p) for p in W.CORES], {}
+    for f in {f for f, _ in t}:
+        y = [math.log(t[f, p][0]) for p in W.CORES]
+        mx, my = sum(x) / len(x), sum(y) / len(y)
+        want[f, None] = {"slope": pytest.approx(sum((a - mx) * (b - my) for a, b in zip(x, y)) / sum((a - mx) ** 2 for a in x), abs=1e-6)}
+    assert got(spark, "scaling_slope", lines) == want
